@@ -12,6 +12,12 @@ from corpusforge.llm.encoding import tokenizer_path
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op6_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusforge.llm.pivots import near_vectors
+
+    return near_vectors(read(spark, sf_dir, "embeddings", "vec_id", "embedding", "label"))
+
+
 def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corpusforge.llm.tokenfiles import round_trip
 
@@ -24,5 +30,11 @@ def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(read(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("word_bpe_49k.json"), end_id=1)
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op7_token_files, op9_packing)}
+def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusforge.llm.simhash import near_duplicates, with_hex
+
+    return with_hex(near_duplicates(read(spark, sf_dir, "documents", "doc_id", "text")))
+
+
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op6_near_vectors, op7_token_files, op9_packing, op10_simhash)}
 ORACLES: dict[str, str] = {}
