@@ -24,6 +24,12 @@ def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip(read(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("byte_bpe_50k.json"), end_id=0)
 
 
+def op8_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusforge.llm.secrets import report, scan
+
+    return report(scan(read(spark, sf_dir, "documents", "doc_id", "text")))
+
+
 def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corpusforge.llm.packing import pack
 
@@ -36,5 +42,5 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return with_hex(near_duplicates(read(spark, sf_dir, "documents", "doc_id", "text")))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op6_near_vectors, op7_token_files, op9_packing, op10_simhash)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op6_near_vectors, op7_token_files, op8_secrets, op9_packing, op10_simhash)}
 ORACLES: dict[str, str] = {}
