@@ -67,21 +67,29 @@ class PieceEncoder:
         pieces = pieces_of(text)
         if len(pieces) > self.half:  # one text with more pieces than a generation holds
             return self._library([text])[0]
-        missing = set(pieces).difference(self.young)
+        found = list(map(self.young.get, pieces))
+        if None in found:
+            gaps = [i for i, known in enumerate(found) if known is None]
+            self._fill({pieces[i] for i in gaps})
+            young = self.young
+            for i in gaps:
+                found[i] = young[pieces[i]]
+        return b"".join(found)
+
+    def _fill(self, missing: set[str]) -> None:
+        """Put what the young generation lacks into it; when it is full, it becomes the old one."""
         if len(self.young) + len(missing) > self.half:
             self.old, self.young = self.young, {}
-            missing = set(pieces)
-        if missing:
-            young, old = self.young, self.old
-            new = []
-            for p in missing:
-                known = old.get(p)
-                if known is None:
-                    new.append(p)
-                else:
-                    young[p] = known
+        young, old = self.young, self.old
+        new = []
+        for p in missing:
+            known = old.get(p)
+            if known is None:
+                new.append(p)
+            else:
+                young[p] = known
+        if new:
             young.update(self._learn(new))
-        return b"".join(map(self.young.__getitem__, pieces))
 
 
 @lru_cache(maxsize=4)

@@ -12,6 +12,12 @@ from corpusforge.llm.encoding import tokenizer_path
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusforge.llm.bytecnn import identify
+
+    return identify(read(spark, sf_dir, "documents", "doc_id", "lang", "text"))
+
+
 def op6_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corpusforge.llm.pivots import near_vectors
 
@@ -42,5 +48,5 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return with_hex(near_duplicates(read(spark, sf_dir, "documents", "doc_id", "text")))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op6_near_vectors, op7_token_files, op8_secrets, op9_packing, op10_simhash)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op4_language, op6_near_vectors, op7_token_files, op8_secrets, op9_packing, op10_simhash)}
 ORACLES: dict[str, str] = {}

@@ -20,7 +20,7 @@ from corpusforge.engine import arrow_map, batch, scratch_path
 from corpusforge.llm.encoding import encoder
 
 #: Format settings: rows between index entries, bytes of a stripe, share of false hits of a Bloom filter.
-OPTIONS = {"compression": "zstd", "orc.row.index.stride": "1000", "orc.stripe.size": str(16 << 20), "orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01"}
+OPTIONS = {"compression": "snappy", "orc.row.index.stride": "1000", "orc.stripe.size": str(16 << 20), "orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01"}
 CHUNK = 256
 SCHEMA = "doc_id long, before long, n_tokens long, ids array<int>"
 
