@@ -12,12 +12,27 @@ from corpusforge.llm.encoding import tokenizer_path
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op3_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pyspark.sql import functions as F
+
+    from corpusforge.llm.licenses import scan
+
+    found = scan(read(spark, sf_dir, "documents", "doc_id", "text"))
+    return found.select("doc_id", "n_sentences", F.array_join("sentence_ids", ",").alias("sentence_ids"), F.array_join("licenses", ",").alias("licenses"))
+
+
 def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corpusforge.llm.bytecnn import identify
 
     return identify(read(spark, sf_dir, "documents", "doc_id", "lang", "text"))
 
 
+def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusforge.llm.decontaminate import contaminated
+
+    return contaminated(read(spark, sf_dir, "documents", "doc_id", "text"), read(spark, sf_dir, "benchmark", "item_id", "text"))
+
+
 def op6_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corpusforge.llm.pivots import near_vectors
 
@@ -48,5 +63,5 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return with_hex(near_duplicates(read(spark, sf_dir, "documents", "doc_id", "text")))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op4_language, op6_near_vectors, op7_token_files, op8_secrets, op9_packing, op10_simhash)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op3_licenses, op4_language, op5_decontamination, op6_near_vectors, op7_token_files, op8_secrets, op9_packing, op10_simhash)}
 ORACLES: dict[str, str] = {}
