@@ -12,6 +12,18 @@ from corpusforge.llm.encoding import tokenizer_path
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusforge.llm.tokencount import token_counts
+
+    return token_counts(read(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("piece_bpe_32k.model"))
+
+
+def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusforge.llm.shards import compacted
+
+    return compacted(spark, sf_dir)
+
+
 def op3_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pyspark.sql import functions as F
 
@@ -63,5 +75,5 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return with_hex(near_duplicates(read(spark, sf_dir, "documents", "doc_id", "text")))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op3_licenses, op4_language, op5_decontamination, op6_near_vectors, op7_token_files, op8_secrets, op9_packing, op10_simhash)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_token_counts, op2_sharding, op3_licenses, op4_language, op5_decontamination, op6_near_vectors, op7_token_files, op8_secrets, op9_packing, op10_simhash)}
 ORACLES: dict[str, str] = {}
