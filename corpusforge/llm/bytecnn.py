@@ -22,6 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from corpusforge.engine import arrow_map, batch
 
@@ -151,11 +152,11 @@ def train(docs: DataFrame) -> Network | None:
     return fit(np.frombuffer(b"".join(sample["window"].to_pylist()), dtype=np.uint8).reshape(-1, LENGTH), gold, labels)
 
 
-def _predict(net: Network | None):
+def _predict(net: Network | None, column: int = 1, with_text: bool = False):
     def run(batches):
         tables = net and net.tables()
         for rows in batches:
-            texts = rows.column(1).to_pylist()
+            texts = rows.column(column).to_pylist()
             sums, weights = np.zeros((len(texts), len(net.labels) if net else 1)), np.zeros(len(texts))
             held, owners, shares, n = [], [], [], 0
 
@@ -185,7 +186,8 @@ def _predict(net: Network | None):
             known = weights > 0
             pred = [net.labels[b] if k else UNDETERMINED for b, k in zip(best.tolist(), known.tolist(), strict=True)]
             score = np.where(known, np.clip(p.max(axis=1), 0, 1), 0.0)
-            yield pa.RecordBatch.from_arrays([pa.array(pred, pa.string()), pa.array(score), *[rows.column(c) for c in range(rows.num_columns) if c != 1]], names=["lang_pred", "score", *[rows.schema.field(c).name for c in range(rows.num_columns) if c != 1]])
+            kept = [c for c in range(rows.num_columns) if with_text or c != column]
+            yield pa.RecordBatch.from_arrays([pa.array(pred, pa.string()), pa.array(score), *[rows.column(c) for c in kept]], names=["lang_pred", "score", *[rows.schema.names[c] for c in kept]])
 
     return run
 
@@ -197,5 +199,14 @@ def predict(docs: DataFrame, net: Network | None) -> DataFrame:
     return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
 
 
+def keep_identified(docs: DataFrame, net: Network | None, least: float) -> DataFrame:
+    """Rows, with all their columns, whose language is known with a score of ``least`` or more; a null ``lang`` is filled."""
+    given = docs.select(*[F.col(f"`{c}`").alias(f"_{i}") for i, c in enumerate(docs.columns)])
+    schema = T.StructType([T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType()), *given.schema])
+    out = arrow_map(given, _predict(net, docs.columns.index("text"), True), schema).filter((F.col("lang_pred") != UNDETERMINED) & (F.col("score") >= least))
+    kept = [F.coalesce(f"_{i}", "lang_pred").alias(c) if c == "lang" else F.col(f"_{i}").alias(c) for i, c in enumerate(docs.columns)]
+    return out.select(*kept)
+
+
 def identify(docs: DataFrame) -> DataFrame:
     return predict(docs, train(docs))

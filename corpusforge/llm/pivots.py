@@ -169,7 +169,7 @@ def near_vectors(vectors: DataFrame, cosine: float = COSINE, pivots: int = PIVOT
     rows = vectors.select(F.col("vec_id").cast("long"), "embedding", F.col("label").cast("long"))
     good = rows.filter(usable())
     distinct = written(good.groupBy("label", "embedding").agg(F.min("vec_id").alias("id"), F.count(F.lit(1)).alias("n")).select("id", "label", "embedding", "n"), "vectors")
-    lengths = [r[0] for r in distinct.select(F.size("embedding")).distinct().limit(64).collect()]
+    lengths = [r[0] for r in distinct.select(F.size("embedding")).distinct().collect()]
     found = None
     for size in lengths:  # vectors of another length can't be compared; there is one length as a rule
         some = distinct.filter(F.size("embedding") == size) if len(lengths) > 1 else distinct

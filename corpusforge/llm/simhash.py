@@ -178,6 +178,22 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, distance: int = DISTANC
     return joined.select("doc_id", "print", F.when(F.col("doc_id").isNotNull(), F.col("component")).alias("component_id"))
 
 
+def first_of_each(docs: DataFrame, words: int = WORDS, distance: int = DISTANCE) -> DataFrame:
+    """Rows, with all their columns, that stand for their group: the smallest doc_id, one row of it; rows without doc_id stay.
+
+    Only ids travel: the ids to be dropped are those that are not their component's, and rows that repeat an id are told
+    apart by a hash of their columns.
+    """
+    found = near_duplicates(docs, words, distance).filter("doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("of")).distinct()
+    kept = docs.join(found, F.col("doc_id").cast("long") == F.col("of"), "left_anti")
+    again = docs.filter("doc_id is not null").groupBy(F.col("doc_id").cast("long").alias("of")).agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    if again.isEmpty():
+        return kept
+    repeated = again.select("of")
+    once = kept.join(repeated, F.col("doc_id").cast("long") == F.col("of"), "left_semi").dropDuplicates(["doc_id"])
+    return kept.join(repeated, F.col("doc_id").cast("long") == F.col("of"), "left_anti").union(once)
+
+
 def with_hex(result: DataFrame) -> DataFrame:
     """Fingerprints as 16 lower-case hexadecimal digits."""
     return result.select("doc_id", F.lower(F.lpad(F.hex("print"), 16, "0")).alias("fingerprint"), "component_id")
