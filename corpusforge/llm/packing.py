@@ -38,7 +38,7 @@ def token_stream(path: str, end_id: int) -> Callable:
         for rows in batches:
             for at in range(0, rows.num_rows, CHUNK):
                 part = rows.slice(at, CHUNK)
-                ids = [enc.encode(t) + end for t in part.column(1).to_pylist()]
+                ids = [x + end for x in enc.encode(part.column(1).to_pylist())]
                 n = np.fromiter((len(x) // 4 for x in ids), dtype=np.int64, count=len(ids))
                 first = before + np.cumsum(n) - n
                 before += int(n.sum())

@@ -31,7 +31,7 @@ def _encode(path: str, end_id: int):
         for rows in batches:
             for at in range(0, rows.num_rows, CHUNK):
                 part = rows.slice(at, CHUNK)
-                raw = [enc.encode(t) + end for t in part.column(1).to_pylist()]
+                raw = [x + end for x in enc.encode(part.column(1).to_pylist())]
                 n = np.fromiter((len(x) // 4 for x in raw), dtype=np.int64, count=len(raw))
                 ends = np.cumsum(n)
                 ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), pa.array(np.frombuffer(b"".join(raw), dtype="<i4")))
