@@ -87,9 +87,15 @@ class Rounds:
         return self.spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of an Arrow batch: rows here are whole texts, and a batch is held several times over on its way.
+ARROW_ROWS = 1000
+
+
 def ship(spark: SparkSession) -> None:
     """Send this package to the executors, once a session, so that their Python can import it anywhere."""
     sc = spark.sparkContext
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > ARROW_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ARROW_ROWS))
     if getattr(sc, "_corpusforge_shipped", False):
         return
     root = Path(__file__).resolve().parent
@@ -103,6 +109,17 @@ def ship(spark: SparkSession) -> None:
     sc._corpusforge_shipped = True
 
 
+_STATE: dict[tuple, object] = {}
+
+
+def worker_state(key: tuple, make: Callable[[], object]):
+    """What a Python worker remembers between tasks, of one kind at a time: the next kind's state takes its place."""
+    if key not in _STATE:
+        _STATE.clear()
+        _STATE[key] = make()
+    return _STATE[key]
+
+
 Batches = Iterator[pa.RecordBatch]
 
 
