@@ -15,7 +15,6 @@ stay null; empty tables give no rows; other columns are ignored.
 from __future__ import annotations
 
 import re
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -23,13 +22,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusforge.engine import arrow_map, batch
+from corpusforge.engine import arrow_map, worker_state
 
 #: The masks, each with five positions that count.
 MASKS = ("11111", "1101011", "11001011", "101100101", "1100010011", "11010100001")
 OVERLAP, SIMILARITY, LEAST = 13, 0.8, 8
 #: Words of a benchmark block; words of documents that are hashed at once; words whose hashes a worker remembers.
-BLOCK, CHUNK, MEMO = 2_000_000, 1 << 16, 500_000
+BLOCK, CHUNK, MEMO = 2_000_000, 1 << 16, 400_000
 WORD = re.compile(r"[^\W_]+")
 SEEDS = [np.flatnonzero(np.frombuffer(m.encode(), dtype=np.uint8) == ord("1")) for m in MASKS]
 FACTORS = np.array([xxhash.xxh64_intdigest(str(j).encode(), 1) | 1 for j in range(5)], dtype=np.uint64)
@@ -51,9 +50,8 @@ class WordHashes:
         return np.array(found, dtype=np.uint64)
 
 
-@lru_cache(maxsize=1)
 def _hashes() -> WordHashes:
-    return WordHashes()
+    return worker_state(("word hashes",), WordHashes)
 
 
 def seed_hashes(words: np.ndarray, seed: int) -> np.ndarray:

@@ -10,11 +10,12 @@ from __future__ import annotations
 
 import os
 import re
-import struct
-from functools import lru_cache
+from array import array
 
 import numpy as np
 
+from corpusforge.engine import worker_state
+
 _LETTER = "A-Za-zÀ-ÖØ-öø-įı-ɏΑ-ΡΣ-Ωα-ωЀ-ҁ"
 #: Text with none of these (apostrophes, runs of white space, other scripts) may be cut around every letter run.
 _ODD = re.compile(f"'|\\s\\s|[^\\n -~{_LETTER}]")
@@ -57,7 +58,7 @@ class PieceEncoder:
     whole call; whether that gives the same ids is tried on some words when the tokenizer is loaded.
     """
 
-    def __init__(self, path: str, capacity: int = 800_000):
+    def __init__(self, path: str, capacity: int = 1_200_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -82,22 +83,20 @@ class PieceEncoder:
         """Ids of a plain word by the model itself."""
         if not self.spaced:
             word = word.lstrip(" ")
-        if self.lower:
-            word = word.lower() if word.isascii() else "".join([c.lower() for c in word])
         if word.isascii():
-            word = word.replace(" ", "Ġ")
+            word = (word.lower() if self.lower else word).replace(" ", "Ġ")
         else:
+            word = "".join([c.lower() for c in word]) if self.lower else word
             word = "".join([self.visible[b] for b in word.encode()])
-        ids = [t.id for t in self.model.tokenize(word)]
-        return struct.pack(f"<{len(ids)}I", *ids)
+        return array("I", [t.id for t in self.model.tokenize(word)]).tobytes()
 
     def _learn(self, pieces: list[str]) -> dict[str, bytes]:
         known, rest = {}, pieces
         if self.direct:
-            rest = []
+            rest, word = [], self._word
             for p in pieces:
-                if _WORD.fullmatch(p):
-                    known[p] = self._word(p)
+                if (p.isalpha() or (p[0] == " " and p[1:].isalpha())) and _WORD.fullmatch(p):
+                    known[p] = word(p)
                 else:
                     rest.append(p)
         if rest:
@@ -130,10 +129,9 @@ class PieceEncoder:
         return learned
 
 
-@lru_cache(maxsize=4)
 def encoder(path: str) -> PieceEncoder:
-    """One encoder for each tokenizer file in a Python worker."""
-    return PieceEncoder(path)
+    """One encoder in a Python worker."""
+    return worker_state(("encoder", path), lambda: PieceEncoder(path))
 
 
 def tokenizer_path(name: str) -> str:

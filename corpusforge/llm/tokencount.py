@@ -12,13 +12,11 @@ empty table gives no rows; other columns are ignored.
 
 from __future__ import annotations
 
-from functools import lru_cache
-
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusforge.engine import arrow_map, batch
+from corpusforge.engine import arrow_map, batch, worker_state
 
 SPACE = "▁"
 #: Fixed value: what an unknown character costs beyond the smallest score.
@@ -100,9 +98,8 @@ class CountViterbi:
         return n
 
 
-@lru_cache(maxsize=2)
 def counter(path: str) -> CountViterbi:
-    return CountViterbi(unigram_vocabulary(path))
+    return worker_state(("counter", path), lambda: CountViterbi(unigram_vocabulary(path)))
 
 
 def _count(path: str):

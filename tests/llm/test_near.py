@@ -9,8 +9,9 @@ import pytest
 import xxhash
 
 from corpusforge.engine import read
-from corpusforge.llm import components, pivots, simhash
+from corpusforge.llm import pivots, simhash
 from corpusforge.llm.queries import QUERIES
+from corpusforge.operators import components
 
 
 def plain_fingerprint(text: str | None) -> int:
