@@ -50,7 +50,7 @@ def join_asof(spark: SparkSession, sf: str) -> DataFrame:
     e = read(spark, sf, "events", "event_id", "user_id", "ts", "event_type").filter(F.col("event_type").isin("purchase", "error"))
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
     last = F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(w)
-    return e.withColumn("purchase_id", last).filter("event_type = 'error'").select("event_id", "purchase_id")
+    return e.withColumn("purchase_id", F.coalesce(last, F.lit(-1))).filter("event_type = 'error'").select("event_id", "purchase_id")
 
 
 def agg_rollup(spark: SparkSession, sf: str) -> DataFrame:
@@ -132,7 +132,7 @@ SQL = {
     "join_anti": "select c_nationkey, count(*) as n from customer where not exists (select 1 from orders where o_custkey = c_custkey) group by all",
     "join_full": "with p as (select try_cast(regexp_extract(url, '/([0-9]+)$', 1) as bigint) as doc_id, page_id from pages) select lang is null as no_doc, page_id is null as no_page, count(*) as n from documents full join p using (doc_id) group by all",
     "join_range": "with o as (select date_diff('day', date '1992-01-01', cast(o_orderdate as date)) as day from orders), w as (select distinct cast(floor(day / 90) * 90 as bigint) as first from o) select first, count(*) as n from w join o on day >= first and day <= first + 30 group by all",
-    "join_asof": "with e as (select event_id, user_id, ts, event_type from events where event_type in ('purchase', 'error')), x as (select *, last_value(case when event_type = 'purchase' then event_id end ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding) as purchase_id from e) select event_id, purchase_id from x where event_type = 'error'",
+    "join_asof": "with e as (select event_id, user_id, ts, event_type from events where event_type in ('purchase', 'error')), x as (select *, last_value(case when event_type = 'purchase' then event_id end ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding) as purchase_id from e) select event_id, coalesce(purchase_id, -1) as purchase_id from x where event_type = 'error'",
     "agg_rollup": "select lang, source, count(*) as n from documents group by rollup (lang, source)",
     "agg_cube": "select l_returnflag, l_linestatus, count(*) as n, round(sum(l_quantity), 2) as quantity from lineitem group by cube (l_returnflag, l_linestatus)",
     "agg_grouping_sets": "select lang, source, cast(sum(n_chars) as bigint) as chars from documents group by grouping sets ((lang), (source), ())",

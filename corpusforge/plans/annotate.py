@@ -8,14 +8,13 @@ from __future__ import annotations
 
 import hashlib
 import re
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusforge.engine import arrow_map
+from corpusforge.engine import arrow_map, worker_state
 from corpusforge.functions.features import NMAX, NMIN
 from corpusforge.operators.lid import LidModel, predict
 
@@ -46,8 +45,7 @@ class Scorer:
         self.dense, self.tau = dense, tau
         self.words = re.compile(pattern.replace(r"\p{L}", r"[^\W\d_]"))
         self.known: dict[str, int] = {}
-        self.rows: list[np.ndarray] = []
-        self.table = np.zeros((0, len(dense.labels) + 1))
+        self.table = np.zeros((1024, len(dense.labels) + 1))
 
     def _learn(self, word: str) -> np.ndarray:
         padded = f" {word} "
@@ -63,19 +61,17 @@ class Scorer:
         found = list(map(self.known.get, words))
         if None in found:
             if len(self.known) > MEMO:
-                self.known, self.rows = {}, []
+                self.known = {}
                 found = [None] * len(words)
             for i, k in enumerate(found):
                 if k is None:
                     w = words[i]
                     if w not in self.known:
-                        self.known[w] = len(self.rows)
-                        self.rows.append(self._learn(w))
+                        at = self.known[w] = len(self.known)
+                        if at == len(self.table):
+                            self.table = np.concatenate([self.table, np.zeros_like(self.table)])
+                        self.table[at] = self._learn(w)
                     found[i] = self.known[w]
-            if len(self.table) < len(self.rows):
-                grown = np.zeros((max(1024, 2 * len(self.rows)), self.table.shape[1]))
-                grown[: len(self.rows)] = self.rows
-                self.table = grown
         return self.table[found]
 
     def best(self, sums: np.ndarray) -> tuple[list[str | None], list[float | None]]:
@@ -89,14 +85,9 @@ class Scorer:
         return [self.dense.labels[t] if s else None for t, s in zip(top.tolist(), some.tolist(), strict=True)], [float(q) if s else None for q, s in zip(p[np.arange(len(p)), top].tolist(), some.tolist(), strict=True)]
 
 
-@lru_cache(maxsize=2)
-def _scorer(key: str, pattern: str, tau: float, holder) -> Scorer:
-    return Scorer(holder.value, pattern, tau)
-
-
 def _pass(holder, key: str, pattern: str, tau: float, with_lines: bool):
     def run(batches):
-        scorer = _scorer(key, pattern, tau, holder)
+        scorer = worker_state((key, pattern, tau), lambda: Scorer(holder.value, pattern, tau))
         k = len(scorer.dense.labels) + 1
         for rows in batches:
             ids, texts = rows.column(0), rows.column(1).to_pylist()

@@ -664,7 +664,8 @@ def coverage_compare(spark, sf):
 
 @query
 def coverage_area(spark, sf):
-    return coverage.by_area(docs(spark, sf).withColumn("label", lab.label_of("lang")), "label", lab.languages(spark))
+    t = coverage.by_area(docs(spark, sf).withColumn("label", lab.label_of("lang")), "label", lab.languages(spark))
+    return t.na.fill("all", ["area"]).na.fill(-1, ["bucket"])
 
 
 @query

@@ -101,7 +101,7 @@ def finish(stream: DataFrame, name: str, mode: str = "complete", write: Callable
         df.write.mode("overwrite").parquet(path if mode == "complete" else f"{path}/batch={batch}")
 
     stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(write or put).start().awaitTermination()
-    return spark.read.schema(stream.schema).parquet(path)
+    return spark.read.schema(stream.schema).parquet(path).select(*stream.columns)
 
 
 def to_coverage(src: DataFrame, path: str, label: str = "lang") -> DataFrame:
