@@ -11,6 +11,8 @@ from __future__ import annotations
 import os
 import re
 from array import array
+from itertools import compress, count, repeat
+from operator import is_
 
 import numpy as np
 
@@ -112,8 +114,8 @@ class PieceEncoder:
         if len(pieces) > self.half:  # one text with more pieces than a generation holds
             return self._library([text])[0]
         found = list(map(self.young.get, pieces))
-        if None in found:
-            gaps = [i for i, known in enumerate(found) if known is None]
+        gaps = list(compress(count(), map(is_, found, repeat(None))))
+        if gaps:
             learned = self._fill({pieces[i] for i in gaps})
             for i in gaps:
                 found[i] = learned[pieces[i]]
