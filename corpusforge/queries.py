@@ -12,7 +12,7 @@ from corpusforge.functions import cost, features, html, lsh, pii, scripts
 from corpusforge.functions import labels as lab
 from corpusforge.functions import warnings as W
 from corpusforge.functions.text import exploded_lines
-from corpusforge.operators import audit, compare, content, coverage, curate, dedup, evaluate, filters, lid, noise, relational, traindata
+from corpusforge.operators import audit, compare, content, coverage, curate, dedup, evaluate, filters, lid, noise, relational, softmax, traindata
 from corpusforge.plans import annotate, pipeline
 from corpusforge.streaming import stream
 
@@ -252,6 +252,22 @@ def lid_seed_variance(spark, sf):
     return out.agg(F.round(F.avg("value"), 6).alias("mean"), F.round(F.stddev_pop("value"), 6).alias("deviation"))
 
 
+@query
+def lid_softmax_f1(spark, sf):
+    """The classifier of averaged embeddings, one epoch."""
+    m = softmax.fit_softmax(train_lines(spark, sf))
+    test = test_docs(spark, sf)
+    return evaluate.f1(test.select("doc_id", "gold").join(softmax.predict_softmax(test, m, "doc_id"), "doc_id"))
+
+
+@query
+def lid_softmax_compact(spark, sf):
+    """The compact neural baseline: few buckets, small vectors."""
+    m = softmax.fit_softmax(train_lines(spark, sf), buckets=2048, dim=8)
+    test = test_docs(spark, sf)
+    return evaluate.macro(evaluate.f1(test.select("doc_id", "gold").join(softmax.predict_softmax(test, m, "doc_id"), "doc_id")), "f1")
+
+
 @query
 def lid_indomain_sample(spark, sf):
     return evaluate.indomain_sample(lines(spark, sf).filter("part = 9"), 50).select("label", "doc_id", "pos", "rank")
