@@ -96,22 +96,23 @@ class Index:
 
 
 def longest(equal: np.ndarray, similarity: float = SIMILARITY) -> tuple[int, int]:
-    """The longest stretch, from an equal word to an equal word, whose share of equal words is at least ``similarity``."""
-    gain = np.concatenate([[0.0], np.cumsum(np.where(equal, 1 - similarity, -similarity))]) + 1e-9 * np.arange(len(equal) + 1)
-    best = np.maximum.accumulate(gain[::-1])[::-1]
-    start, end, i, j = 0, 0, 0, 1
-    while j <= len(equal):
-        if best[j] >= gain[i]:
-            if j - i > end - start:
-                start, end = i, j
-            j += 1
-        else:
-            i += 1
-            j = max(j, i + 1)
-    while end > start and not equal[start]:
-        start += 1
-    while end > start and not equal[end - 1]:
-        end -= 1
+    """The longest stretch, from an equal word to an equal word, whose share of equal words is at least ``similarity``.
+
+    With running sums of what each word gains, the stretch must not lose. Only starts with a smaller sum than all before
+    can be best, so a stack of these is met by the ends from the right.
+    """
+    gain = (np.concatenate([[0.0], np.cumsum(np.where(equal, 1 - similarity, -similarity))]) + 1e-9 * np.arange(len(equal) + 1)).tolist()
+    places = np.flatnonzero(equal).tolist()
+    starts: list[int] = []
+    for i in places:
+        if not starts or gain[i] < gain[starts[-1]]:
+            starts.append(i)
+    start, end = 0, 0
+    for last in reversed(places):
+        while starts and gain[last + 1] >= gain[starts[-1]]:
+            i = starts.pop()
+            if last + 1 - i > end - start:
+                start, end = i, last + 1
     return start, end
 
 

@@ -192,7 +192,7 @@ def near_vectors(vectors: DataFrame, cosine: float = COSINE, pivots: int = PIVOT
 
 def _links(distinct: DataFrame, sample: np.ndarray, cosine: float, nearest: int, shared: int, block: int) -> DataFrame:
     """Links (a, b) that join what is linked, and numbers of links (a, n)."""
-    described = written(arrow_map(distinct, _describe(sample, nearest), "id long, label long, embedding array<float>, n long, pivots array<int>"), "described")
+    described = written(arrow_map(distinct, _describe(sample, nearest), f"id long, label long, embedding {distinct.schema['embedding'].dataType.simpleString()}, n long, pivots array<int>"), "described")
     shared = min(shared, len(sample))
     posted = described.withColumn("pivot", F.explode("pivots"))
     sizes = described.select("label", F.explode("pivots").alias("pivot")).groupBy("label", "pivot").agg(F.ceil(F.count(F.lit(1)) / block).cast("long").alias("blocks"))
