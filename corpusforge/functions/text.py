@@ -14,6 +14,11 @@ def col(c: Column | str) -> Column:
     return F.col(c) if isinstance(c, str) else c
 
 
+def bound(value: Column, use) -> Column:
+    """``use(value)``, with the value computed once however often it is used, also inside lambdas."""
+    return F.transform(F.array(value), use)[0]
+
+
 def lines(text: Column | str) -> Column:
     """Trimmed lines without blanks."""
     return F.filter(F.transform(F.split(col(text), "\n"), lambda x: F.trim(x)), lambda x: x != "")

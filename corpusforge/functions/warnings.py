@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from corpusforge.functions import labels as lab
 from corpusforge.functions.scripts import script_shares
-from corpusforge.functions.text import col, lines, share, tokens
+from corpusforge.functions.text import bound, col, lines, share, tokens
 
 #: Phrases of boilerplate, the filler phrase, and patterns of broken markup.
 POLICY = ("cookie policy", "privacy policy", "terms of use", "use cookies", "use of cookies", "uses cookies")
@@ -84,8 +84,8 @@ def script_inconsistent(text: Column, label: Column, c: Config = DEFAULT) -> Col
 
 
 def list_case_line(line: Column, c: Config = DEFAULT) -> Column:
-    words = tokens(line)
-    return (F.size(words) > 0) & (share(F.size(F.filter(words, lambda w: w.rlike(r"^\p{Lu}"))), F.size(words)) >= c.case)
+    upper = lambda words: F.size(F.filter(words, lambda w: w.rlike(r"^\p{Lu}")))
+    return bound(tokens(line), lambda words: (F.size(words) > 0) & (share(upper(words), F.size(words)) >= c.case))
 
 
 def list_case(ls: Column, c: Config = DEFAULT, rule: str = "share") -> Column:
@@ -96,9 +96,9 @@ def list_case(ls: Column, c: Config = DEFAULT, rule: str = "share") -> Column:
 
 def list_case_uncased_line(line: Column, c: Config = DEFAULT) -> Column:
     """In scripts without case and spaces: short pieces between spaces."""
-    words = tokens(line)
-    short = F.size(F.filter(words, lambda w: F.length(w) <= c.uncased_length))
-    return (F.size(words) > 1) & line.rlike(r"[\p{IsHan}\p{IsHiragana}\p{IsKatakana}\p{IsThai}]") & (share(short, F.size(words)) >= c.case)
+    short = lambda words: F.size(F.filter(words, lambda w: F.length(w) <= c.uncased_length))
+    many = lambda: bound(tokens(line), lambda words: (F.size(words) > 1) & (share(short(words), F.size(words)) >= c.case))
+    return line.rlike(r"[\p{IsHan}\p{IsHiragana}\p{IsKatakana}\p{IsThai}]") & many()
 
 
 def list_case_uncased(ls: Column, c: Config = DEFAULT) -> Column:
@@ -128,8 +128,8 @@ def bigrams(words: Column) -> Column:
 
 
 def repetition_line(line: Column, c: Config = DEFAULT) -> Column:
-    words = tokens(line)
-    return (F.size(words) > c.repeat_words) & ((_repeated(words, c.repeat_mode) > c.repeat_share) | (_repeated(bigrams(words), c.repeat_mode) > c.repeat_bigrams))
+    pairs = lambda words: bound(bigrams(words), lambda b: _repeated(b, c.repeat_mode) > c.repeat_bigrams)
+    return bound(tokens(line), lambda words: (F.size(words) > c.repeat_words) & ((_repeated(words, c.repeat_mode) > c.repeat_share) | pairs(words)))
 
 
 def repetition(ls: Column, c: Config = DEFAULT) -> Column:
@@ -171,9 +171,9 @@ LINE_LEVEL = ("list_case", "repetition", "long_word", "technical", "curly", "js"
 NAMES = ("tiny", "short_sentences", "header", "footer", "list_case", "list_case_uncased", "technical", "cursed", "repetition", "long_word", "filler", "policy", "js", "curly", "adult")
 
 
-def document_flags(text: Column | str = "text", c: Config = DEFAULT) -> dict[str, Column]:
-    """All warnings that need no language identification, by name."""
-    t, ls = col(text), lines(text)
+def document_flags(text: Column | str = "text", c: Config = DEFAULT, ls: Column | None = None) -> dict[str, Column]:
+    """All warnings that need no language identification, by name; ``ls`` are the text's lines, where they are at hand."""
+    t, ls = col(text), lines(text) if ls is None else ls
     return {
         "tiny": tiny(ls, c), "short_sentences": short_sentences(ls, c), "header": header(ls, c), "footer": footer(ls, c), "list_case": list_case(ls, c),
         "list_case_uncased": list_case_uncased(ls, c), "technical": technical(t, c), "cursed": cursed(t), "repetition": repetition(ls, c), "long_word": long_word(t, c),
@@ -195,7 +195,7 @@ def named(flags: dict[str, Column]) -> Column:
 
 def annotate(docs: DataFrame, c: Config = DEFAULT, text: str = "text") -> DataFrame:
     """Documents with their array of ``warnings``, in one projection."""
-    return docs.withColumn("warnings", named(document_flags(text, c)))
+    return docs.withColumn("warnings", bound(lines(text), lambda ls: named(document_flags(text, c, ls))))
 
 
 def any_of(flags: dict[str, Column]) -> Column:

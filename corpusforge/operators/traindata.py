@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from corpusforge.functions import labels as lab
 from corpusforge.functions.scripts import PATTERNS, letters_in
-from corpusforge.functions.text import bucket_of, exploded_lines, share, words
+from corpusforge.functions.text import bound, bucket_of, exploded_lines, share, words
 
 #: Words of the benchmark that may be broadcast; a larger benchmark is joined by shuffle.
 BROADCAST_WORDS = 2_000_000
@@ -71,9 +71,9 @@ def resample(lines: DataFrame, cap: int, key: str = "label") -> DataFrame:
 
 def grams(text: Column, n: int = 4) -> Column:
     """Distinct word n-grams of a text."""
-    w = words(text)
     none = F.expr("cast(array() as array<string>)")
-    return F.array_distinct(F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.concat_ws(" ", F.slice(w, i, n)))).otherwise(none))
+    of = lambda w: F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.concat_ws(" ", F.slice(w, i, n)))).otherwise(none)
+    return F.array_distinct(bound(words(text), of))
 
 
 def bench_sentences(bench: DataFrame) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from corpusforge.functions import pii
+from corpusforge.functions import html, pii
 from corpusforge.functions import warnings as W
 from corpusforge.functions.labels import LANGUAGES, NO_WORD_BOUNDARY
 from corpusforge.operators import noise, relational
@@ -279,3 +279,53 @@ SQL |= {
     "compare_call_rate": _TWO + " select 'a' as lid, count(*) as n, count(label_a) as calls, round(count(label_a) / count(*), 6) as rate from p union all select 'b', count(*), count(label_b), round(count(label_b) / count(*), 6) from p",
 }
 SQL |= relational.SQL | stream.SQL
+
+# ------------------------------------------------------------------------------------- texts of pages, other identification
+
+
+def replaced(pattern: str, by: str) -> str:
+    """md5 of texts with each match ``f[i]`` replaced, for documents that have one."""
+    return f"with p as (select doc_id, regexp_split_to_array(text, {text(pattern)}) as g, regexp_extract_all(text, {text(pattern)}) as f from documents) select doc_id, md5(array_to_string([g[i] || case when i <= len(f) then {by} else '' end for i in range(1, len(g) + 1)], '')) as h from p where len(f) > 0"
+
+
+def _picked(pool: tuple[str, ...]) -> str:
+    return f"[{', '.join(map(text, pool))}][cast({h32('f[i]')} % {len(pool)} + 1 as integer)]"
+
+
+def _page_text() -> str:
+    t = "html"
+    for tag in ("head", "script", "style", "nav", "footer"):
+        t = f"regexp_replace({t}, '(?is)<{tag}\\b.*?</{tag}\\s*>', '', 'g')"
+    t = f"regexp_replace({t}, '(?s)<!--.*?-->', '', 'g')"
+    t = f"regexp_replace(regexp_replace({t}, {text(html.BLOCKS)}, chr(10), 'g'), '(?s)<[^>]*>', '', 'g')"
+    for name, ch in html.ENTITIES:
+        t = f"replace({t}, {text(name)}, {text(ch)})"
+    t = f"regexp_replace(regexp_replace({t}, '[ \\t\\r]+', ' ', 'g'), ' ?\\n ?', chr(10), 'g')"
+    return f"page_text as (select page_id, {_HOST} as host, trim(regexp_replace({t}, '\\n+', chr(10), 'g')) as text, {LABEL.replace('case lang', 'case regexp_extract(html, ' + text(_HTML_LANG) + ', 1)')} as gold from pages)"
+
+
+_HTML_LANG = "(?i)<html[^>]*\\blang=[\"']?([a-zA-Z]{2,3})"
+PAGES = _page_text()
+_FNV = "list_reduce(list_prepend(cast(2166136261 as bigint), [cast('0x' || substr(hex(encode(g)), 2 * i + 1, 2) as bigint) for i in range(length(hex(encode(g))) // 2)]), lambda h, b: (xor(h, b) * 16777619) & 4294967295)"
+_TURNS = "select conv_id * 1000 + turn as id, text as t from conversations"
+_EVERY = "select cast(doc_id as varchar) as id, text as t from documents union all select cast(doc_id as varchar) || ':' || cast(pos as varchar), line from lines"
+_SEEDED = [model(UNITS, f"select label, line from lines where part < 8 and {h32(f'concat_ws({text(chr(58))}, {text(str(k))}, doc_id)')} % 10 > 0", tag=str(k)) for k in range(3)]
+SQL |= {
+    "hash_buckets": f"with {LINES}, {vocabulary()} select g, {h32('g')} % {BUCKETS} as b, {_FNV} as fnv from voc where length(g) <= 3",
+    "pii_email": replaced(pii.EMAIL, f"case when f[i] in ({', '.join(map(text, pii.EMAILS))}) then f[i] else {_picked(pii.EMAILS)} end"),
+    "pii_ip": replaced(pii.QUAD, f"case when regexp_matches(f[i], {text(pii.PRIVATE)}) or f[i] in ({', '.join(map(text, pii.POOL))}) then f[i] else {_picked(pii.POOL)} end"),
+    "noise_mojibake_latin": "select doc_id, array_to_string([chr(cast('0x' || substr(h, 2 * i + 1, 2) as integer)) for i in range(length(h) // 2)], '') as line from (select doc_id, hex(encode(substr(text, 1, 80))) as h from documents where lang <> 'en')",
+    "script_one_pass": f"with {SWAPPED}, c as (select doc_id, unnest([{{'script': 'Latn', 'n': {_LATIN()}}}, {{'script': 'Cyrl', 'n': {_N('Cyrillic')}}}, {{'script': 'Arab', 'n': len(list_filter(regexp_extract_all(text, '\\p{{Arabic}}'), lambda x: regexp_matches(x, '\\p{{L}}')))}}, {{'script': 'Hani', 'n': {_N('Han')}}}]) as s from swapped) select doc_id, s.script as script, cast(s.n as bigint) as n from c where s.n > 0",
+    "html_text": f"with {PAGES} select page_id, host, gold, cast(length(text) as integer) as n, regexp_matches(text, '[<>]') or contains(text, 'function(') as markup_left from page_text",
+    "noise_harvest": f"with {PAGES} select page_id, seed from page_text, (select unnest(['idiot', '!!', '###']) as seed) where contains(text, seed)",
+    "lid_conversations": f"with {LINES}, {model(_TURNS)}, n as (select conv_id, pred, count(*) as n from conversations left join best on id = conv_id * 1000 + turn group by all), c as (select conv_id, max(n) as most, sum(n) as n from n group by 1) select count(*) as conversations, round(sum(most) / sum(n), 6) as consistency from c",
+    "audit_score": f"with {LINES}, {model('select doc_id as id, text as t from documents')}, k as (select lang || '_' || source as label, doc_id, {LABEL} as gold from documents), n as (select distinct label from k order by md5('audit:' || label), label limit 40), s as (select *, row_number() over (partition by label order by md5('audit:' || cast(doc_id as varchar)), doc_id) as rank from k where label in (select label from n)), p as (select label, avg(cast(pred = gold as integer)) as share from s join best on id = doc_id where rank <= 20 and pred is not null group by 1) select count(*) as n_labels, round(avg(share), 6) as macro_avg, round(median(share), 6) as median from p",
+    "pipeline_snapshots": f"{ANNOTATED}, k as (select doc_id from a where len({_IGN}) = 0) select '2024-10' as snapshot, count(*) as n from k union all select '2024-18', count(*) from k where doc_id % 3 = 0 union all select '2024-22', count(*) from k where doc_id % 5 = 0",
+    "warn_lid_inconsistent": f"with {LINES}, {model(_EVERY)}, l as (select doc_id, pred from lines left join best on id = cast(doc_id as varchar) || ':' || cast(pos as varchar)), d as (select doc_id, pred from documents left join best on id = cast(doc_id as varchar)) select d.doc_id, d.pred from d join l using (doc_id) group by all having count(*) filter (l.pred is distinct from d.pred) / count(*) >= 0.2",
+    "lid_domain_gap": f"with {LINES}, {TEST}, {PAGES}, {model(UNITS, tag='1')}, {model('select page_id as id, text as t from page_text', tag='2')}, cells_1 as (select gold, coalesce(pred, 'none') as pred, count(*) as n from test left join best1 on id = doc_id group by all), cells_2 as (select gold, coalesce(pred, 'none') as pred, count(*) as n from page_text left join best2 on id = page_id group by all), {prf('prf1', 'cells_1')}, {prf('prf2', 'cells_2')} select label, a.f1 as f1_in, b.f1 as f1_out, round(coalesce(a.f1, 0) - coalesce(b.f1, 0), 6) as gap from prf1 a full join prf2 b using (label)",
+    "lid_seed_variance": f"with {LINES}, {TEST}, {', '.join(_SEEDED)}, "
+    + ", ".join(f"cells_{k} as (select gold, coalesce(pred, 'none') as pred, count(*) as n from test left join best{k} on id = doc_id group by all), {prf(f'prf{k}', f'cells_{k}')}" for k in range(3))
+    + ", v as ("
+    + " union all ".join(f"select round(avg(f1), 6) as value from prf{k}" for k in range(3))
+    + ") select round(avg(value), 6) as mean, round(stddev_pop(value), 6) as deviation from v",
+}

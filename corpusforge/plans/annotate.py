@@ -8,13 +8,14 @@ from __future__ import annotations
 
 import hashlib
 import re
+from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusforge.engine import arrow_map, worker_state
+from corpusforge.engine import arrow_map, worker_state, written
 from corpusforge.functions.features import NMAX, NMIN
 from corpusforge.operators.lid import LidModel, predict
 
@@ -116,7 +117,9 @@ def _pass(holder, key: str, pattern: str, tau: float, with_lines: bool):
 
 def identify(docs: DataFrame, model: LidModel, key: str = "doc_id", text: str = "text", tau: float = 1.0, with_lines: bool = True) -> DataFrame:
     """(key, pred, prob, lines) of whole texts; by broadcast while the model is small, else documents alone by join."""
-    if model.counts.count() > BROADCAST_PAIRS:
+    counts = written(model.counts, "model")  # counted, collected and summed: trained once
+    model = replace(model, counts=counts, totals=counts.groupBy("label").agg(F.sum("c").alias("total")))
+    if counts.count() > BROADCAST_PAIRS:
         out = predict(docs, model, [key], text, tau)
         return out.withColumn("lines", F.lit(None).cast("array<struct<pos:int,pred:string,prob:double>>"))
     dense = Dense(model)

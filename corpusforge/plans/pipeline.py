@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from corpusforge.functions import lsh, pii
 from corpusforge.functions import warnings as W
+from corpusforge.functions.text import bound, lines
 from corpusforge.operators import filters
 
 #: An identifier takes documents and gives (doc_id, pred, prob, lines).
@@ -56,11 +57,11 @@ def run(docs: DataFrame, cfg: Config = Config()) -> CorpusResult:
     else:
         found = cfg.lid(docs).select("doc_id", F.col("pred").alias("label"), "prob", F.transform("lines", lambda x: x["pred"]).alias("line_labels"))
         rows = docs.join(found, "doc_id", "left")
-    flags = W.document_flags("text", cfg.warnings)
+    more = {}
     if cfg.lid is not None:
-        flags["lid_inconsistent"] = W.lid_inconsistent(F.col("line_labels"), F.col("label"), cfg.warnings)
-        flags["script_inconsistent"] = W.script_inconsistent(F.col("text"), F.col("label"), cfg.warnings)
-    rows = rows.withColumn("warnings", W.named(flags))
+        more["lid_inconsistent"] = W.lid_inconsistent(F.col("line_labels"), F.col("label"), cfg.warnings)
+        more["script_inconsistent"] = W.script_inconsistent(F.col("text"), F.col("label"), cfg.warnings)
+    rows = rows.withColumn("warnings", bound(lines("text"), lambda ls: W.named(W.document_flags("text", cfg.warnings, ls) | more)))
     rejected = is_rejected("label") if cfg.lid is not None and cfg.drop_rejected else F.lit(False)
     cost = filters.costly(F.col("warnings"), F.coalesce("label", F.lit("eng_Latn"))) if cfg.filter else F.expr("cast(array() as array<string>)")
     rows = rows.withColumn("reason", F.when(rejected, F.lit("rejected")).when(F.size(cost) > 0, F.element_at(cost, 1)))
