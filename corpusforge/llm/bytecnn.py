@@ -41,6 +41,10 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 4 == 2, F.lit(False))
 
 
+def has_letter(text: str | None) -> bool:
+    return any(m[0].isalpha() for m in LETTER.finditer(text)) if text else False
+
+
 @dataclass
 class Network:
     labels: list[str]
@@ -127,7 +131,7 @@ def _draw(batches):
     for rows in batches:
         out = []
         for doc, lang, text in zip(*(c.to_pylist() for c in rows.columns), strict=True):
-            if LETTER.search(text):
+            if has_letter(text):
                 all_ = windows_of(text)
                 for at in np.unique(np.linspace(0, len(all_) - 1, WINDOWS).astype(int)):
                     out.append((doc, int(at), lang, all_[at].tobytes()))
@@ -172,7 +176,7 @@ def _predict(net: Network | None, column: int = 1, with_text: bool = False):
                 n = 0
 
             for i, text in enumerate(texts):
-                if net and text and LETTER.search(text):
+                if net and has_letter(text):
                     w = windows_of(text)
                     share = np.full(len(w), float(LENGTH))
                     share[-1] = max(1, np.count_nonzero(w[-1]))

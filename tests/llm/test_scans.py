@@ -154,6 +154,10 @@ def test_tables_give_what_the_filters_give():
     assert np.allclose(net.probabilities(x, net.tables()), want / want.sum(axis=1, keepdims=True), atol=1e-3)
 
 
+def test_letters_are_told_from_other_signs():
+    assert [bytecnn.has_letter(t) for t in (None, "", "12 ² ½ _ !", "²é", "日")] == [False, False, False, True, True]
+
+
 def test_windows_cover_the_whole_text():
     for n in (0, 1, 255, 256, 257, 509, 510, 2000):
         text = "".join(chr(97 + i % 26) for i in range(n))
