@@ -115,11 +115,26 @@ _STATE: dict[tuple, object] = {}
 def worker_state(key: tuple, make: Callable[[], object]):
     """What a Python worker remembers between tasks, of one kind at a time: the next kind's state takes its place."""
     if key not in _STATE:
-        _STATE.clear()
+        if _STATE:
+            _STATE.clear()
+            _give_back()
         _STATE[key] = make()
     return _STATE[key]
 
 
+def _give_back() -> None:
+    """Return freed memory to the system, which allocators would rather keep."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 Batches = Iterator[pa.RecordBatch]
 
 
