@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from corpusforge.engine import arrow_map, batch
+from corpusforge.engine import arrow_map, batch, worker_state
 
 #: Network: bytes of a window, widths of filters, filters of each width, size of a byte's embedding.
 LENGTH, WIDTHS, FILTERS, EMBED = 256, (2, 3, 4), 16, 12
@@ -158,7 +158,7 @@ def train(docs: DataFrame) -> Network | None:
 
 def _predict(net: Network | None, column: int = 1, with_text: bool = False):
     def run(batches):
-        tables = net and net.tables()
+        tables = worker_state(("network", None if net is None else net.embed.tobytes()[:64]), lambda: net and net.tables())
         for rows in batches:
             texts = rows.column(column).to_pylist()
             sums, weights = np.zeros((len(texts), len(net.labels) if net else 1)), np.zeros(len(texts))

@@ -60,7 +60,7 @@ class PieceEncoder:
     whole call; whether that gives the same ids is tried on some words when the tokenizer is loaded.
     """
 
-    def __init__(self, path: str, capacity: int = 1_200_000):
+    def __init__(self, path: str, capacity: int = 1_000_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 

@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusforge.engine import arrow_map, batch, written
+from corpusforge.engine import arrow_map, batch, worker_state, written
 from corpusforge.operators.components import components
 
 WORDS, DISTANCE, SEED = 4, 4, 42
@@ -53,6 +53,7 @@ def fingerprint(hashes: np.ndarray) -> int:
 
 def _fingerprints(words: int):
     def run(batches):
+        worker_state(("fingerprints",), object)
         for rows in batches:
             prints = np.array([fingerprint(shingle_hashes(t, words)) for t in rows.column(1).to_pylist()], dtype=np.uint64)
             yield batch(doc_id=rows.column(0), print=pa.array(prints.view(np.int64)))
