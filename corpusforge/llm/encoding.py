@@ -131,9 +131,9 @@ class PieceEncoder:
         return learned
 
 
-def encoder(path: str) -> PieceEncoder:
+def encoder(path: str, capacity: int = 1_000_000) -> PieceEncoder:
     """One encoder in a Python worker."""
-    return worker_state(("encoder", path), lambda: PieceEncoder(path))
+    return worker_state(("encoder", path, capacity), lambda: PieceEncoder(path, capacity))
 
 
 def tokenizer_path(name: str) -> str:

@@ -22,12 +22,14 @@ from corpusforge.llm.encoding import encoder
 #: Format settings: rows between index entries, bytes of a stripe, share of false hits of a Bloom filter.
 OPTIONS = {"compression": "snappy", "orc.row.index.stride": "1000", "orc.stripe.size": str(16 << 20), "orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01"}
 CHUNK = 256
+#: Pieces of texts whose ids a worker remembers, some 230 bytes each.
+REMEMBERED = 1_600_000
 SCHEMA = "doc_id long, before long, n_tokens long, ids array<int>"
 
 
 def _encode(path: str, end_id: int):
     def run(batches):
-        enc, end, before = encoder(path), np.array([end_id], dtype="<u4").tobytes(), 0
+        enc, end, before = encoder(path, REMEMBERED), np.array([end_id], dtype="<u4").tobytes(), 0
         for rows in batches:
             for at in range(0, rows.num_rows, CHUNK):
                 part = rows.slice(at, CHUNK)
