@@ -10,7 +10,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from corpusforge.engine import read, scratch_path
-from corpusforge.llm import bytecnn, decontaminate, packing, secrets, simhash
+from corpusforge.llm import bytecnn, decontaminate, packing, secrets, shingles
 from corpusforge.llm.encoding import tokenizer_path
 
 #: Documents whose language is less certain than this are rejected, as are those without a letter.
@@ -24,8 +24,8 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near-duplicates the document with the smallest doc_id; rows without doc_id stay."""
-    return simhash.first_of_each(docs)
+    """Of each group of documents that share 0.8 of their five-word shingles the smallest doc_id; rows without doc_id stay."""
+    return shingles.first_of_each(docs)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -186,7 +186,11 @@ def first_of_each(docs: DataFrame, words: int = WORDS, distance: int = DISTANCE)
     apart by a hash of their columns.
     """
     found = near_duplicates(docs, words, distance).filter("doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("of")).distinct()
-    kept = docs.join(found, F.col("doc_id").cast("long") == F.col("of"), "left_anti")
+    return without_repeats(docs, docs.join(found, F.col("doc_id").cast("long") == F.col("of"), "left_anti"))
+
+
+def without_repeats(docs: DataFrame, kept: DataFrame) -> DataFrame:
+    """The rows of ``kept``, of those that repeat a doc_id in ``docs`` only one."""
     again = docs.filter("doc_id is not null").groupBy(F.col("doc_id").cast("long").alias("of")).agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
     if again.isEmpty():
         return kept
