@@ -3,7 +3,8 @@
 A seed is a fixed mask over neighbouring words: marked positions are hashed, the others may differ. Hashes of all seeds of
 the benchmark are joined with those of every document; around each hit both texts are laid over each other on that
 diagonal, and the longest stretch with at least ``SIMILARITY`` equal words is measured. A document and an item overlap when
-that stretch has ``OVERLAP`` words or more, or covers the whole of a shorter item.
+that stretch has ``OVERLAP`` words or more, or when an item of no more words lies whole in the document with that share of
+equal words, its first and last word included.
 
 The benchmark is broadcast in blocks of a bounded number of words, one pass over the documents for each block.
 
@@ -127,7 +128,10 @@ def overlaps(index: Index, words: np.ndarray, ends: np.ndarray):
     for doc, item, diagonal in seen:
         own, first, last = index.items[item][1], int(starts[doc]), int(ends[doc])
         low, high = max(0, first - diagonal), min(len(own), last - diagonal)
-        s, e = longest(words[diagonal + low : diagonal + high] == own[low:high])
+        equal = words[diagonal + low : diagonal + high] == own[low:high]
+        s, e = longest(equal)
+        if len(equal) == len(own) <= OVERLAP and equal.sum() >= SIMILARITY * len(own) - 1e-9:
+            s, e = 0, len(own)  # a whole short item, substituted words at its ends included
         if e - s >= min(OVERLAP, len(own)):
             out.append((doc, item, low + s, diagonal + low + s - first, e - s, int((words[diagonal + low + s : diagonal + low + e] == own[low + s : low + e]).sum())))
     return out
