@@ -1,7 +1,7 @@
 """Secret scans with DataFrame functions only: fixed patterns, and a battery of randomness tests.
 
 Patterns give the base spans. Besides, every token of 20 characters or more that mixes letters and digits gets an inferred
-encoding (hexadecimal, base 32, lower-case alphanumeric, base 64) and three tests against "its symbols are random": a
+encoding (hexadecimal or alphanumeric of one case, base 32, base 64 for the rest) and three tests against "its symbols are random": a
 chi-squared statistic of uniformity over that alphabet, the runs above and below its middle, and the correlation of
 neighbours. The smallest p-value (times three) enters a Benjamini-Hochberg control for each class of lengths, with a level
 that is stricter on short tokens, where tests have little power. Tokens that the control rejects are ordinary text; the
@@ -30,8 +30,10 @@ TOKEN = r"[A-Za-z0-9+/_-]{20,}={0,2}"
 
 ALPHABETS = {
     "hex": "0123456789abcdef",
+    "upper hex": "0123456789ABCDEF",
     "base32": "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567",
     "base36": "0123456789abcdefghijklmnopqrstuvwxyz",
+    "upper base36": "0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZ",
     "base64": "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/",
 }
 #: Length classes by their lower ends, and the level of false-discovery control in each.
@@ -113,14 +115,23 @@ def _tail(z: Column) -> Column:
     return F.exp(-0.717 * z - 0.416 * z * z) / 2
 
 
+def _symbols(v: Column) -> Column:
+    """What is tested: without separators where letters have one case and 20 characters are left, else as base 64."""
+    bare = F.regexp_replace(v, "[-_/+=]", "")
+    one_case = ~(v.rlike("[a-z]") & v.rlike("[A-Z]"))
+    return F.when(one_case & (F.length(bare) >= LENGTHS[0][0]), bare).otherwise(F.translate(F.regexp_replace(v, "=+$", ""), "-_", "+/"))
+
+
 def _encoding(v: Column) -> Column:
-    digit, letter = v.rlike("[0-9]"), v.rlike("[A-Za-z]")
+    digit, letter, s = v.rlike("[0-9]"), v.rlike("[A-Za-z]"), _symbols(v)
     return (
         F.when(~(digit & letter), F.lit(None))
-        .when(v.rlike("^[0-9a-f]+$"), F.lit("hex"))
-        .when(v.rlike("^[A-Z2-7]+=*$"), F.lit("base32"))
-        .when(v.rlike("^[0-9a-z]+$"), F.lit("base36"))
-        .when(v.rlike("[a-z]") & v.rlike("[A-Z]"), F.lit("base64"))
+        .when(s.rlike("^[0-9a-f]+$"), F.lit("hex"))
+        .when(s.rlike("^[0-9A-F]+$"), F.lit("upper hex"))
+        .when(s.rlike("^[A-Z2-7]+$"), F.lit("base32"))
+        .when(s.rlike("^[0-9a-z]+$"), F.lit("base36"))
+        .when(s.rlike("^[0-9A-Z]+$"), F.lit("upper base36"))
+        .otherwise(F.lit("base64"))
     )
 
 
@@ -148,8 +159,7 @@ def p_value(value: Column, encoding: Column) -> Column:
         chi_p = F.when(z_chi > 0, _tail(z_chi)).otherwise(F.lit(0.5))
         return F.least(F.lit(1.0), 3 * F.least(chi_p, 2 * _tail(z_runs), 2 * _tail(z_serial)))
 
-    plain = F.translate(F.regexp_replace(value, "=+$", ""), "-_", "+/")
-    return F.transform(F.array(F.struct(plain.alias("s"), alphabet.alias("a"))), tests)[0]
+    return F.transform(F.array(F.struct(_symbols(value).alias("s"), alphabet.alias("a"))), tests)[0]
 
 
 def candidates(text: Column) -> Column:
