@@ -1,4 +1,4 @@
-"""Opt-in deduplication: exact by hash, near by bands of the digest."""
+"""Opt-in deduplication: exact by hash, near by bands of the digest with one code left out."""
 
 from __future__ import annotations
 
@@ -9,7 +9,9 @@ from corpusforge.engine import written
 from corpusforge.functions import lsh
 from corpusforge.operators.components import components
 
-BAND, MAX_DISTANCE = 4, 30
+#: Bands of sixteen two-bit codes. A changed code costs 1 at least, so up to this distance some band has one change at most.
+BANDS, CODES = 16, 16
+MAX_DISTANCE = 30
 
 
 def exact(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -18,13 +20,18 @@ def exact(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def near(docs: DataFrame, max_distance: int = MAX_DISTANCE) -> DataFrame:
-    """(doc_id, component_id): documents whose digests are close and share a band of four bytes, with what they lead to.
+    """(doc_id, component_id): documents whose digests are close, with what they lead to.
 
+    Of 16 bands one has at most a single changed code at distances below 32, so digests meet on bands with one code left out.
     Equal digests meet once. A document without digest stands alone.
     """
+    if max_distance >= 2 * BANDS:
+        raise ValueError(f"{BANDS} bands with one change find all pairs only below distance {2 * BANDS}")
     own = written(lsh.digests(docs, "doc_id"), "digests")
     one = own.filter("lsh_digest is not null").groupBy("lsh_digest").agg(F.min("doc_id").alias("id"))
-    bands = F.transform(F.sequence(F.lit(0), F.lit(15)), lambda k: F.concat_ws(":", k, F.substring("lsh_digest", k * 8 + 11, F.lit(8))))
+    values = F.transform(F.sequence(F.lit(0), F.lit(BANDS - 1)), lambda k: F.struct(k.alias("k"), F.conv(F.substring("lsh_digest", k * 8 + 11, F.lit(8)), 16, 10).cast("long").alias("v")))
+    left_out = lambda x, j: x["v"].bitwiseAND(F.expr("3L") * F.pow(F.lit(4), j).cast("long") * -1 - 1).bitwiseOR((x["k"] * CODES + j).cast("long") * (1 << 32))
+    bands = F.flatten(F.transform(values, lambda x: F.transform(F.sequence(F.lit(0), F.lit(CODES - 1)), lambda j: left_out(x, j))))
     banded = one.select("id", "lsh_digest", F.explode(bands).alias("band"))
     other = banded.select(F.col("id").alias("b"), F.col("lsh_digest").alias("digest_b"), "band")
     pairs = banded.withColumnsRenamed({"id": "a", "lsh_digest": "digest_a"}).join(other, "band").filter("a < b").select("a", "b", "digest_a", "digest_b").distinct()
