@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 
 from corpusforge.engine import arrow_map, worker_state, written
 from corpusforge.functions.features import NMAX, NMIN
+from corpusforge.functions.text import exploded_lines
 from corpusforge.operators.lid import LidModel, predict
 
 #: (bucket, label) pairs that may be broadcast; larger models predict by join.
@@ -115,13 +116,29 @@ def _pass(holder, key: str, pattern: str, tau: float, with_lines: bool):
     return run
 
 
+LINES = "array<struct<pos:int,pred:string,prob:double>>"
+
+
+def _identify_by_join(docs: DataFrame, model: LidModel, key: str, text: str, tau: float, with_lines: bool) -> DataFrame:
+    """Documents and lines predicted by join; rows are numbered once, since keys may be null or repeated."""
+    rows = written(docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"), F.monotonically_increasing_id().alias("unit")), "units")
+    out = rows.select("id", "unit").join(predict(rows, model, ["unit"], "text", tau), "unit", "left")
+    if with_lines:
+        lines = exploded_lines(rows.select("unit", "text"))
+        found = lines.select("unit", "pos").join(predict(lines, model, ["unit", "pos"], "line", tau), ["unit", "pos"], "left")
+        gathered = found.groupBy("unit").agg(F.array_sort(F.collect_list(F.struct("pos", "pred", "prob"))).alias("lines"))
+        out = out.join(gathered, "unit", "left").withColumn("lines", F.coalesce(F.col("lines").cast(LINES), F.array().cast(LINES)))
+    else:
+        out = out.withColumn("lines", F.lit(None).cast(LINES))
+    return out.select(F.col("id").alias(key), "pred", "prob", "lines")
+
+
 def identify(docs: DataFrame, model: LidModel, key: str = "doc_id", text: str = "text", tau: float = 1.0, with_lines: bool = True) -> DataFrame:
-    """(key, pred, prob, lines) of whole texts; by broadcast while the model is small, else documents alone by join."""
+    """(key, pred, prob, lines) of whole texts; by broadcast while the model is small, else by join, with the same result."""
     counts = written(model.counts, "model")  # counted, collected and summed: trained once
     model = replace(model, counts=counts, totals=counts.groupBy("label").agg(F.sum("c").alias("total")))
     if counts.count() > BROADCAST_PAIRS:
-        out = predict(docs, model, [key], text, tau)
-        return out.withColumn("lines", F.lit(None).cast("array<struct<pos:int,pred:string,prob:double>>"))
+        return _identify_by_join(docs, model, key, text, tau, with_lines)
     dense = Dense(model)
     name = hashlib.md5(dense.gain.tobytes() + dense.keys.tobytes()).hexdigest()
     holder = docs.sparkSession.sparkContext.broadcast(dense)

@@ -36,3 +36,13 @@ def test_digests_whose_changes_touch_every_band_are_linked(spark, monkeypatch):
     table = spark.createDataFrame(list(enumerate(digests)), "doc_id long, lsh_digest string")
     monkeypatch.setattr(dedup.lsh, "digests", lambda docs, key: table)
     assert [c for _, c in sorted(map(tuple, dedup.near(table).collect()))] == want
+
+
+def test_join_path_gives_the_same_lines(spark, small, monkeypatch):
+    m = queries.model(spark, small)
+    docs = queries.test_docs(spark, small).select("doc_id", "text").union(spark.createDataFrame([(5, None), (5, "12 34\n\n the word"), (None, "une autre ligne")], "doc_id long, text string"))
+    line = lambda x: (x.pos, x.pred, x.prob and round(x.prob, 6))
+    rows = lambda: sorted(((r.doc_id or -1, str(r.pred), round(r.prob or 0, 6), list(map(line, r.lines))) for r in annotate.identify(docs, m).collect()), key=str)
+    want = rows()
+    monkeypatch.setattr(annotate, "BROADCAST_PAIRS", 0)
+    assert rows() == want
