@@ -94,7 +94,7 @@ def ngram_counts(spark, sf):
 
 @query
 def hash_buckets(spark, sf):
-    g = lid.vocabulary(lines(spark, sf)).filter(F.length("g") <= 3)
+    g = lid.vocabulary(lines(spark, sf))
     return g.select("g", features.bucket("g", BUCKETS).alias("b"), features.fnv1a("g").alias("fnv"))
 
 
@@ -132,7 +132,7 @@ def lid_predict_docs(spark, sf):
 
 @query
 def lid_predict_lines(spark, sf):
-    rows = lines(spark, sf).filter("part = 9 and pos < 3").select("doc_id", "pos", "line")
+    rows = lines(spark, sf).filter("part = 9").select("doc_id", "pos", "line")
     return lid.predict(rows, model(spark, sf), ["doc_id", "pos"], "line").select("doc_id", "pos", "pred", F.round("prob", 4).alias("prob"))
 
 

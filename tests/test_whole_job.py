@@ -46,3 +46,24 @@ def test_join_path_gives_the_same_lines(spark, small, monkeypatch):
     want = rows()
     monkeypatch.setattr(annotate, "BROADCAST_PAIRS", 0)
     assert rows() == want
+
+
+def grams(text: str) -> set[str]:
+    return {p[i : i + n] for w in re.findall(r"[^\W\d_]+", text.lower()) for p in [f" {w} "] for n in range(2, 6) for i in range(len(p) - n + 1)}
+
+
+def test_every_line_is_predicted_and_every_gram_has_its_bucket(spark, small):
+    lines = queries.lines(spark, small).filter("part = 9").filter(F.col("line").rlike(r"\p{L}"))
+    got = {(r.doc_id, r.pos) for r in queries.QUERIES["lid_predict_lines"](spark, small).collect()}
+    assert got == {(r.doc_id, r.pos) for r in lines.select("doc_id", "pos").collect()} and max(p for _, p in got) >= 3
+    want = set().union(*(grams(r.line) for r in queries.lines(spark, small).collect()))
+    rows = {r.g: (r.b, r.fnv) for r in queries.QUERIES["hash_buckets"](spark, small).collect()}
+    assert set(rows) == want and max(map(len, want)) == 5
+
+    def fnv(g: str) -> int:
+        h = 2166136261
+        for byte in g.encode():
+            h = (h ^ byte) * 16777619 & 0xFFFFFFFF
+        return h
+
+    assert rows == {g: (int(hashlib.md5(g.encode()).hexdigest()[:8], 16) % queries.BUCKETS, fnv(g)) for g in want}
