@@ -378,7 +378,7 @@ def noise_pdf(spark, sf):
 
 @query
 def noise_spaced(spark, sf):
-    return docs(spark, sf, "doc_id", "text").select("doc_id", noise.spaced(F.substring("text", 1, 80)).alias("line"))
+    return docs(spark, sf, "doc_id", "text").select("doc_id", noise.spaced("text").alias("line"))
 
 
 @query
@@ -388,17 +388,17 @@ def noise_binary(spark, sf):
 
 @query
 def noise_mojibake_latin(spark, sf):
-    return docs(spark, sf, "doc_id", "text", "lang").filter("lang <> 'en'").select("doc_id", noise.mojibake_latin(F.substring("text", 1, 80)).alias("line"))
+    return docs(spark, sf, "doc_id", "text", "lang").filter("lang <> 'en'").select("doc_id", noise.mojibake_latin("text").alias("line"))
 
 
 @query
 def noise_mojibake_arabic(spark, sf):
-    return docs(spark, sf, "doc_id", "text", "lang").filter("lang <> 'en'").select("doc_id", noise.mojibake_arabic(F.substring("text", 1, 80)).alias("line"))
+    return docs(spark, sf, "doc_id", "text", "lang").filter("lang <> 'en'").select("doc_id", noise.mojibake_arabic("text").alias("line"))
 
 
 @query
 def noise_replacement(spark, sf):
-    return docs(spark, sf, "doc_id", "text").select("doc_id", noise.replacement_char(F.substring("text", 1, 60), "doc_id").alias("line"))
+    return docs(spark, sf, "doc_id", "text").select("doc_id", noise.replacement_char("text", "doc_id").alias("line"))
 
 
 @query
