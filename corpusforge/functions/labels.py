@@ -27,6 +27,8 @@ ADMISSIBLE = {
     "eng": ("Latn",), "fra": ("Latn",), "deu": ("Latn",), "spa": ("Latn",), "rus": ("Cyrl",), "srp": ("Cyrl", "Latn"), "ara": ("Arab",),
     "cmn": ("Hani",), "jpn": ("Hani", "Hira", "Kana"), "ell": ("Grek",), "hin": ("Deva",), "kaz": ("Cyrl", "Arab", "Latn"),
 }
+#: Codes that stand for several scripts written together.
+COMPOSITE = {"Jpan": ("Hani", "Hira", "Kana"), "Kore": ("Hang", "Hani"), "Hans": ("Hani",), "Hant": ("Hani",)}
 
 
 def label_of(lang: Column | str) -> Column:

@@ -8,6 +8,7 @@ import zlib
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import types as T
 
 from corpusforge.engine import arrow_map
 
@@ -67,6 +68,17 @@ def digests(df: DataFrame, key: str, text: str = "text") -> DataFrame:
     return arrow_map(df.select(key, text), run, f"`{key}` {df.schema[key].dataType.simpleString()}, lsh_digest string")
 
 
+def with_digests(df: DataFrame, text: str = "text", name: str = "lsh_digest") -> DataFrame:
+    """Rows with their digest; nothing is joined."""
+    at = df.columns.index(text)
+
+    def run(batches):
+        for rows in batches:
+            yield pa.RecordBatch.from_arrays([*rows.columns, pa.array([digest(t) for t in rows.column(at).to_pylist()], pa.string())], names=[*rows.schema.names, name])
+
+    return arrow_map(df, run, T.StructType([*df.schema.fields, T.StructField(name, T.StringType())]))
+
+
 def distances(pairs: DataFrame) -> DataFrame:
     """Pairs (a, b, digest_a, digest_b) with their distance."""
 

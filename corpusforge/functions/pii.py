@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from corpusforge.functions.text import bucket_of, col
+from corpusforge.functions.text import bound, bucket_of, col
 
 EMAIL = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}"
 #: What e-mail addresses become, and addresses that answer nobody for public IPs.
@@ -43,7 +43,7 @@ def ips(text: Column | str, pool: tuple[str, ...] = POOL) -> Column:
 
 
 def apply(text: Column | str) -> Column:
-    return ips(emails(text))
+    return bound(emails(text), lambda t: ips(t))
 
 
 def counts(text: Column | str) -> Column:

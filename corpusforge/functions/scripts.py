@@ -7,6 +7,7 @@ import bisect
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from corpusforge.engine import arrow_map
 from corpusforge.functions.text import col, share
@@ -42,6 +43,28 @@ def main_script(text: Column | str, scripts: tuple[str, ...] = tuple(PATTERNS))
     return F.array_min(entries)["k"]
 
 
+def count_letters(df: DataFrame, text: str = "text", name: str = "letters") -> DataFrame:
+    """Rows with an array column: all letters of the text, then those of each script of ``PATTERNS``; one Arrow pass."""
+    at = df.columns.index(text)
+
+    def run(batches):
+        from corpusforge.functions.marks import code_classes, letters
+
+        for rows in batches:
+            found = [letters(code_classes(t)) if t is not None else None for t in rows.column(at).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(found, pa.list_(pa.int64()))], names=[*rows.schema.names, name])
+
+    return arrow_map(df, run, T.StructType([*df.schema.fields, T.StructField(name, T.ArrayType(T.LongType()))]))
+
+
+def main_of_counts(letters: Column, scripts: tuple[str, ...] = tuple(PATTERNS)) -> Column:
+    """The script of most letters, the first by name of equals, from counted letters."""
+    places = list(PATTERNS)
+    entries = F.array(*[F.struct((-letters[places.index(s) + 1]).alias("v"), F.lit(s).alias("k")) for s in scripts])
+    least = F.array_min(entries)
+    return F.when(least["v"] < 0, least["k"])
+
+
 def scripts_in_one_pass(df: DataFrame, ids: list[str], text: str = "text") -> DataFrame:
     """(ids, script, n) for every script of ``RANGES``: one pass over the text, whatever the number of scripts."""
     starts, ends, names = zip(*sorted(RANGES), strict=True)

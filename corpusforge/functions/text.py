@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import sys
+import unicodedata
+from functools import lru_cache
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -10,6 +14,15 @@ WORD = r"[\p{L}\p{N}]+"
 VISIBLE = r"\S+"
 
 
+@lru_cache(maxsize=1)
+def letter_class() -> str:
+    """All letters (Unicode category L) as a character class of Python's regular expressions, which have no ``\\p{L}``."""
+    is_letter = [unicodedata.category(chr(c))[0] == "L" for c in range(sys.maxunicode + 1)]
+    starts = [c for c in range(len(is_letter)) if is_letter[c] and not (c and is_letter[c - 1])]
+    ends = [c for c in range(len(is_letter)) if is_letter[c] and not (c + 1 < len(is_letter) and is_letter[c + 1])]
+    return "[" + "".join(f"{chr(a)}-{chr(b)}" if a < b else chr(a) for a, b in zip(starts, ends, strict=True)) + "]"
+
+
 def col(c: Column | str) -> Column:
     return F.col(c) if isinstance(c, str) else c
 

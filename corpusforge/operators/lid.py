@@ -12,7 +12,9 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from corpusforge.functions import labels as lab
 from corpusforge.functions.features import BUCKETS, bucket, ngrams_of_word
+from corpusforge.functions.scripts import count_letters, main_of_counts
 from corpusforge.functions.text import LETTERS, words
 
 ALPHA = 0.5
@@ -49,10 +51,10 @@ def word_buckets(vocabulary: DataFrame, buckets: int = BUCKETS, nmin: int = 2, n
 
 
 def fit_counts(rows: DataFrame, text: str = "line", buckets: int = BUCKETS, alpha: float = ALPHA, pattern: str = LETTERS) -> LidModel:
-    """Occurrences of buckets under labels."""
+    """Occurrences of buckets under labels: words are counted before they are cut, n-grams before they are hashed."""
     counted = word_counts(rows, ["label"], text, pattern)
-    spread = word_buckets(counted.select("word").distinct(), buckets)
-    counts = counted.join(spread, "word").groupBy("b", "label").agg(F.sum(F.col("n") * F.col("tf")).alias("c"))
+    grams = counted.select("label", "n", F.explode(ngrams_of_word("word")).alias("g")).groupBy("label", "g").agg(F.sum("n").alias("n"))
+    counts = grams.groupBy(bucket("g", buckets).alias("b"), "label").agg(F.sum("n").alias("c"))
     return LidModel(counts, counts.groupBy("label").agg(F.sum("c").alias("total")), buckets, alpha, pattern)
 
 
@@ -94,6 +96,16 @@ def predict(units: DataFrame, model: LidModel, keys: list[str], text: str, tau:
     return best(probabilities(scored, keys, tau), keys)
 
 
+def predict_restricted(units: DataFrame, model: LidModel, keys: list[str], text: str, tau: float = 1.0) -> DataFrame:
+    """As :func:`predict`, but only labels of the text's main script may win; a text of no counted script may be anything."""
+    main = count_letters(units.select(*keys, text), text).select(*keys, main_of_counts(F.col("letters")).alias("main"))
+    script = lab.parse("label")["script"]
+    composite = F.coalesce(F.array_contains(F.element_at(F.create_map(*[x for k, v in lab.COMPOSITE.items() for x in (F.lit(k), F.array(*[F.lit(s) for s in v]))]), script), F.col("main")), F.lit(False))
+    fits = F.col("main").isNull() | (script == F.col("main")) | composite
+    allowed = scores(units, model, keys, text).join(main, keys).filter(fits).drop("main")
+    return best(probabilities(allowed, keys, tau), keys)
+
+
 def reject(pred: DataFrame, min_prob: float) -> DataFrame:
     """Predictions below a probability become misses."""
     return pred.withColumn("pred", F.when(F.col("prob") >= min_prob, F.col("pred")))

@@ -72,7 +72,8 @@ def resample(lines: DataFrame, cap: int, key: str = "label") -> DataFrame:
 def grams(text: Column, n: int = 4) -> Column:
     """Distinct word n-grams of a text."""
     none = F.expr("cast(array() as array<string>)")
-    of = lambda w: F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.concat_ws(" ", F.slice(w, i, n)))).otherwise(none)
+    at = lambda w, i: F.concat_ws(" ", *[F.get(w, i + k) for k in range(n)])
+    of = lambda w: F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(0), F.size(w) - n), lambda i: at(w, i))).otherwise(none)
     return F.array_distinct(bound(words(text), of))
 
 

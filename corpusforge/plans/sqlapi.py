@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 FUNCTIONS = {
     "text_lines": "filter(transform(split(t, '\\n'), x -> trim(x)), x -> x <> '')",
     "warn_tiny": "size(filter(split(t, '\\n'), x -> trim(x) <> '')) < 3",
-    "warn_policy": "lower(t) rlike 'cookie policy|privacy policy|terms of use|use cookies|use of cookies|uses cookies'",
+    "warn_policy": "lower(t) rlike 'terms of use|privacy policy|cookie policy|uses cookies|use of cookies|use cookies'",
     "warn_js": "t rlike 'Java[Ss]cript'",
     "warn_curly": "t rlike '[{}]'",
     "warn_long_word": "t rlike '[^ \\t\\r\\n]{101,}'",

@@ -78,9 +78,11 @@ def mixed_test(spark, sf):
 
 
 def predicted(spark, sf, m=None, only=None):
-    """(doc_id, gold, pred, prob) of held-out documents."""
-    test = test_docs(spark, sf)
-    return test.select("doc_id", "gold").join(lid.predict(test, m or model(spark, sf), ["doc_id"], "text", only=only), "doc_id", "left")
+    """(doc_id, gold, pred, prob) of held-out documents: the Arrow pass, or the join where only some labels may win."""
+    test, m = test_docs(spark, sf), m or model(spark, sf)
+    if only is None:
+        return annotate.identify_rows(test, m, by=annotate.Pass(lines=False)).select("doc_id", "gold", "pred", "prob")
+    return test.select("doc_id", "gold").join(lid.predict(test, m, ["doc_id"], "text", only=only), "doc_id", "left")
 
 
 # --------------------------------------------------------------------------------------------- features, model, scores
@@ -127,7 +129,9 @@ def lid_train_counts(spark, sf):
 
 @query
 def lid_predict_docs(spark, sf):
-    return predicted(spark, sf).select("doc_id", "pred", F.round("prob", 4).alias("prob"))
+    """By joins alone, as for a model of any size."""
+    test = test_docs(spark, sf)
+    return test.select("doc_id").join(lid.predict(test, model(spark, sf), ["doc_id"], "text"), "doc_id", "left").select("doc_id", "pred", F.round("prob", 4).alias("prob"))
 
 
 @query
@@ -344,9 +348,11 @@ def swapped(spark, sf):
 
 @query
 def script_shares(spark, sf):
-    s = swapped(spark, sf)
-    counts = [scripts.letters_in("text", k).cast("long").alias(k.lower()) for k in ("Latn", "Cyrl", "Arab", "Hani")]
-    return s.select("doc_id", *counts, scripts.main_script("text", ("Latn", "Cyrl", "Arab", "Hani")).alias("main"))
+    s = scripts.count_letters(swapped(spark, sf).select("doc_id", "text"))
+    counted = ("Latn", "Cyrl", "Arab", "Hani")
+    places = list(scripts.PATTERNS)
+    counts = [F.col("letters")[places.index(k) + 1].alias(k.lower()) for k in counted]
+    return s.select("doc_id", *counts, scripts.main_of_counts(F.col("letters"), counted).alias("main"))
 
 
 @query
@@ -520,7 +526,8 @@ def warn_lid_inconsistent(spark, sf):
 
 @query
 def warn_script_inconsistent(spark, sf):
-    return swapped(spark, sf).filter(W.script_inconsistent(F.col("text"), F.col("label"))).select("doc_id")
+    counted = scripts.count_letters(swapped(spark, sf))
+    return counted.filter(W.script_inconsistent_counts(F.col("letters"), F.col("label"), W.technical("text"))).select("doc_id")
 
 
 def annotated(spark, sf):
@@ -630,13 +637,8 @@ def dedup_near(spark, sf):
     return dedup.near(docs(spark, sf, "doc_id", "text"))
 
 
-def identifier(spark, sf, labels=None):
-    m = model(spark, sf, labels)
-    return lambda d: annotate.identify(d, m)
-
-
 def corpus(spark, sf, labels=None, **changes):
-    return pipeline.run(docs(spark, sf), pipeline.Config(lid=identifier(spark, sf, labels)).but(**changes))
+    return pipeline.run(docs(spark, sf), pipeline.Config(model=model(spark, sf, labels)).but(**changes))
 
 
 @query

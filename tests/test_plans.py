@@ -28,8 +28,10 @@ def test_scans_are_pruned_and_filters_pushed(spark, small):
 
 
 def test_annotation_needs_no_shuffle_and_no_python(spark, small):
-    text = plan(queries.QUERIES["warn_all"](spark, small))
+    text = plan(W.annotate_columns(read(spark, small, "documents")))
     assert "Exchange" not in text and "Python" not in text and "Arrow" not in text
+    assert "Exchange" not in plan(queries.QUERIES["warn_all"](spark, small))
+    assert "Exchange" not in plan(pipeline.run(read(spark, small, "documents"), pipeline.Config(model=queries.model(spark, small))).kept)
 
 
 @pytest.fixture(scope="module")
