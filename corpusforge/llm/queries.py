@@ -76,4 +76,16 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_token_counts, op2_sharding, op3_licenses, op4_language, op5_decontamination, op6_near_vectors, op7_token_files, op8_secrets, op9_packing, op10_simhash)}
-ORACLES: dict[str, str] = {}
+
+#: DuckDB twins, where SQL can express the operator.
+ORACLES: dict[str, str] = {
+    "op2_sharding": "select doc_id, md5(text) as text_md5, lang, source, n_chars, cast(3 as bigint) as version from documents",
+    "op6_near_vectors": """with recursive rows as (select row_number() over () as r, vec_id, label, cast(embedding as double[]) as e from embeddings),
+fit as (select *, len(e) as d from rows where vec_id is not null and label is not null and coalesce(len(list_filter(e, lambda x: x is null or not isfinite(x))) = 0 and len(list_filter(e, lambda x: x <> 0)) > 0, false)),
+unit as (select r, vec_id, label, d, [x / norm for x in e] as u from (select *, sqrt(list_sum([x * x for x in e])) as norm from fit)),
+links as (select x.r as a, y.r as b from unit x join unit y on x.label = y.label and x.d = y.d and x.r <> y.r where list_dot_product(x.u, y.u) >= 0.93),
+reach as (select r as a, r as b from fit union select reach.a, links.b from reach join links on reach.b = links.a),
+least as (select a, min(vec_id) as component_id from reach join fit on b = r group by 1),
+counts as (select a, count(*) as n from links group by 1)
+select vec_id, coalesce(n, 0) as n_links, coalesce(component_id, vec_id) as component_id, coalesce(vec_id = component_id, true) as kept from rows left join counts c on c.a = rows.r left join least l on l.a = rows.r""",
+}

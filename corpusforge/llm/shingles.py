@@ -5,7 +5,8 @@ similarity s but for a share (1 - s ** ROWS) ** BANDS of the pairs: three in a m
 with the same members are met once; a task holds the shingle hashes of a bounded run of a group and links it by a spanning
 forest of exact similarities; longer groups are split into blocks, and each pair of blocks is a run of its own.
 
-Defined results: null and blank texts are copies of each other; a row without doc_id is never dropped and stands for nobody.
+Defined results: null and blank texts are copies of each other; a row without doc_id is never dropped and stands for nobody;
+rows that repeat a doc_id with another text belong to that text's group.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusforge.engine import arrow_map, batch, worker_state, written
-from corpusforge.llm.simhash import shingle_hashes, without_repeats
+from corpusforge.llm.simhash import keep_first, row_hash, shingle_hashes
 from corpusforge.operators.components import components
 
 WORDS, SIMILARITY = 5, 0.8
@@ -52,7 +53,7 @@ def _sketches(words: int):
         for rows in batches:
             sets = [shingles(t, words) for t in rows.column(1).to_pylist()]
             whole = pa.array([xxhash.xxh64_intdigest(s.tobytes()) - (1 << 63) for s in sets], pa.int64())
-            yield batch(doc_id=rows.column(0), whole=whole, bands=pa.array([bands(s) for s in sets], pa.list_(pa.int64())), hashes=pa.array([s.tobytes() for s in sets], pa.binary()))
+            yield batch(doc_id=rows.column(0), whole=whole, bands=pa.array([bands(s) for s in sets], pa.list_(pa.int64())), hashes=pa.array([s.tobytes() for s in sets], pa.binary()), row=rows.column(2))
 
     return run
 
@@ -106,8 +107,14 @@ def _link_groups(similarity: float):
 
 def near_copies(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, run: int = RUN) -> DataFrame:
     """(doc_id, component_id) of every document with a doc_id; the component is the smallest doc_id reachable by links."""
-    source = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    own = written(arrow_map(source, _sketches(words), "doc_id long, whole long, bands array<long>, hashes binary"), "sketches")
+    own, component = _grouped(docs, words, similarity, run)
+    return own.select("doc_id", "whole").join(component, "whole").select("doc_id", "component_id")
+
+
+def _grouped(docs: DataFrame, words: int, similarity: float, run: int) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, whole, bands, hashes, row) of every document with a doc_id, and (whole, component_id) of its set of shingles."""
+    source = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long"), F.col("text").cast("string"), row_hash(docs).alias("row"))
+    own = written(arrow_map(source, _sketches(words), "doc_id long, whole long, bands array<long>, hashes binary, row long"), "sketches")
     distinct = written(own.groupBy("whole").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands")), "distinct")
     banded = distinct.select("whole", F.explode("bands").alias("key"))
     groups = banded.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("whole")).alias("x"), F.min("whole").alias("least"), F.max("whole").alias("most")).filter("n > 1")
@@ -120,11 +127,10 @@ def near_copies(docs: DataFrame, words: int = WORDS, similarity: float = SIMILAR
     linked = components(arrow_map(runs, _link_groups(similarity), "a long, b long"))
     reached = distinct.select("whole", "id").join(linked.withColumnsRenamed({"id": "whole", "component": "group"}), "whole", "left")
     first = reached.filter("group is not null").groupBy("group").agg(F.min("id").alias("least"))
-    component = reached.join(first, "group", "left").select("whole", F.coalesce("least", "id").alias("component_id"))
-    return own.select("doc_id", "whole").join(component, "whole").select("doc_id", "component_id")
+    return own, reached.join(first, "group", "left").select("whole", F.coalesce("least", "id").alias("component_id"))
 
 
-def first_of_each(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY) -> DataFrame:
-    """Rows, with all their columns, that stand for their group: the smallest doc_id, one row of it; rows without doc_id stay."""
-    found = near_copies(docs, words, similarity).filter("doc_id <> component_id").select(F.col("doc_id").alias("of")).distinct()
-    return without_repeats(docs, docs.join(found, F.col("doc_id").cast("long") == F.col("of"), "left_anti"))
+def first_of_each(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, run: int = RUN) -> DataFrame:
+    """Rows, with all their columns, that stand for their group: of a group one row of the smallest doc_id; rows without doc_id stay."""
+    own, component = _grouped(docs, words, similarity, run)
+    return keep_first(docs, own.select("doc_id", "row", "whole").join(component, "whole").select("doc_id", "row", F.col("component_id").alias("group")))

@@ -56,7 +56,7 @@ def _fingerprints(words: int):
         worker_state(("fingerprints",), object)
         for rows in batches:
             prints = np.array([fingerprint(shingle_hashes(t, words)) for t in rows.column(1).to_pylist()], dtype=np.uint64)
-            yield batch(doc_id=rows.column(0), print=pa.array(prints.view(np.int64)))
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(prints.view(np.int64)), *rows.columns[2:]], names=["doc_id", "print", *rows.schema.names[2:]])
 
     return run
 
@@ -113,9 +113,8 @@ def _link_runs(distance: int, longest: int):
             return batch(a=pa.array(a + pad, pa.int64()), b=pa.array(b + pad, pa.int64()), key=pa.array(nones + k, pa.int64()), sub=pa.array(nones + s, pa.int64()), print=pa.array(nones + p, pa.int64()), id=pa.array(nones + i, pa.int64()))
 
         def close():
-            if len(ids) and not over and (n := sum(map(len, ids))) > 1:
-                if n > 1:
-                    links.extend(_forest(np.concatenate(prints).view(np.uint64), np.concatenate(ids), distance))
+            if len(ids) and not over and sum(map(len, ids)) > 1:
+                links.extend(_forest(np.concatenate(prints).view(np.uint64), np.concatenate(ids), distance))
 
         for rows in batches:
             k, s, p, i = (rows.column(c).to_numpy(zero_copy_only=False) for c in range(4))
@@ -180,23 +179,39 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, distance: int = DISTANC
 
 
 def first_of_each(docs: DataFrame, words: int = WORDS, distance: int = DISTANCE) -> DataFrame:
-    """Rows, with all their columns, that stand for their group: the smallest doc_id, one row of it; rows without doc_id stay.
+    """Rows, with all their columns, that stand for their group: of a group one row of the smallest doc_id; rows without doc_id stay."""
+    source = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long"), F.col("text").cast("string"), row_hash(docs).alias("row"))
+    prints = written(arrow_map(source, _fingerprints(words), "doc_id long, print long, row long"), "prints")
+    distinct = written(prints.groupBy("print").agg(F.min("doc_id").alias("id")), "distinct")
+    component = distinct.join(components(links(distinct, distance)), "id", "left").select("print", F.coalesce("component", "id").alias("group"))
+    return keep_first(docs, prints.join(component, "print").select("doc_id", "row", "group"))
 
-    Only ids travel: the ids to be dropped are those that are not their component's, and rows that repeat an id are told
-    apart by a hash of their columns.
-    """
-    found = near_duplicates(docs, words, distance).filter("doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("of")).distinct()
-    return without_repeats(docs, docs.join(found, F.col("doc_id").cast("long") == F.col("of"), "left_anti"))
+
+def row_hash(docs: DataFrame):
+    """A number that tells rows of one doc_id apart; equal rows have the same."""
+    return F.xxhash64(*[F.col(f"`{c}`") for c in docs.columns])
 
 
-def without_repeats(docs: DataFrame, kept: DataFrame) -> DataFrame:
-    """The rows of ``kept``, of those that repeat a doc_id in ``docs`` only one."""
-    again = docs.filter("doc_id is not null").groupBy(F.col("doc_id").cast("long").alias("of")).agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+def keep_first(docs: DataFrame, members: DataFrame) -> DataFrame:
+    """``docs`` without the rows that another row of their group stands for; ``members`` has (doc_id, row, group) of each row with a doc_id.
+
+    Rows are told apart by their doc_id and a hash of all columns, so rows of one doc_id with different texts have each
+    their own fate. The smallest doc_id stands for a group, of its rows the one with the smallest hash, of equal rows one.
+    Only ids and hashes travel, but for the rows of a repeated one that stays.
+    """
+    members = written(members, "members")
+    first = members.groupBy("group").agg(F.min(F.struct("doc_id", "row")).alias("first")).select(F.col("group").alias("g"), "first.*")
+    first = first.select("g", F.col("doc_id").alias("i"), F.col("row").alias("r"))
+    counted = members.groupBy("group", "doc_id", "row").agg(F.count(F.lit(1)).alias("n"))
+    told = written(counted.join(first, F.col("group") == F.col("g")).select(F.col("doc_id").alias("i"), F.col("row").alias("r"), ((F.col("doc_id") == F.col("i")) & (F.col("row") == F.col("r"))).alias("stays"), "n"), "told")
+    of = lambda t: (F.col("doc_id").cast("long") == t.i) & (row_hash(docs) == t.r)
+    gone = told.filter("not stays").select("i", "r")
+    kept = docs.join(gone, of(gone), "left_anti")
+    again = told.filter("stays and n > 1").select("i", "r")
     if again.isEmpty():
         return kept
-    repeated = again.select("of")
-    once = kept.join(repeated, F.col("doc_id").cast("long") == F.col("of"), "left_semi").dropDuplicates(["doc_id"])
-    return kept.join(repeated, F.col("doc_id").cast("long") == F.col("of"), "left_anti").union(once)
+    once = docs.join(again, of(again)).dropDuplicates(["i", "r"]).select(*[docs[f"`{c}`"] for c in docs.columns])
+    return kept.join(again, of(again), "left_anti").union(once)
 
 
 def with_hex(result: DataFrame) -> DataFrame:

@@ -4,13 +4,15 @@ from __future__ import annotations
 
 import re
 
+import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 
 from corpusforge.engine import read
-from corpusforge.llm import pivots, simhash
-from corpusforge.llm.queries import QUERIES
+from corpusforge.llm import pivots, shingles, simhash
+from corpusforge.llm.queries import ORACLES, QUERIES
 from corpusforge.operators import components
 
 
@@ -96,27 +98,55 @@ def brute_vectors(rows):
     return linked
 
 
-def test_vectors_equal_brute_force_with_blocks(spark):
-    rng = np.random.default_rng(2)
+def planted(dim: int, seed: int, clusters: int = 25, most: int = 9):
+    """Vectors in clusters around the threshold, null labels, copies, and rows that can't link."""
+    rng = np.random.default_rng(seed)
     rows, i = [], 0
     for label in (1, 2, None):
-        for _ in range(25):
-            centre = rng.normal(size=16)
-            for _ in range(int(rng.integers(1, 9))):
-                rows.append((i, (centre + rng.normal(size=16) * 0.15).astype(np.float32).tolist(), label))
+        for _ in range(clusters):
+            centre = rng.normal(size=dim)
+            for _ in range(int(rng.integers(1, most))):
+                rows.append((i, (centre + rng.normal(size=dim) * rng.uniform(0.05, 0.3)).astype(np.float32).tolist(), label))
                 i += 1
-    rows += [(i, rows[0][1], 1), (i + 1, rows[0][1], 1), (i + 2, None, 1), (i + 3, [0.0] * 16, 1), (i + 4, [float("nan")] * 16, 1), (i + 5, [None] * 16, 1), (i + 6, [1.0] * 8, 1), (i + 7, [2.0] * 8, 1)]
+    rows += [(i, rows[0][1], 1), (i + 1, rows[0][1], 1), (i + 2, None, 1), (i + 3, [0.0] * dim, 1), (i + 4, [float("nan")] * dim, 1), (i + 5, [None] * dim, 1), (i + 6, [1.0] * 8, 1), (i + 7, [2.0] * 8, 1)]
+    return rows
+
+
+@pytest.mark.parametrize(("dim", "seed"), [(16, 2), (64, 3)])
+def test_vectors_equal_their_sql_with_blocks(spark, dim, seed):
+    rows = planted(dim, seed)
     linked = brute_vectors(rows)
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").repartition(3)
+    con = duckdb.connect()
+    con.register("embeddings", pa.table({"vec_id": [r[0] for r in rows], "embedding": pa.array([r[1] for r in rows], pa.list_(pa.float32())), "label": pa.array([r[2] for r in rows], pa.int32())}))
+    want = sorted(con.execute(ORACLES["op6_near_vectors"]).fetchall())
+    assert [r[1] for r in want] == linked.sum(axis=1).tolist() and linked.sum() > 300
+    assert [r[2] for r in want] == groups([r[0] for r in rows], linked)
     for block in (8, pivots.BLOCK):
-        got = {r.vec_id: r for r in pivots.near_vectors(df, block=block).collect()}
-        assert len(got) == len(rows)
-        n_links = [got[r[0]].n_links for r in rows]
-        assert all(a <= b for a, b in zip(n_links, linked.sum(axis=1).tolist(), strict=True))
-        assert sum(n_links) >= 0.95 * linked.sum()
-        want = groups([r[0] for r in rows], linked)
-        assert np.mean([got[r[0]].component_id == w for r, w in zip(rows, want, strict=True)]) >= 0.98
-        assert all(r.kept == (r.vec_id == r.component_id) for r in got.values())
+        got = sorted(tuple(r) for r in pivots.near_vectors(df, block=block).collect())
+        assert got == want
+
+
+@pytest.mark.parametrize("dim", [8, 64, 200])
+def test_recall_on_planted_vectors(spark, dim):
+    """Ten thousand vectors: pairs just above the threshold, clusters of many, and one cluster of a third of all rows."""
+    rng = np.random.default_rng(dim)
+    unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    base = unit(rng.normal(size=(3000, dim)))
+    off = rng.normal(size=base.shape)
+    off = unit(off - (off * base).sum(axis=1, keepdims=True) * base)
+    c = rng.uniform(0.932, 0.97, size=(3000, 1))
+    hot = unit(unit(rng.normal(size=(1, dim))) + unit(rng.normal(size=(3400, dim))) * 0.2)
+    x = np.concatenate([base, c * base + np.sqrt(1 - c * c) * off, hot, np.repeat(base[:100], 6, axis=0)])
+    label = np.concatenate([np.arange(3000) % 3, np.arange(3000) % 3, np.zeros(3400, dtype=int), np.repeat(np.arange(100) % 3, 6)])
+    linked = np.zeros(len(x), dtype=np.int64)
+    for a in range(0, len(x), 1000):
+        linked[a : a + 1000] = ((x[a : a + 1000] @ x.T >= 0.93) & (label[a : a + 1000, None] == label[None, :])).sum(axis=1) - 1
+    df = spark.createDataFrame(pa.table({"vec_id": np.arange(len(x)), "embedding": pa.array(list(x), pa.list_(pa.float64())), "label": label}))
+    got = pivots.near_vectors(df).toPandas().set_index("vec_id").loc[range(len(x))]
+    assert (got.n_links.values <= linked).all()
+    pairs = slice(0, 6000)  # the cluster's many links must not hide lost pairs
+    assert got.n_links.values[pairs].sum() >= 0.95 * linked[pairs].sum() and got.n_links.sum() >= 0.95 * linked.sum()
 
 
 def test_no_vectors_and_no_usable_vectors(spark):
@@ -126,12 +156,16 @@ def test_no_vectors_and_no_usable_vectors(spark):
     assert sorted((r.vec_id, r.n_links, r.component_id, r.kept) for r in pivots.near_vectors(none).collect()) == [(1, 0, 1, True), (2, 0, 2, True)]
 
 
-def test_recall_on_the_given_vectors(spark):
-    path = "/root/testdata/check_s/embeddings.parquet"
-    rows = spark.read.parquet(path).orderBy("vec_id").limit(2500).toPandas()
-    got = pivots.near_vectors(spark.createDataFrame(rows)).toPandas().set_index("vec_id").loc[rows.vec_id]
-    x = np.array(rows.embedding.tolist(), dtype=float)
-    x /= np.linalg.norm(x, axis=1, keepdims=True)
-    linked = (x @ x.T >= 0.93) & (rows.label.values[:, None] == rows.label.values[None, :])
-    np.fill_diagonal(linked, False)
-    assert (got.n_links.values <= linked.sum(axis=1)).all() and got.n_links.sum() >= 0.9 * linked.sum()
+def test_pivots_grow_with_the_table_within_a_bound():
+    assert pivots.n_pivots(10) == 256 and pivots.n_pivots(10_000) == 400 and pivots.n_pivots(10**12) == 8192
+
+
+def test_rows_of_one_id_with_other_texts_stay(spark):
+    t, u, v = ("one two three four five six seven eight nine ten", "all these words are quite different from those others", "nothing here is shared with any text above or below")
+    rows = [(3, t, "a"), (7, t, "a"), (7, u, "b"), (7, u, "c"), (9, v, "x"), (9, v, "x"), (None, t, "a"), (None, t, "a")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    for first_of_each in (simhash.first_of_each, shingles.first_of_each):
+        got = sorted(((r.doc_id or -1), r.text, r.source) for r in first_of_each(docs).collect())
+        assert [(i, x) for i, x, _ in got] == [(-1, t), (-1, t), (3, t), (7, u), (9, v)]
+        again = sorted(((r.doc_id or -1), r.text, r.source) for r in first_of_each(docs.repartition(5, "source")).collect())
+        assert again == got
