@@ -3,7 +3,10 @@
 A text is cut only where both public pre-tokenizers start a new word whatever stands around: before a single space between
 a visible character and a letter, between a letter and a plain punctuation mark or line end, and after a lone line end
 before a letter (letters: Latin, Greek, Cyrillic). So the ids of the pieces, one after the other, are the ids of the text.
-Every piece is encoded by the library itself; two generations of a dictionary of bounded size remember what it gave.
+Every piece is encoded by the library itself; two generations of a dictionary of bounded size remember what it gave (pieces
+of more than ``LONGEST`` characters are not remembered, so the bound is one in bytes too).
+
+The strings of special tokens in a text become their ids, as the library does by default; such texts go to it whole.
 """
 
 from __future__ import annotations
@@ -24,6 +27,8 @@ _ODD = re.compile(f"'|\\s\\s|[^\\n -~{_LETTER}]")
 _PLAIN = re.compile(f" ?[{_LETTER}]+| ?[^{_LETTER} ]+| ")
 _CUT = re.compile(f"(?<=[!-~{_LETTER}])(?= [{_LETTER}])|(?<=[{_LETTER}])(?=[.,;:!?\\n])|(?<=[!-~{_LETTER}]\\n)(?=[{_LETTER}])")
 _WORD = re.compile(f" ?[{_LETTER}]+")
+#: Characters of the longest piece that is remembered.
+LONGEST = 64
 #: Words that show how a tokenizer prepares plain words.
 _PROBES = (" the", "The", " ÉTÉ", "naïve", " Жук", "ΟΔΟΣ", " ıſ", "ß", " thingwhhe", "nation")
 
@@ -60,12 +65,15 @@ class PieceEncoder:
     whole call; whether that gives the same ids is tried on some words when the tokenizer is loaded.
     """
 
-    def __init__(self, path: str, capacity: int = 1_000_000):
+    def __init__(self, path: str, capacity: int = 1_000_000, special_as_text: bool = False):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # the strings of special tokens are ordinary text
+        self.tokenizer.encode_special_tokens = special_as_text
+        added = [] if special_as_text else [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.hint = re.match(r"[^\w]*", os.path.commonprefix(added))[0]
+        self.special = re.compile("|".join(map(re.escape, added)), re.IGNORECASE) if added else None
         self.half = capacity // 2
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
@@ -110,6 +118,8 @@ class PieceEncoder:
         return [self._encode(t) if t else b"" for t in texts]
 
     def _encode(self, text: str) -> bytes:
+        if self.special is not None and self.hint in text and self.special.search(text):
+            return self._library([text])[0]
         pieces = pieces_of(text)
         if len(pieces) > self.half:  # one text with more pieces than a generation holds
             return self._library([text])[0]
@@ -127,7 +137,7 @@ class PieceEncoder:
         learned.update(self._learn([p for p in missing if p not in learned]))
         if len(self.young) + len(learned) > self.half:
             self.old, self.young = self.young, {}
-        self.young.update(learned)
+        self.young.update(learned if max(map(len, learned)) <= LONGEST else {p: x for p, x in learned.items() if len(p) <= LONGEST})
         return learned
 
 

@@ -21,8 +21,8 @@ from corpusforge.engine import arrow_map, batch, worker_state
 SPACE = "▁"
 #: Fixed value: what an unknown character costs beyond the smallest score.
 PENALTY = 10.0
-#: Words that a worker remembers.
-MEMO = 700_000
+#: Words that a worker remembers, and the longest of them.
+MEMO, LONGEST = 700_000, 64
 
 
 def unigram_vocabulary(path: str) -> list[tuple[str, float]]:
@@ -94,7 +94,8 @@ class CountViterbi:
             n = self.old.get(word)
             if n is None:
                 n = self.best(SPACE + word)[1]
-            self.young[word] = n
+            if len(word) <= LONGEST:
+                self.young[word] = n
         return n
 
 

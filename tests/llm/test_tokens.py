@@ -19,9 +19,7 @@ BYTES, WORDS, PIECES = (tokenizer_path(n) for n in ("byte_bpe_50k.json", "word_b
 
 
 def library(path: str) -> Tokenizer:
-    t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True
-    return t
+    return Tokenizer.from_file(path)  # as it is: strings of special tokens become their ids
 
 
 def ids_of(t: Tokenizer, text: str | None) -> list[int]:
@@ -35,6 +33,28 @@ def test_pieces_encode_as_the_whole(text):
         assert encoder_of(path).encode([text])[0] == np.array(ids_of(library_of(path), text), dtype="<u4").tobytes()
 
 
+@settings(max_examples=100, deadline=None)
+@given(st.lists(st.sampled_from(["<|endoftext|>", "<|startoftext|>", "<|ENDOFTEXT|>", "<|endoftext", "|>", " ", "\n", "hello", " x", "<", "a"]), max_size=8))
+def test_strings_of_special_tokens_encode_as_the_library_does(parts):
+    text = "".join(parts)
+    for path in (BYTES, WORDS):
+        assert encoder_of(path).encode([text])[0] == np.array(ids_of(library_of(path), text), dtype="<u4").tobytes()
+
+
+def test_special_strings_may_be_text():
+    plain = Tokenizer.from_file(BYTES)
+    plain.encode_special_tokens = True
+    text = "hello <|endoftext|> x"
+    assert PieceEncoder(BYTES, special_as_text=True).encode([text])[0] == np.array(ids_of(plain, text), dtype="<u4").tobytes()
+    assert PieceEncoder(BYTES).encode([text])[0] == np.array([31373, 220, 50256, 2124], dtype="<u4").tobytes()
+
+
+def test_very_long_words_are_not_remembered():
+    e, text = PieceEncoder(BYTES), "y" * 5000 + " z" * 3
+    assert e.encode([text, text])[1] == np.array(ids_of(library_of(BYTES), text), dtype="<u4").tobytes()
+    assert max(map(len, e.young), default=0) <= 64
+
+
 _LIBRARIES: dict[str, Tokenizer] = {}
 _ENCODERS: dict[str, PieceEncoder] = {}
 
