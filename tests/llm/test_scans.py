@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import random
 import re
+import time
 
 import numpy as np
 from pyspark.sql import functions as F
@@ -59,6 +60,64 @@ def test_every_license_line_of_the_documents_is_found(spark):
         assert got[r.doc_id] == ",".join(name for _, name in places)
 
 
+def brute_sentences(text: str, known: dict[tuple[str, ...], str]) -> list[str | None]:
+    """Every span of entries is tried, the longest first."""
+    entries = [(k, re.findall(r"[^\W_]+", line.lower())) for k, unit in enumerate(re.split(r"(?<=[.!?:;。！？])[ \t]+|(?<=[.!?:;。！？])\n|\n[ \t]*\n", text)) for line in unit.split("\n")]
+    entries = [(k, w) for k, w in entries if w]
+    out, at, last = [], 0, None
+    while at < len(entries):
+        for end in range(len(entries), at, -1):
+            words = [w for _, ws in entries[at:end] for w in ws]
+            bare = words[1:] if len(entries[at][1]) > 1 and words[0].isdigit() else words
+            if tuple(bare) in known:
+                out.append(known[tuple(bare)])
+                at, last = end, None
+                break
+        else:
+            if entries[at][0] != last:
+                out.append(None)
+            last = entries[at][0]
+            at += 1
+    return out
+
+
+def test_sentences_equal_brute_force():
+    rng = random.Random(4)
+    known = {tuple(re.findall(r"[^\W_]+", t.lower())): name for name, texts in licenses.known_sentences().items() for t in texts}
+    pool = [t for texts in licenses.known_sentences().values() for t in texts] + ["This work is licensed", "Some words here.", "unknown line without a stop", "", "2. Redistributions", "THE SOFTWARE IS", "。日本語。", "*** !!! ***"]
+    r, hits = licenses.Recogniser(), 0
+    for _ in range(400):
+        text = ""
+        for _ in range(rng.randrange(1, 7)):
+            words = rng.choice(pool).split(" ")
+            for k in range(len(words)):  # wrapped at random
+                if rng.random() < 0.1:
+                    words[k] = "\n" + words[k]
+            text += rng.choice(["", "1. ", "3) ", "// "]) + " ".join(words) + rng.choice([" ", "\n", "\n\n", ""])
+        got = r.sentences(text)
+        hits += sum(x is not None for x in got)
+        assert got == brute_sentences(text, known)
+    assert hits > 500
+
+
+def test_unknown_lines_of_a_unit_are_one_sentence():
+    r = licenses.Recogniser()
+    assert r.sentences("a b\nc d\nReleased under the MIT License.\nmore\nwords") == [None, "named:MIT", None]
+    assert r.sentences("one.\n\ntwo\nthree.  four!") == [None, None, None]
+    assert r.licenses(r.sentences("SPDX-License-Identifier: Apache-2.0\nint main")) == ["Apache-2.0"]
+
+
+def test_time_grows_with_the_text():
+    r = licenses.Recogniser()
+    line = "Permission is hereby granted, free of charge, to any person\nThis work is licensed under\n"
+    seconds = []
+    for n in (500, 4000):
+        began = time.process_time()
+        r.licenses(r.sentences(line * n))
+        seconds.append(time.process_time() - began)
+    assert seconds[1] < 30 * seconds[0] + 0.1
+
+
 def test_licenses_of_odd_documents(odd_docs, no_docs):
     assert licenses.scan(odd_docs).count() == odd_docs.count()
     assert licenses.scan(no_docs).collect() == []
