@@ -79,7 +79,7 @@ QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_token_counts, op2_shard
 
 #: DuckDB twins, where SQL can express the operator.
 ORACLES: dict[str, str] = {
-    "op2_sharding": "select doc_id, md5(text) as text_md5, lang, source, n_chars, cast(3 as bigint) as version from documents",
+    "op2_sharding": "select doc_id, md5(text) as text_md5, lang, source, n_chars from documents",
     "op6_near_vectors": """with recursive rows as (select row_number() over () as r, vec_id, label, cast(embedding as double[]) as e from embeddings),
 fit as (select *, len(e) as d from rows where vec_id is not null and label is not null and coalesce(len(list_filter(e, lambda x: x is null or not isfinite(x))) = 0 and len(list_filter(e, lambda x: x <> 0)) > 0, false)),
 unit as (select r, vec_id, label, d, [x / norm for x in e] as u from (select *, sqrt(list_sum([x * x for x in e])) as norm from fit)),
