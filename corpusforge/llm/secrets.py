@@ -1,17 +1,24 @@
 """Secret scans with DataFrame functions only: fixed patterns, and a battery of randomness tests.
 
 Patterns give the base spans. Besides, every token of 20 characters or more that mixes letters and digits gets an inferred
-encoding (hexadecimal or alphanumeric of one case, base 32, base 64 for the rest) and three tests against "its symbols are random": a
-chi-squared statistic of uniformity over that alphabet, the runs above and below its middle, and the correlation of
-neighbours. The smallest p-value (times three) enters a Benjamini-Hochberg control for each class of lengths, with a level
-that is stricter on short tokens, where tests have little power. Tokens that the control rejects are ordinary text; the
-rest are spans of kind ``random``, unless a base span covers them.
+encoding (hexadecimal or alphanumeric of one case, base 32, base 64 for the rest) and is tested twice.
+
+* Are its symbols random? A chi-squared statistic of uniformity over that alphabet, the runs above and below its middle and
+  the correlation of neighbours; a token whose smallest p-value (times three) is under ``LOST`` is ordinary. So at most that
+  share of random tokens is lost. The tail of chi-squared is that of a gamma distribution with the statistic's exact mean,
+  variance and skewness, which holds for short tokens too.
+* Are its symbols ordinary? Under that null hypothesis they repeat at least as often as letters of ordinary text do
+  (``REPEATS``), which makes the statistic large; a small one is evidence against it, the stronger the longer the token.
+
+A token is a secret (a span of kind ``random``) if it passes the first and a Benjamini-Hochberg control rejects the second,
+in each class of lengths on its own, at a level that is stricter on short tokens. So the control bounds the share of false
+secrets among those named. Tokens that a base span overlaps are tested but not named again.
 
 The control needs the distribution of p-values over the corpus: counts by length class and logarithmic bin, some hundred
 rows whatever the input. Spans are found by splitting at marks put around matches, so positions are code points.
 
 Defined results: a null or empty text has no spans; repeated rows are reported as often as they occur; a null doc_id stays
-null; an empty table gives no rows; other columns are ignored.
+null; an empty table gives no rows; other columns are ignored. Texts are changed by redaction only where a span lies.
 """
 
 from __future__ import annotations
@@ -20,6 +27,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpusforge.engine import written
+from corpusforge.functions.text import bound
 
 #: Patterns of the base kinds and the characters that a match has at least (of group 2, or in all).
 ASSIGN = r"""((?i)(?:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?)([A-Za-z0-9+/_.=-]+)"""
@@ -36,8 +44,12 @@ ALPHABETS = {
     "upper base36": "0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZ",
     "base64": "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/",
 }
-#: Length classes by their lower ends, and the level of false-discovery control in each.
-LENGTHS = ((20, 0.2), (32, 0.1), (48, 0.05), (80, 0.01))
+#: Length classes by their lower ends, and in each the share of false secrets among those named.
+LENGTHS = ((20, 0.02), (32, 0.05), (48, 0.1), (80, 0.1))
+#: Share of random tokens that the battery may turn away.
+LOST = 1e-3
+#: Chance that two symbols of ordinary text are equal, by encoding: about that of letters in European languages, less where digits and case mix in.
+REPEATS = {"hex": 0.16, "upper hex": 0.16, "base32": 0.065, "base36": 0.06, "upper base36": 0.06, "base64": 0.055}
 #: Bins of -log10 p: their width, and how many.
 BIN, BINS = 0.05, 400
 MARK, OTHER = "\u0001", "\u0003"
@@ -111,8 +123,21 @@ def base_spans(text: Column) -> Column:
 
 
 def _tail(z: Column) -> Column:
-    """Upper tail of the normal distribution beyond z >= 0, to about a tenth of its value."""
-    return F.exp(-0.717 * z - 0.416 * z * z) / 2
+    """Upper tail of the normal distribution, by the usual rational approximation."""
+
+    def above(x: Column) -> Column:
+        t = 1 / (1 + 0.2316419 * x)
+        return F.exp(-x * x / 2) / 2.5066282746310002 * t * (0.319381530 + t * (-0.356563782 + t * (1.781477937 + t * (-1.821255978 + t * 1.330274429))))
+
+    return bound(z, lambda x: F.when(x >= 0, above(x)).otherwise(1 - above(-x)))
+
+
+def _chi_tail(chi: Column, n: Column, k: Column) -> Column:
+    """Upper tail of the uniformity statistic of n symbols in k cells: a gamma distribution of its first three moments."""
+    spread = F.sqrt(2 * (k - 1) * (n - 1) / n)
+    root = 2 * spread * spread * spread / (4 * (k - 1) * (n - 1) * (2 * n + k - 6) / (n * n))  # the root of the gamma's shape
+    z = 3 * root * (F.cbrt(F.greatest(1 + (chi - (k - 1)) / spread / root, F.lit(0.0))) - 1 + 1 / (9 * root * root))
+    return _tail(z)
 
 
 def _symbols(v: Column) -> Column:
@@ -135,49 +160,59 @@ def _encoding(v: Column) -> Column:
     )
 
 
-def p_value(value: Column, encoding: Column) -> Column:
-    """Of the hypothesis that the symbols are random: the smallest of three tests, times three."""
-    alphabet = F.element_at(F.create_map(*[F.lit(x) for pair in ALPHABETS.items() for x in pair]), encoding)
+def _map(values: dict) -> Column:
+    return F.create_map(*[F.lit(x) for pair in values.items() for x in pair])
+
+
+def p_values(value: Column, encoding: Column) -> Column:
+    """(random, ordinary): p-values of the two hypotheses on a token's symbols."""
 
     def tests(x: Column) -> Column:
         s, a = x["s"], x["a"]
         n, k = F.length(s).cast("double"), F.length(a).cast("double")
         counts = F.transform(F.split(a, ""), lambda c: F.length(s) - F.length(F.replace(s, c)))
         chi = F.aggregate(counts, F.lit(0.0), lambda t, c: t + c * c) * k / n - n
-        z_chi = (chi - (k - 1)) / F.sqrt(2 * (k - 1) * (n - 1) / n)
         symbols = F.transform(F.split(s, ""), lambda c: F.instr(a, c).cast("double") - 0.5 - k / 2)
-        pairs = F.zip_with(F.slice(symbols, 1, F.size(symbols) - 1), F.slice(symbols, 2, F.size(symbols) - 1), lambda p, q: F.struct(p.alias("p"), q.alias("q")))
+        return bound(F.struct(n.alias("n"), k.alias("k"), chi.alias("chi"), symbols.alias("symbols"), x["repeats"].alias("repeats")), graded)
+
+    def graded(x: Column) -> Column:
+        n, k, symbols = x["n"], x["k"], x["symbols"]
+        pairs = F.zip_with(F.slice(symbols, F.lit(1), F.size(symbols) - 1), F.slice(symbols, F.lit(2), F.size(symbols) - 1), lambda p, q: F.struct(p.alias("p"), q.alias("q")))
         high = F.size(F.filter(symbols, lambda y: y > 0)).cast("double")
         low = n - high
         runs = 1.0 + F.size(F.filter(pairs, lambda y: (y["p"] > 0) != (y["q"] > 0)))
         mean = 2 * high * low / n + 1
         z_runs = F.abs(runs - mean) / F.sqrt(F.greatest((mean - 1) * (mean - 2) / (n - 1), F.lit(1e-9)))
         middle = F.aggregate(symbols, F.lit(0.0), lambda t, y: t + y) / n
-        spread = F.aggregate(symbols, F.lit(0.0), lambda t, y: t + (y - middle) * (y - middle))
-        together = F.aggregate(pairs, F.lit(0.0), lambda t, y: t + (y["p"] - middle) * (y["q"] - middle))
-        z_serial = F.abs(together / F.greatest(spread, F.lit(1e-9)) + 1 / n) * F.sqrt(n)
-        chi_p = F.when(z_chi > 0, _tail(z_chi)).otherwise(F.lit(0.5))
-        return F.least(F.lit(1.0), 3 * F.least(chi_p, 2 * _tail(z_runs), 2 * _tail(z_serial)))
+        z_serial = bound(middle, lambda m: F.abs(_together(pairs, m) / F.greatest(F.aggregate(symbols, F.lit(0.0), lambda t, y: t + (y - m) * (y - m)), F.lit(1e-9)) + 1 / n) * F.sqrt(n))
+        random = F.least(F.lit(1.0), 3 * F.least(_chi_tail(x["chi"], n, k), 2 * _tail(z_runs), 2 * _tail(z_serial)))
+        excess = (n - 1) * (k * x["repeats"] - 1)
+        ordinary = 1 - _tail((x["chi"] - (k - 1) - excess) / F.sqrt(2 * (k - 1) + 4 * excess))
+        return F.struct(random.alias("random"), ordinary.alias("ordinary"))
+
+    return bound(F.struct(_symbols(value).alias("s"), F.element_at(_map(ALPHABETS), encoding).alias("a"), F.element_at(_map(REPEATS), encoding).alias("repeats")), tests)
 
-    return F.transform(F.array(F.struct(_symbols(value).alias("s"), alphabet.alias("a"))), tests)[0]
+
+def _together(pairs: Column, middle: Column) -> Column:
+    return F.aggregate(pairs, F.lit(0.0), lambda t, y: t + (y["p"] - middle) * (y["q"] - middle))
 
 
 def candidates(text: Column) -> Column:
-    """Tokens under test: (start, end, class of length, bin of the p-value)."""
+    """Tokens under test: (start, end, class of length, bin of the p-value against ordinary text; bin 0 if not random)."""
     mixed = F.filter(spans(text, TOKEN), lambda s: _encoding(s["value"]).isNotNull())
 
     def graded(s: Column) -> Column:
         n, kind = s["end"] - s["start"], F.lit(0)
         for number, (least, _) in enumerate(LENGTHS):
             kind = F.when(n >= least, F.lit(number)).otherwise(kind)
-        p = F.greatest(p_value(s["value"], _encoding(s["value"])), F.lit(1e-30))
+        p = bound(p_values(s["value"], _encoding(s["value"])), lambda x: F.when(x["random"] < LOST, F.lit(1.0)).otherwise(F.least(F.greatest(x["ordinary"], F.lit(1e-30)), F.lit(1.0))))
         return F.struct(s["start"].alias("start"), s["end"].alias("end"), kind.alias("class"), F.least(F.floor(-F.log10(p) / BIN), F.lit(BINS)).cast("int").alias("bin"))
 
     return F.transform(mixed, graded)
 
 
 def rejected_from(tested: DataFrame) -> dict[int, int]:
-    """For each class of lengths the bin from which on p-values count as small; ``tested`` has ``candidates`` arrays.
+    """For each class of lengths the bin from which on tokens are no ordinary text; ``tested`` has ``candidates`` arrays.
 
     Bins stand for their upper end, so the control is never laxer than on the values themselves.
     """
@@ -197,7 +232,13 @@ def rejected_from(tested: DataFrame) -> dict[int, int]:
 
 
 def _accepted(limits: dict[int, int], c: Column) -> Column:
-    return c["bin"] < F.element_at(F.create_map(*[F.lit(x) for pair in limits.items() for x in pair]), c["class"])
+    return c["bin"] >= F.element_at(_map(limits), c["class"])
+
+
+def _named(base: Column, tested: Column, limits: dict[int, int]) -> Column:
+    """Spans of kind ``random``: secrets by the tests that no base span overlaps."""
+    free = lambda c: ~F.exists(base, lambda b: (b["start"] < c["end"]) & (c["start"] < b["end"]))
+    return F.transform(F.filter(tested, lambda c: _accepted(limits, c) & free(c)), lambda c: F.struct(c["start"].alias("start"), F.lit(len(BASE)).alias("kind"), c["end"].alias("end")))
 
 
 def scan(docs: DataFrame) -> DataFrame:
@@ -206,9 +247,7 @@ def scan(docs: DataFrame) -> DataFrame:
     tested = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     tested = written(tested.select("doc_id", base_spans(text).alias("base"), candidates(text).alias("candidates")), "tested")
     limits = rejected_from(tested)
-    free = lambda c: ~F.exists("base", lambda b: (b["start"] < c["end"]) & (c["start"] < b["end"]))
-    extra = F.transform(F.filter("candidates", lambda c: _accepted(limits, c) & free(c)), lambda c: F.struct(c["start"].alias("start"), F.lit(len(BASE)).alias("kind"), c["end"].alias("end")))
-    return tested.select("doc_id", "base", extra.alias("random"))
+    return tested.select("doc_id", "base", _named(F.col("base"), F.col("candidates"), limits).alias("random"))
 
 
 def _listed(spans: Column) -> Column:
@@ -223,31 +262,41 @@ def report(scanned: DataFrame) -> DataFrame:
 
 
 PUT = "[SECRET]"
+#: Code points of a text that are cut at once.
+CUT = 4096
+
+
+def _without(text: Column, found: Column) -> Column:
+    """The text with ``PUT`` for every stretch that spans cover: cut chunk by chunk, in time in proportion to the text.
 
+    A chunk takes the spans that reach into it, moved to its own positions; one that began in an earlier chunk has left
+    its placeholder there.
+    """
+
+    def rewritten(chunk: Column, number: Column) -> Column:
+        first = number * CUT
+        own = F.filter(found, lambda s: (s["end"] > first) & (s["start"] < first + CUT))
+        step = lambda a, s: F.struct(
+            F.greatest(a["at"], s["end"] - first).alias("at"),
+            F.concat(
+                a["out"],
+                F.when(s["start"] - first > a["at"], F.substring(chunk, a["at"] + 1, s["start"] - first - a["at"])).otherwise(F.lit("")),
+                F.when(s["start"] - first >= a["at"], F.lit(PUT)).otherwise(F.lit("")),
+            ).alias("out"),
+        )
+        cut = F.aggregate(own, F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), step, lambda a: F.concat(a["out"], F.substring(chunk, a["at"] + 1, F.lit(CUT))))
+        return F.when(F.size(own) > 0, cut).otherwise(chunk)
 
-def _without(text: Column, pattern: str, secret, quick: str) -> Column:
-    parts = F.transform(_pieces(text, pattern), lambda s, i: F.when((i % 2 == 1) & secret(s), F.lit(PUT)).otherwise(s))
-    return F.when(F.coalesce(text.rlike(quick), F.lit(False)), F.array_join(parts, "")).otherwise(text)
+    return F.array_join(F.transform(F.regexp_extract_all(text, F.lit(f"(?s).{{1,{CUT}}}"), 0), rewritten), "")
 
 
 def redact(docs: DataFrame) -> DataFrame:
-    """Documents with each secret replaced by a placeholder; ``n_chars`` follows the text, other columns stay.
+    """Documents with a placeholder for what :func:`scan` finds; ``n_chars`` follows the text, other columns stay.
 
     The tests' limits are taken from the documents themselves, then each text is rewritten where it lies, without a join.
     """
-    tested = docs.select(candidates(F.col("text")).alias("candidates")).filter(F.size("candidates") > 0)
-    limits = rejected_from(tested)
-
-    def random(s: Column) -> Column:
-        kind = F.lit(0)
-        for number, (least, _) in enumerate(LENGTHS):
-            kind = F.when(F.length(s) >= least, F.lit(number)).otherwise(kind)
-        p = F.greatest(p_value(s, _encoding(s)), F.lit(1e-30))
-        c = F.struct(kind.alias("class"), F.least(F.floor(-F.log10(p) / BIN), F.lit(BINS)).cast("int").alias("bin"))
-        return F.coalesce(_encoding(s).isNotNull() & _accepted(limits, c), F.lit(False))
-
-    out = docs
-    for kind, pattern, group, least in BASE:
-        out = out.withColumn("text", _without(F.col("text"), pattern, _long_enough(pattern, group, least), QUICK[kind]))
-    out = out.withColumn("text", _without(F.col("text"), TOKEN, random, TOKEN))
+    text = F.col("text").cast("string")
+    limits = rejected_from(docs.select(candidates(text).alias("candidates")).filter(F.size("candidates") > 0))
+    every = bound(base_spans(text), lambda base: F.array_sort(F.concat(base, _named(base, candidates(text), limits))))
+    out = docs.withColumn("text", bound(every, lambda found: F.when(F.size(found) > 0, _without(text, found)).otherwise(text)))
     return out.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else out
