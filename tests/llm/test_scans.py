@@ -8,6 +8,7 @@ import re
 import time
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from corpusforge.engine import read
@@ -312,7 +313,7 @@ def test_contamination_equals_brute_force(spark, small):
     words = lambda t: decontaminate.WORD.findall((t or "").lower())
     docs = {r.doc_id: words(r.text) for r in read(spark, small, "documents").collect()}
     items = {r.item_id: words(r.text) for r in read(spark, small, "benchmark").collect()}
-    want = {(d, i) for d, w in docs.items() for i, x in items.items() if len(x) >= decontaminate.LEAST and f" {' '.join(x)} " in f" {' '.join(w)} "}
+    want = {(d, i) for d, w in docs.items() for i, x in items.items() if x and f" {' '.join(x)} " in f" {' '.join(w)} "}
     got = {(r.doc_id, r.item_id): r for r in QUERIES["op5_decontamination"](spark, small).collect()}
     assert want and want <= set(got)
     for (d, i), r in got.items():
@@ -320,7 +321,48 @@ def test_contamination_equals_brute_force(spark, small):
         assert sum(x == y for x, y in zip(a, b, strict=True)) == r.n_equal >= 0.8 * r.n_words and r.n_words >= min(13, len(items[i]))
 
 
-def test_substitutions_are_tolerated_and_short_items_ignored(spark, odd_docs, no_docs):
+def brute_overlaps(doc: list[str], item: list[str]) -> int:
+    """Words of the longest overlap on any diagonal that a mask hits; 0 if there is none."""
+    best = 0
+    masks = ["1" * len(item)] if len(item) < 5 else decontaminate.MASKS
+    for shift in range(-len(item) + 1, len(doc)):
+        pairs = [doc[shift + j] == item[j] if 0 <= shift + j < len(doc) else None for j in range(len(item))]
+        if not any(all(pairs[p + k] for k, m in enumerate(mask) if m == "1") and None not in pairs[p : p + len(mask)] for mask in masks for p in range(len(item) - len(mask) + 1)):
+            continue
+        inside = [x for x in pairs if x is not None]
+        n = brute_longest(inside)
+        if len(inside) == len(item) <= 13 and sum(inside) >= 0.8 * len(item) - 1e-9:
+            n = len(item)
+        if n >= min(13, len(item)):
+            best = max(best, n)
+    return best
+
+
+@pytest.mark.parametrize("slices", [1 << 19, 3])
+def test_tolerant_overlaps_equal_brute_force(spark, monkeypatch, slices):
+    """Passages with substituted words at several rates among frequent words, items of 1 to 40 words."""
+    rng = random.Random(8)
+    common = [f"c{i}" for i in range(12)]
+    items = [[rng.choice(common) if rng.random() < 0.4 else f"w{rng.randrange(400)}" for _ in range(n)] for n in (*range(1, 15), 20, 30, 40)]
+    docs = []
+    for rate in (0.0, 0.05, 0.1, 0.2, 0.3):
+        for item in items:
+            changed = [f"x{rng.randrange(50)}" if rng.random() < rate else w for w in item]
+            cut = changed[rng.randrange(3) :] if rng.random() < 0.3 else changed
+            docs.append(rng.choices(common, k=rng.randrange(6)) + cut + rng.choices(common, k=rng.randrange(6)))
+    want = {(d, i): n for d, doc in enumerate(docs) for i, item in enumerate(items) if (n := brute_overlaps(doc, item))}
+    monkeypatch.setattr(decontaminate, "SLICE", slices)
+    index, hashes, got = decontaminate.Index([(i, decontaminate.WordHashes().of(" ".join(x))) for i, x in enumerate(items)]), decontaminate.WordHashes(), {}
+    for first, words, ends in decontaminate._grouped(hashes, [" ".join(d) for d in docs]):
+        for doc, item, *_, length, _ in decontaminate.overlaps(index, words, ends):
+            got[first + doc, item] = max(length, got.get((first + doc, item), 0))
+    assert got == want and len(want) > 100
+    df = spark.createDataFrame([(d, " ".join(x)) for d, x in enumerate(docs)], "doc_id long, text string").repartition(3)
+    bench = spark.createDataFrame([(i, " ".join(x)) for i, x in enumerate(items)], "item_id long, text string")
+    assert {(r.doc_id, r.item_id): r.n_words for r in decontaminate.contaminated(df, bench).collect()} == want
+
+
+def test_substitutions_are_tolerated(spark, odd_docs, no_docs):
     rng = random.Random(1)
     passage = [f"word{rng.randrange(10**6)}" for _ in range(40)]
     changed = list(passage)
@@ -331,9 +373,10 @@ def test_substitutions_are_tolerated_and_short_items_ignored(spark, odd_docs, no
     bench = spark.createDataFrame([(9, " ".join(passage)), (10, "to be or not to be"), (11, None)], "item_id long, text string")
     df = spark.createDataFrame([(i, t, 1) for i, t in docs], "doc_id long, text string, n_words long")
     got = {r.doc_id: (r.item_id, r.n_words, r.n_equal) for r in decontaminate.contaminated(df, bench).collect()}
-    assert got == {1: (9, 40, 34), 3: (9, 14, 14), None: (9, 40, 40)}
+    assert got == {1: (9, 40, 34), 3: (9, 14, 14), None: (9, 40, 40), 7: (10, 6, 6)}
     assert {r.doc_id for r in decontaminate.without_contaminated(df, bench).collect()} == {2, 4, 5, 6, 7}
-    blocks = list(decontaminate.benchmark_blocks(bench.union(bench), block=10))
-    assert len(blocks) == 2
+    assert {r.doc_id for r in decontaminate.without_contaminated(df, bench, least=1).collect()} == {2, 4, 5, 6}
+    blocks = list(decontaminate.benchmark_blocks(bench.union(bench), block=20))
+    assert len(blocks) == 3 and sum(len(b) for b in blocks) == 4
     assert decontaminate.without_contaminated(odd_docs, bench).count() == odd_docs.count()
     assert decontaminate.contaminated(no_docs, bench).collect() == [] == decontaminate.contaminated(df, bench.limit(0)).collect()
