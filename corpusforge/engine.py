@@ -27,11 +27,13 @@ def read(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFram
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session.
 
-    Only where the cluster names none (tests, one machine) a temporary folder of this process is used.
+    Where it is unset, a temporary folder of this process serves a local master (tests, one machine); a cluster is refused.
     """
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
     if "own" not in _OWN:
         _OWN["own"] = tempfile.mkdtemp(prefix="corpusforge-")
         atexit.register(_remove_tree, _OWN["own"])
@@ -39,6 +41,8 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 _OWN: dict[str, str] = {}
+#: The folder of this process's tables in the shared one.
+_RUN = uuid.uuid4().hex
 
 
 def _remove_tree(path: str) -> None:
@@ -48,8 +52,27 @@ def _remove_tree(path: str) -> None:
 
 
 def scratch_path(spark: SparkSession, name: str) -> str:
-    """A new path in the shared folder."""
-    return f"{shared_dir(spark)}/corpusforge/{name}-{uuid.uuid4().hex}"
+    """A new path in the shared folder; what lies there goes with :func:`clean`, at the latest when the process ends."""
+    if "clean" not in _OWN:
+        _OWN["clean"] = ""
+        atexit.register(_clean_at_exit)
+    return f"{shared_dir(spark)}/corpusforge/{_RUN}/{name}-{uuid.uuid4().hex}"
+
+
+def clean(spark: SparkSession) -> None:
+    """Remove all tables that this process wrote to the shared folder; no DataFrame that reads them may be used afterwards."""
+    remove(spark, f"{shared_dir(spark)}/corpusforge/{_RUN}")
+
+
+def _clean_at_exit() -> None:
+    from pyspark import SparkContext
+
+    session = SparkSession.getActiveSession() if SparkContext._active_spark_context is not None else None
+    if session is not None:
+        try:
+            clean(session)
+        except Exception:  # the session's JVM is gone already; the folder is left to the cluster's own retention
+            pass
 
 
 def hadoop_path(spark: SparkSession, path: str):
