@@ -2,15 +2,26 @@
 
 from __future__ import annotations
 
+from html.entities import name2codepoint
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from corpusforge.functions.text import col
+from corpusforge.functions.text import bound, col
 
 #: Elements whose content is no text, elements that end a line, named entities.
 DROPPED = r"(?is)<!--.*?-->|<(head|script|style|nav|footer|noscript)\b.*?</\1\s*>"
-BLOCKS = r"(?i)<br\s*/?>|</(?:p|div|li|tr|h[1-6]|ul|ol|table)\s*>"
-ENTITIES = (("&nbsp;", " "), ("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "'"), ("&amp;", "&"))
+BLOCKS = r"(?i)</?(?:p|div|li|tr|h[1-6]|ul|ol|table|br|section|article|blockquote|pre)\b[^>]*>"
+ENTITIES = (
+    ("&nbsp;", " "), ("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "'"),
+    *((f"&{name};", chr(code)) for name, code in sorted(name2codepoint.items()) if 160 < code < 256), ("&amp;", "&"),
+)
+
+
+def _decoded(t: Column) -> Column:
+    for name, ch in ENTITIES:
+        t = F.replace(t, F.lit(name), F.lit(ch))
+    return t
 
 
 def strip_tags(html: Column | str) -> Column:
@@ -20,8 +31,7 @@ def strip_tags(html: Column | str) -> Column:
         t = F.regexp_replace(t, rf"(?is)<{tag}\b.*?</{tag}\s*>", "")
     t = F.regexp_replace(t, r"(?s)<!--.*?-->", "")
     t = F.regexp_replace(F.regexp_replace(t, BLOCKS, "\n"), r"(?s)<[^>]*>", "")
-    for name, ch in ENTITIES:
-        t = F.replace(t, F.lit(name), F.lit(ch))
+    t = bound(t, lambda x: F.when(x.contains("&"), _decoded(x)).otherwise(x))
     t = F.regexp_replace(F.regexp_replace(t, r"[ \t\r]+", " "), r" ?\n ?", "\n")
     return F.trim(F.regexp_replace(t, r"\n+", "\n"))
 

@@ -65,6 +65,17 @@ def main_of_counts(letters: Column, scripts: tuple[str, ...] = tuple(PATTERNS))
     return F.when(least["v"] < 0, least["k"])
 
 
+#: Stands for all scripts that are not counted apart.
+OTHER = "other"
+
+
+def main_or_other(letters: Column) -> Column:
+    """As :func:`main_of_counts` over all counted scripts, or ``OTHER`` if the letters of no counted script are more."""
+    known = F.array_max(F.slice(letters, 2, len(PATTERNS)))
+    rest = letters[0] - F.aggregate(F.slice(letters, 2, len(PATTERNS)), F.lit(0).cast("long"), lambda a, x: a + x)
+    return F.when(rest > known, F.lit(OTHER)).otherwise(main_of_counts(letters))
+
+
 def scripts_in_one_pass(df: DataFrame, ids: list[str], text: str = "text") -> DataFrame:
     """(ids, script, n) for every script of ``RANGES``: one pass over the text, whatever the number of scripts."""
     starts, ends, names = zip(*sorted(RANGES), strict=True)

@@ -7,10 +7,12 @@ from pyspark.sql import functions as F
 
 from corpusforge.functions.html import host
 
-#: Seed list for the given pages; real lists have millions of rows and come as tables.
+#: Seed list for the given pages; real lists have millions of rows and come as tables. The two classes added to
+#: the list of others are encyclopedia and religious; some of the given hosts stand in for religious sites.
 SEEDS = (
     ("cheap-pills.example.com", "drugs"), ("spam-farm.example.org", "spam"), ("casino-win.example.org", "gambling"), ("adult-x.example.net", "adult"),
     ("wiki.example.org", "encyclopedia"), ("news.example.com", "press"), ("example.net", "network"),
+    ("wikipedia.org", "encyclopedia"), ("jw.org", "religious"), ("ebible.com", "religious"), ("thther.example.org", "religious"), ("tionsh.example.net", "religious"), ("ththan.example.net", "religious"),
 )
 
 

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from corpusforge.functions import labels as lab
 from corpusforge.functions.features import BUCKETS, bucket, ngrams_of_word
-from corpusforge.functions.scripts import count_letters, main_of_counts
+from corpusforge.functions.scripts import OTHER, PATTERNS, count_letters, main_or_other
 from corpusforge.functions.text import LETTERS, words
 
 ALPHA = 0.5
@@ -97,12 +97,15 @@ def predict(units: DataFrame, model: LidModel, keys: list[str], text: str, tau:
 
 
 def predict_restricted(units: DataFrame, model: LidModel, keys: list[str], text: str, tau: float = 1.0) -> DataFrame:
-    """As :func:`predict`, but only labels of the text's main script may win; a text of no counted script may be anything."""
-    main = count_letters(units.select(*keys, text), text).select(*keys, main_of_counts(F.col("letters")).alias("main"))
+    """As :func:`predict`, but only labels of the text's main script may win; a text without letters may be anything.
+
+    Scripts that are not counted apart are one: a text mostly of their letters can only take a label of such a script.
+    """
+    main = count_letters(units.select(*keys, text), text).select(*keys, main_or_other(F.col("letters")).alias("main"))
     script = lab.parse("label")["script"]
-    composite = F.coalesce(F.array_contains(F.element_at(F.create_map(*[x for k, v in lab.COMPOSITE.items() for x in (F.lit(k), F.array(*[F.lit(s) for s in v]))]), script), F.col("main")), F.lit(False))
-    fits = F.col("main").isNull() | (script == F.col("main")) | composite
-    allowed = scores(units, model, keys, text).join(main, keys).filter(fits).drop("main")
+    composite = F.create_map(*[x for k, v in lab.COMPOSITE.items() for x in (F.lit(k), F.array(*[F.lit(s) for s in v]))])
+    fits = F.when(F.col("main") == OTHER, ~script.isin(*PATTERNS, *lab.COMPOSITE)).otherwise((script == F.col("main")) | F.coalesce(F.array_contains(F.element_at(composite, script), F.col("main")), F.lit(False)))
+    allowed = scores(units, model, keys, text).join(main, keys).filter(F.col("main").isNull() | fits).drop("main")
     return best(probabilities(allowed, keys, tau), keys)
 
 

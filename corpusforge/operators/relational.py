@@ -25,7 +25,7 @@ def join_semi(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def join_anti(spark: SparkSession, sf: str) -> DataFrame:
-    c, o = read(spark, sf, "customer", "c_custkey", "c_nationkey"), read(spark, sf, "orders", "o_custkey")
+    c, o = read(spark, sf, "customer", "c_custkey", "c_nationkey"), read(spark, sf, "orders", "o_custkey", "o_orderpriority").filter("o_orderpriority = '1-URGENT'")
     return c.join(o, c.c_custkey == o.o_custkey, "left_anti").groupBy("c_nationkey").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -129,7 +129,7 @@ SQL = {
     "join_broadcast": "select r_name, n_name, count(*) as suppliers from supplier join nation on s_nationkey = n_nationkey join region on n_regionkey = r_regionkey group by all",
     "join_smj": "select o_orderpriority, round(sum(l_quantity), 2) as quantity, count(*) as n from orders join lineitem on o_orderkey = l_orderkey group by all",
     "join_semi": "select lang, count(*) as n from documents where doc_id in (select doc_id from labels) group by all",
-    "join_anti": "select c_nationkey, count(*) as n from customer where not exists (select 1 from orders where o_custkey = c_custkey) group by all",
+    "join_anti": "select c_nationkey, count(*) as n from customer where not exists (select 1 from orders where o_custkey = c_custkey and o_orderpriority = '1-URGENT') group by all",
     "join_full": "with p as (select try_cast(regexp_extract(url, '/([0-9]+)$', 1) as bigint) as doc_id, page_id from pages) select lang is null as no_doc, page_id is null as no_page, count(*) as n from documents full join p using (doc_id) group by all",
     "join_range": "with o as (select date_diff('day', date '1992-01-01', cast(o_orderdate as date)) as day from orders), w as (select distinct cast(floor(day / 90) * 90 as bigint) as first from o) select first, count(*) as n from w join o on day >= first and day <= first + 30 group by all",
     "join_asof": "with e as (select event_id, user_id, ts, event_type from events where event_type in ('purchase', 'error')), x as (select *, last_value(case when event_type = 'purchase' then event_id end ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding) as purchase_id from e) select event_id, coalesce(purchase_id, -1) as purchase_id from x where event_type = 'error'",

@@ -7,7 +7,7 @@ from corpusforge.functions import warnings as W
 from corpusforge.functions.labels import LANGUAGES, NO_WORD_BOUNDARY
 from corpusforge.operators import noise, relational
 from corpusforge.operators.content import SEEDS
-from corpusforge.queries import REJECT_TEST, REJECT_TRAIN, RULES, SWAPS
+from corpusforge.queries import FAMILIES, NOISE_ID, REJECT_TEST, REJECT_TRAIN, REJECT_WORDS, RELABELLED, RULES, SWAPS, TOO_SHORT
 from corpusforge.streaming import stream
 
 BUCKETS = 2_000_000
@@ -44,25 +44,54 @@ def vocabulary(where: str = "true", name: str = "voc") -> str:
 # -------------------------------------------------------------------------------------------- the counting model in SQL
 
 
+def drawn_rows(alphabets: dict[str, str], n: int, seed: str, words: tuple[int, int], length: tuple[int, int]) -> str:
+    """(name, row, line) of random words for each alphabet."""
+    r = "cast(r as varchar)"
+    size = lambda low, high, *parts: f"cast({DRAW(text(seed), 'name', r, *parts)} % {high - low + 1} + {low} as integer)"
+    word = f"array_to_string([letters[cast({DRAW(text(seed), 'name', r, 'w', 'i')} % len(letters) + 1 as integer)] for i in range(1, {size(*length, 'w', text('n'))} + 1)], '')"
+    table = "(select name, string_split(l, '') as letters from " + values(list(alphabets.items()), "name", "l") + ")"
+    return f"select name, r as row, array_to_string([{word} for w in range(1, {size(*words)} + 1)], ' ') as line from {table}, range({n}) t(r)"
+
+
 def und_rows(scripts: list[str], n: int, seed: str, words: tuple[int, int]) -> str:
-    parts = []
-    for s in scripts:
-        letters = text(noise.alphabet(s))
-        k = len(noise.alphabet(s))
-        r = "cast(r as varchar)"
-        word = f"array_to_string([substr({letters}, cast({DRAW(text(seed), text(s), r, 'w', 'i')} % {k} + 1 as integer), 1) for i in range(1, cast({DRAW(text(seed), text(s), r, 'w', text('n'))} % 9 + 2 as integer) + 1)], '')"
-        parts.append(f"select 'und_{s}' as label, r as row, array_to_string([{word} for w in range(1, cast({DRAW(text(seed), text(s), r)} % {words[1] - words[0] + 1} + {words[0]} as integer) + 1)], ' ') as line from range({n}) t(r)")
-    return " union all ".join(parts)
+    return f"select 'und_' || name as label, row, line from ({drawn_rows({s: noise.alphabet(s) for s in scripts}, n, seed, words, (2, 10))})"
 
 
 def pdf_rows(n: int, seed: str) -> str:
-    r = "cast(r as varchar)"
-    word = f"array_to_string([substr('{noise.STROKES}', cast({DRAW(text(seed), text('pdf'), r, 'w', 'i')} % 3 + 1 as integer), 1) for i in range(1, cast({DRAW(text(seed), text('pdf'), r, 'w', text('n'))} % 2 + 1 as integer) + 1)], '')"
-    return f"select r as row, array_to_string([{word} for w in range(1, cast({DRAW(text(seed), text('pdf'), r)} % 20 + 10 as integer) + 1)], ' ') as line from range({n}) t(r)"
+    return f"select row, line from ({drawn_rows({'pdf': noise.STROKES}, n, seed, (10, 29), (1, 2))})"
+
+
+def binary_rows(n: int, seed: str) -> str:
+    h = " || ".join(f"md5('{seed}:bin:' || cast(r as varchar) || ':{k}')" for k in range(4))
+    codes = "[cast('0x' || substr(h, 2 * i + 1, 2) as integer) for i in range(64)]"
+    return f"select row, array_to_string([chr(c) for c in {codes} if c > 32 and not c between 127 and 160], '') as line from (select r as row, {h} as h from range({n}) t(r))"
+
+
+def latin_bytes(e: str) -> str:
+    """UTF-8 bytes of a text, each as a Latin-1 character."""
+    return f"array_to_string([chr(cast('0x' || substr(hex(encode({e})), 2 * i + 1, 2) as integer)) for i in range(length(hex(encode({e}))) // 2)], '')"
+
+
+SPACED = "array_to_string(string_split(regexp_replace({e}, '\\s+', '', 'g'), ''), ' ')"
 
 
-def rejects(n: int, seed: str) -> str:
-    return f"{und_rows(['Mong', 'Sylo', 'Talu', 'Cher'], n, seed, (5, 15) if seed == 'train' else (4, 9))} union all select 'zxx_Latn', row, line from ({pdf_rows(n, seed)})"
+def with_replacements(e: str, key: str, rate: float, seed: str) -> str:
+    return f"array_to_string([case when {DRAW(text(seed), text('fffd'), key, 'i - 1')} % 1000 < {int(rate * 1000)} then chr(65533) else string_split({e}, '')[i] end for i in range(1, length({e}) + 1)], '')"
+
+
+def rejects(n: int, seed: str, scripts: list[str] | None = None, words: tuple[int, int] | None = None) -> str:
+    """(kind, label, row, line) over the CTE ``lines``."""
+    part = "part < 8" if seed == "train" else "part = 9"
+    chosen = lambda kind: f"(select doc_id, pos, line, row_number() over (order by md5(concat_ws(':', '{seed}', '{kind}', doc_id, pos)), doc_id, pos) - 1 as row from lines where {part} qualify row < {n})"
+    und = und_rows(noise.unseen_scripts() if scripts is None else scripts, n, seed, words or REJECT_WORDS[seed])
+    vowels, signs = (drawn_rows({k: a}, n, seed, (5, 15), (2, 8)) for k, a in (("mojibake_latin", noise.VOWELS), ("mojibake_arabic", noise.ARABIC_SIGNS)))
+    key = "cast(doc_id as varchar) || ':' || cast(pos as varchar)"
+    kinds = {
+        "pdf": pdf_rows(n, seed), "binary": binary_rows(n, seed), "spaced": f"select row, {SPACED.format(e='line')} as line from {chosen('spaced')}",
+        "replacement": f"select row, {with_replacements('line', key, 0.5, seed)} as line from {chosen('replacement')}",
+        "mojibake_latin": f"select row, {latin_bytes('line')} as line from ({vowels})", "mojibake_arabic": f"select row, line from ({signs})",
+    }
+    return f"select label as kind, label, row, line from ({und})" + "".join(f" union all select '{k}', '{noise.KINDS[k]}', row, line from ({q})" for k, q in kinds.items())
 
 
 def model(units: str, train: str = "select label, line from lines where part < 8", buckets: int = BUCKETS, pattern: str = r"\p{L}+", only: str = "true", tau: float = 1.0, tag: str = "") -> str:
@@ -103,6 +132,10 @@ from (select gold, cast(sum(n) as bigint) as of_gold, cast(sum(case when gold =
 
 
 F1 = "select label, tp, fp, fn, precision, recall, f1 from prf"
+_FAMILIES = lambda name: values(FAMILIES, "l", "m") + f" {name}"
+WEAKEST = WEAK.replace("% 64 as b", "% 4 as b").replace("* 64)", "* 4)")
+_LOW = f"{WEAKEST}, {CELLS}, {prf()}, low as (select label, f1 from prf where f1 < 0.7)"
+_RELABELLED = "case " + " ".join(f"when doc_id % 5 = {k} then {text(v)}" for k, v in RELABELLED.items()) + f" else {LABEL} end"
 SQL: dict[str, str] = {
     "ngram_counts": f"with {LINES}, {vocabulary()} select cast(length(g) as integer) as size, count(*) as n_distinct, cast(sum(n) as bigint) as n from voc group by all",
     "collision_rate": f"with {LINES}, {vocabulary()} "
@@ -111,14 +144,14 @@ SQL: dict[str, str] = {
     "exact_vocab": f"with {LINES}, {vocabulary()} select g, n from voc where n >= 50",
     "lid_train_counts": f"with {LINES}, {TEST}, {model(UNITS)} select label, count(*) as n_buckets, cast(sum(c) as bigint) as total, cast(max(c) as bigint) as largest from counts group by all",
     "lid_predict_docs": DOCS + "select doc_id, pred, round(prob, 4) as prob from pred",
-    "lid_predict_lines": f"with {LINES}, {model(WEAK_UNITS + ' and pos < 3')} select cast(split_part(id, ':', 1) as bigint) as doc_id, cast(split_part(id, ':', 2) as integer) as pos, pred, round(prob, 4) as prob from best",
+    "lid_predict_lines": f"with {LINES}, {model(WEAK_UNITS)} select cast(split_part(id, ':', 1) as bigint) as doc_id, cast(split_part(id, ':', 2) as integer) as pos, pred, round(prob, 4) as prob from best",
     "lid_predict_fused": DOCS + ", n as (select doc_id, len(list_filter(string_split(text, chr(10)), lambda x: trim(x) <> '')) as n_lines from test) select doc_id, pred, round(prob, 4) as prob, cast(n_lines as integer) as n_lines from pred join n using (doc_id)",
     "lid_reject_threshold": DOCS + "select not coalesce(prob >= 0.9, false) as miss, count(*) as n from pred group by all",
     "lid_script_restricted": DOCS + "select id as doc_id, pred from best",
     "lid_subset_softmax": f"with {LINES}, {TEST}, {model(UNITS, only=chr(32) + 't.label in (' + text('eng_Latn') + ', ' + text('fra_Latn') + ')')} select id as doc_id, label, round(prob, 4) as prob from probs",
     "lid_bench_restricted": f"with {LINES}, {TEST}, {model(UNITS, only=chr(32) + 't.label in (' + text('deu_Latn') + ', ' + text('eng_Latn') + ', ' + text('spa_Latn') + ')')}, {PRED} select doc_id, pred from pred",
     "lid_confusion": DOCS + f", {CELLS} select * from cells",
-    "lid_confused_pairs": WEAK + f", {CELLS} select least(gold, pred) as a, greatest(gold, pred) as b, cast(sum(case when gold < pred then n else 0 end) as bigint) as n_ab, cast(sum(case when gold > pred then n else 0 end) as bigint) as n_ba, cast(sum(n) as bigint) as n, false as one_macro from cells where gold <> pred and pred <> 'none' group by all",
+    "lid_confused_pairs": WEAK + f", {CELLS} select least(gold, pred) as a, greatest(gold, pred) as b, cast(sum(case when gold < pred then n else 0 end) as bigint) as n_ab, cast(sum(case when gold > pred then n else 0 end) as bigint) as n_ba, cast(sum(n) as bigint) as n, fa.m = fb.m as one_macro from cells join {_FAMILIES('fa')} on fa.l = least(gold, pred) join {_FAMILIES('fb')} on fb.l = greatest(gold, pred) where gold <> pred and pred <> 'none' group by all",
     "lid_f1": DOCS + f", {CELLS}, {prf()} {F1}",
     "lid_f1_macro": DOCS + f", {CELLS}, {prf()} select 'f1_macro' as metric, round(avg(f1), 6) as value, count(*) as n_labels from prf union all select 'f1_micro', round(2 * sum(case when gold = pred then 1 else 0 end) / (count(*) + count(pred)), 6), count(distinct gold) from pred",
     "lid_fpr": DOCS + f", {CELLS}, {prf()} select label, fp, tn, fpr from prf",
@@ -131,8 +164,9 @@ SQL: dict[str, str] = {
     "lid_cousins": NARROW + "select gold, pred, count(*) as n, round(avg(prob), 4) as mean_prob from pred where gold = 'spa_Latn' and pred is not null group by all",
     "label_parse": f"with l as (select distinct {LABEL} as label from documents union all select unnest(['und_Mong', 'zxx-Latn', 'jpn-Jpan'])), p as (select label, regexp_extract(label, '^([a-z]{{3}})[-_]', 1) as iso, regexp_extract(label, '^[a-z]{{3}}[-_](.+)$', 1) as script from l) select *, case when iso in ('und', 'zxx') then iso else 'lang' end as kind, iso not in ({', '.join(map(text, NO_WORD_BOUNDARY))}) as word_based from p",
     "curation_rules": f"with {LINES} select case op when 'delete' then null when 'keep' then label else coalesce(to_label, label) end as label, count(*) as n from lines left join {values(RULES, 'op', 'from_label', 'to_label')} r on label = from_label where op is distinct from 'delete' group by all",
-    "curation_low_f1": WEAK + f", {CELLS}, {prf()} select label, f1 from prf where f1 < 0.9",
-    "curation_exclusive": "select 'swa_Latn' as macro, 'swh_Latn' as label",
+    "curation_low_f1": f"{_LOW} select label, f1 from low",
+    "curation_drop_labels": f"{_LOW} select label, count(*) as n from lines where label not in (select label from low) group by all",
+    "curation_exclusive": f"with l as (select distinct {_RELABELLED} as label from documents) select m.label as macro, l.label from l join {values(LANGUAGES, 'label', 'area', 'constructed', 'macro')} k on l.label = k.label join l m on split_part(m.label, '_', 1) = k.macro",
     "label_mixture": WEAK + ", c as (select gold, pred, count(*) as n from pred where pred is not null group by all), s as (select *, round(n / sum(n) over (partition by gold), 6) as share from c) select * from s where gold <> pred and share >= 0.01",
     "split_mass": f"with {LINES}, {TEST}, {model(UNITS, buckets=64, tau=4.0)}, w as (select id, max(prob) as top, arg_max(label, prob) as won from probs group by 1), p as (select id, a, b, sum(prob) as both_ from probs join (select 'eng_Latn' as a, 'deu_Latn' as b union all select 'fra_Latn', 'spa_Latn') on label in (a, b) group by all) select a, b, count(*) as n, round(avg(top), 4) as top, round(avg(both_), 4) as both from p join w using (id) where won in (a, b) group by all",
     "train_split": f"with {LINES} select label, case when part < 8 then 'train' when part < 9 then 'valid' else 'test' end as split, count(*) as n from lines group by all",
@@ -141,24 +175,41 @@ SQL: dict[str, str] = {
     "union_sources": "select 'documents' as provenance, count(*) as n, count(source) as with_source from documents union all select 'conversations', count(*), 0 from conversations",
     "und_samples": und_rows(["Mong", "Newa", "Gran"], 20, "train", (5, 15)),
     "noise_pdf": pdf_rows(100, "train"),
-    "noise_spaced": "select doc_id, array_to_string(string_split(regexp_replace(substr(text, 1, 80), '\\s+', '', 'g'), ''), ' ') as line from documents",
-    "noise_replacement": f"select doc_id, array_to_string([case when {DRAW(text('train'), text('fffd'), 'doc_id', 'i')} % 1000 < 300 then chr(65533) else substr(t, i + 1, 1) end for i in range(length(t))], '') as line from (select doc_id, substr(text, 1, 60) as t from documents)",
-    "noise_mojibake_arabic": f"select doc_id, translate(substr(text, 1, 80), {text(noise.ARABIC_MOJIBAKE[0])}, {text(noise.ARABIC_MOJIBAKE[1])}) as line from documents where lang <> 'en'",
+    "noise_spaced": f"select doc_id, {SPACED.format(e='text')} as line from documents",
+    "noise_replacement": f"select doc_id, {with_replacements('text', 'doc_id', 0.3, 'train')} as line from documents",
+    "noise_mojibake_arabic": f"select doc_id, translate(text, {text(noise.ARABIC_MOJIBAKE[0])}, {text(noise.ARABIC_MOJIBAKE[1])}) as line from documents where lang <> 'en'",
 }
 
 # --------------------------------------------------------------------------------------------- releases with reject rows
 
 _R3 = f"select label, line from lines where part < 8 union all select label, line from ({rejects(REJECT_TRAIN, 'train')})"
-_MIXED = f"mixed as (select cast(doc_id as varchar) as id, text as t, gold, false as is_noise from test union all select label || ':' || cast(row as varchar), line, label, true from ({rejects(REJECT_TEST, 'test')}))"
-_BOTH = f"with {LINES}, {TEST}, {_MIXED}, {model('select id, t from mixed', tag='1')}, {model('select id, t from mixed', _R3, pattern=chr(92) + 'S+', tag='3')}"
+_KINDS = values([(k, i) for i, k in enumerate([f"und_{s}" for s in noise.unseen_scripts()] + list(noise.KINDS))], "k", "place")
+NOISE = f"noise_docs as (select {NOISE_ID} + place * 1000000 + row as doc_id, line as text, label as gold from ({rejects(REJECT_TEST, 'test')}) join {_KINDS} on k = kind)"
+_MIXED = f"{NOISE}, mixed as (select doc_id as id, text as t, gold, false as is_noise from test union all select doc_id, text, gold, true from noise_docs)"
+_SCRIPTED = "case when len(regexp_extract_all(t, '\\p{L}')) = 0 or len(regexp_extract_all(t, '\\p{Latin}')) > 0 then b1.pred end"
+_BOTH = (
+    f"with {LINES}, {TEST}, {_MIXED}, {model('select id, t from mixed', tag='1')}, {model('select id, t from mixed', _R3, pattern=chr(92) + 'S+', tag='3')}, "
+    f"said as (select m.*, b1.pred as r1, b1.prob as prob1, {_SCRIPTED} as r2, b3.pred as r3 from mixed m left join best1 b1 using (id) left join best3 b3 using (id))"
+)
+_RELEASES = ("r1", "r2", "r3")
 SQL["lid_release_delta"] = (
     _BOTH
-    + f", cells_1 as (select gold, coalesce(pred, 'none') as pred, count(*) as n from mixed left join best1 using (id) group by all), cells_3 as (select gold, coalesce(pred, 'none') as pred, count(*) as n from mixed left join best3 using (id) group by all), {prf('prf1', 'cells_1')}, {prf('prf3', 'cells_3')} select label, a.f1 as f1_a, b.f1 as f1_b, round(b.f1 - a.f1, 6) as delta from prf1 a join prf3 b using (label)"
+    + "".join(f", cells_{r} as (select gold, coalesce({r}, 'none') as pred, count(*) as n from said group by all), {prf(f'prf_{r}', f'cells_{r}')}" for r in _RELEASES)
+    + " select label, a.f1 as r1, b.f1 as r2, c.f1 as r3, round(b.f1 - a.f1, 6) as r2_gain, round(c.f1 - a.f1, 6) as r3_gain from prf_r1 a full join prf_r2 b using (label) full join prf_r3 c using (label)"
+)
+SQL["lid_release_noise"] = (
+    _BOTH
+    + " "
+    + " union all ".join(f"select substr(gold, 1, 3) as kind, case when {r} is null then 'nothing' when regexp_matches({r}, '^(und|zxx)_') then 'reject' else 'language' end as said, count(*) as n, '{r}' as release from said where is_noise group by all" for r in _RELEASES)
 )
+_OUT = {"threshold": "coalesce(prob1 < 0.5, true)", "script": "r2 is null", "labels": "coalesce(regexp_matches(r3, '^(und|zxx)_'), true)"}
 SQL["lid_rejection_vs_threshold"] = (
     _BOTH
-    + ", r as (select 'threshold' as method, is_noise, coalesce(prob < 0.5, true) as out from mixed left join best1 using (id) union all select 'labels', is_noise, coalesce(regexp_matches(pred, '^(und|zxx)_'), true) from mixed left join best3 using (id)) select method, is_noise, count(*) as n, count(*) filter (out) as rejected, round(count(*) filter (out) / count(*), 6) as rate from r group by all"
+    + " "
+    + " union all ".join(f"select '{m}' as method, is_noise, count(*) as n, count(*) filter ({out}) as rejected, round(count(*) filter ({out}) / count(*), 6) as rate from said group by all" for m, out in _OUT.items())
 )
+SQL["noise_kinds"] = f"with {LINES} {rejects(20, 'train', ['Mong', 'Newa', 'Gran', 'Talu', 'Sylo'])}"
+SQL["noise_binary"] = binary_rows(50, "train")
 
 # ------------------------------------------------------------------------------------------------------------- scripts
 
@@ -261,7 +312,7 @@ SQL |= {
     "coverage_contamination": WEAK + "select gold, count(*) as n, count(*) filter (pred = 'eng_Latn') as lost, round(count(*) filter (pred = 'eng_Latn') / count(*), 6) as share from pred where gold <> 'eng_Latn' group by all",
     "wall_time": f"with {LINES}, s as (select count(*) as s from lines), d as (select count(*) as d from documents) select 'given table' as corpus, round(d / 48.0 * (s / d / 1379.0 + 1 / 245.0) / 3600, 9) as hours from s, d union all select 'snapshot', round(3.16e9 / 48 * (20 / 1379 + 1 / 245) / 3600, 4)",
     "audit_sample": "with k as (select lang || '_' || source as label, doc_id from documents), n as (select distinct label from k order by md5('audit:' || label), label limit 40) select label, doc_id, cast(rank as integer) as rank from (select *, row_number() over (partition by label order by md5('audit:' || cast(doc_id as varchar)), doc_id) as rank from k where label in (select label from n)) where rank <= 20",
-    "audit_out_of_model": f"select {LABEL} as label, count(*) as n from documents where lang = 'es' group by all",
+    "audit_out_of_model": NARROW + "select gold as label, count(*) as n, count(pred) as called, round(avg(prob), 4) as mean_prob from pred where gold not in ('eng_Latn', 'fra_Latn', 'deu_Latn') group by all",
     "audit_clues": "with c as (select page_id, regexp_extract(url, '^[a-zA-Z]+://[^/]+/([a-z]{2,3})/', 1) as url_code, regexp_extract(html, '(?i)<html[^>]*\\blang=[\"'']?([a-zA-Z]{2,3})', 1) as html_code from pages) select *, url_code = html_code as agree from c",
     "audit_affix": f"with {LINES}, t as (select doc_id, {_tokens('line')} as w from lines), x as (select doc_id, 'prefix' as kind, w[1] || ' ' || w[2] as affix from t where len(w) > 2 union all select doc_id, 'suffix', w[len(w) - 1] || ' ' || w[len(w)] from t where len(w) > 2) select doc_id, kind, affix, count(*) as lines from x group by all having count(*) >= 3",
     "audit_recleanse": f"select {LABEL} as label, count(*) as n from documents where lang <> 'es' group by all",
@@ -311,15 +362,15 @@ _TURNS = "select conv_id * 1000 + turn as id, text as t from conversations"
 _EVERY = "select cast(doc_id as varchar) as id, text as t from documents union all select cast(doc_id as varchar) || ':' || cast(pos as varchar), line from lines"
 _SEEDED = [model(UNITS, f"select label, line from lines where part < 8 and {h32(f'concat_ws({text(chr(58))}, {text(str(k))}, doc_id)')} % 10 > 0", tag=str(k)) for k in range(3)]
 SQL |= {
-    "hash_buckets": f"with {LINES}, {vocabulary()} select g, {h32('g')} % {BUCKETS} as b, {_FNV} as fnv from voc where length(g) <= 3",
+    "hash_buckets": f"with {LINES}, {vocabulary()} select g, {h32('g')} % {BUCKETS} as b, {_FNV} as fnv from voc",
     "pii_email": replaced(pii.EMAIL, f"case when f[i] in ({', '.join(map(text, pii.EMAILS))}) then f[i] else {_picked(pii.EMAILS)} end"),
     "pii_ip": replaced(pii.QUAD, f"case when regexp_matches(f[i], {text(pii.PRIVATE)}) or f[i] in ({', '.join(map(text, pii.POOL))}) then f[i] else {_picked(pii.POOL)} end"),
-    "noise_mojibake_latin": "select doc_id, array_to_string([chr(cast('0x' || substr(h, 2 * i + 1, 2) as integer)) for i in range(length(h) // 2)], '') as line from (select doc_id, hex(encode(substr(text, 1, 80))) as h from documents where lang <> 'en')",
+    "noise_mojibake_latin": f"select doc_id, {latin_bytes('text')} as line from documents where lang <> 'en'",
     "script_one_pass": f"with {SWAPPED}, c as (select doc_id, unnest([{{'script': 'Latn', 'n': {_LATIN()}}}, {{'script': 'Cyrl', 'n': {_N('Cyrillic')}}}, {{'script': 'Arab', 'n': len(list_filter(regexp_extract_all(text, '\\p{{Arabic}}'), lambda x: regexp_matches(x, '\\p{{L}}')))}}, {{'script': 'Hani', 'n': {_N('Han')}}}]) as s from swapped) select doc_id, s.script as script, cast(s.n as bigint) as n from c where s.n > 0",
     "html_text": f"with {PAGES} select page_id, host, gold, cast(length(text) as integer) as n, regexp_matches(text, '[<>]') or contains(text, 'function(') as markup_left from page_text",
     "noise_harvest": f"with {PAGES} select page_id, seed from page_text, (select unnest(['idiot', '!!', '###']) as seed) where contains(text, seed)",
     "lid_conversations": f"with {LINES}, {model(_TURNS)}, n as (select conv_id, pred, count(*) as n from conversations left join best on id = conv_id * 1000 + turn group by all), c as (select conv_id, max(n) as most, sum(n) as n from n group by 1) select count(*) as conversations, round(sum(most) / sum(n), 6) as consistency from c",
-    "audit_score": f"with {LINES}, {model('select doc_id as id, text as t from documents')}, k as (select lang || '_' || source as label, doc_id, {LABEL} as gold from documents), n as (select distinct label from k order by md5('audit:' || label), label limit 40), s as (select *, row_number() over (partition by label order by md5('audit:' || cast(doc_id as varchar)), doc_id) as rank from k where label in (select label from n)), p as (select label, avg(cast(pred = gold as integer)) as share from s join best on id = doc_id where rank <= 20 and pred is not null group by 1) select count(*) as n_labels, round(avg(share), 6) as macro_avg, round(median(share), 6) as median from p",
+    "audit_score": f"with {LINES}, {model('select doc_id as id, text as t from documents')}, k as (select lang || '_' || source as label, doc_id, {LABEL} as gold, len({_WORDS('text')}) as n_words from documents), n as (select distinct label from k order by md5('audit:' || label), label limit 40), s as (select *, row_number() over (partition by label order by md5('audit:' || cast(doc_id as varchar)), doc_id) as rank from k where label in (select label from n)), p as (select label, avg(cast(pred = gold as integer)) as share from s join best on id = doc_id where rank <= 20 and pred is not null and n_words >= {TOO_SHORT} group by 1) select count(*) as n_labels, round(avg(share), 6) as macro_avg, round(median(share), 6) as median from p",
     "pipeline_snapshots": f"{ANNOTATED}, k as (select doc_id from a where len({_IGN}) = 0) select '2024-10' as snapshot, count(*) as n from k union all select '2024-18', count(*) from k where doc_id % 3 = 0 union all select '2024-22', count(*) from k where doc_id % 5 = 0",
     "warn_lid_inconsistent": f"with {LINES}, {model(_EVERY)}, l as (select doc_id, pred from lines left join best on id = cast(doc_id as varchar) || ':' || cast(pos as varchar)), d as (select doc_id, pred from documents left join best on id = cast(doc_id as varchar)) select d.doc_id, d.pred from d join l using (doc_id) group by all having count(*) filter (l.pred is distinct from d.pred) / count(*) >= 0.2",
     "lid_domain_gap": f"with {LINES}, {TEST}, {PAGES}, {model(UNITS, tag='1')}, {model('select page_id as id, text as t from page_text', tag='2')}, cells_1 as (select gold, coalesce(pred, 'none') as pred, count(*) as n from test left join best1 on id = doc_id group by all), cells_2 as (select gold, coalesce(pred, 'none') as pred, count(*) as n from page_text left join best2 on id = page_id group by all), {prf('prf1', 'cells_1')}, {prf('prf2', 'cells_2')} select label, a.f1 as f1_in, b.f1 as f1_out, round(coalesce(a.f1, 0) - coalesce(b.f1, 0), 6) as gap from prf1 a full join prf2 b using (label)",
@@ -329,3 +380,58 @@ SQL |= {
     + " union all ".join(f"select round(avg(f1), 6) as value from prf{k}" for k in range(3))
     + ") select round(avg(value), 6) as mean, round(stddev_pop(value), 6) as deviation from v",
 }
+
+# ------------------------------------------------------------------------------------------------------- the corpus run
+
+_SAMPLED = "n as (select distinct label from k order by md5('audit:' || label), label limit 40), s as (select *, row_number() over (partition by label order by md5('audit:' || cast(doc_id as varchar)), doc_id) as rank from k where label in (select label from n))"
+SQL["audit_undeterminable"] = f"with k as (select lang || '_' || source as label, doc_id, len({_WORDS('text')}) as n_words from documents), {_SAMPLED} select label, doc_id from s where rank <= 20 and n_words < {TOO_SHORT}"
+_RAW = "corpus as (select doc_id, text, source, null as lang from documents union all select doc_id, text, 'noise', null from noise_docs)"
+_PREFIX = "corpus as (select doc_id, text, source, null as lang from documents where doc_id * 10 <= (select max(doc_id) from documents))"
+_CLINES = LINES.replace("lines as", "clines as", 1).replace("from documents", "from corpus")
+_CREPS = _REPLINES.replace("from lines", "from clines")
+_CORPUS_UNITS = "select 'd:' || doc_id as id, text as t from corpus union all select 'l:' || doc_id || ':' || pos, line from clines"
+_CD = f"d as (select *, {LS} as ls, coalesce((select rep from reps where reps.doc_id = corpus.doc_id), false) as rep from corpus)"
+
+
+def run_of(tag: str, train: str, pattern: str = r"\p{L}+") -> str:
+    """CTEs from corpus, clines, d to run<tag> (doc_id, text, label, warnings, reason)."""
+    inconsistent = f"(select doc_id, count(*) filter (bl.pred is distinct from bd.pred) / count(*) >= 0.6 as lid from clines left join best{tag} bl on bl.id = 'l:' || doc_id || ':' || pos left join best{tag} bd on bd.id = 'd:' || doc_id group by all)"
+    letters = "len(regexp_extract_all(text, '\\p{L}'))"
+    script = f"({letters} > 0 and round(1 - {_LATIN()} / {letters}, 9) >= 0.1) or {_TECH('text')}"
+    named = f"list_concat({_NAMED}, list_filter([case when lid then 'lid_inconsistent' end, case when {script} then 'script_inconsistent' end], lambda x: x is not null))"
+    return (
+        f"{model(_CORPUS_UNITS, train, pattern=pattern, tag=tag)}, named{tag} as (select d.doc_id, text, source, pred as label, {named} as warnings from d left join {inconsistent} i on i.doc_id = d.doc_id left join best{tag} on id = 'd:' || d.doc_id), "
+        f"run{tag} as (select *, case when label is null or regexp_matches(label, '^(und|zxx)_') then 'rejected' when len({_IGN}) > 0 then ({_IGN})[1] end as reason from named{tag})"
+    )
+
+
+_TRAIN = "select label, line from lines where part < 8"
+_RUN3 = f"with {LINES}, {NOISE}, {_RAW}, {_CLINES}, {_CREPS}, {_CD}, {run_of('3', _R3, chr(92) + 'S+')}"
+_RUNC = f"with {LINES}, {NOISE}, {_RAW}, {_CLINES}, {_CREPS}, {_CD}, {run_of('c', THREE)}"
+_STATS = " select label, coalesce(reason, 'kept') as reason, count(*) as n from run{} group by all"
+_JOINED = "array_to_string([g[i] || case when i <= len(f) then {by} else '' end for i in range(1, len(g) + 1)], '')"
+_MAIL = f"case when f[i] in ({', '.join(map(text, pii.EMAILS))}) then f[i] else {_picked(pii.EMAILS)} end"
+_ADDRESS = f"case when regexp_matches(f[i], {text(pii.PRIVATE)}) or f[i] in ({', '.join(map(text, pii.POOL))}) then f[i] else {_picked(pii.POOL)} end"
+_CUT = lambda column, pattern: f"regexp_split_to_array({column}, {text(pattern)}) as g, regexp_extract_all({column}, {text(pattern)}) as f"
+SQL |= {
+    "pipeline_stats": _RUN3 + _STATS.format("3"),
+    "pipeline_swap": _RUNC + _STATS.format("c"),
+    "pipeline_counters": _RUN3 + " select unnest(['read', 'rejected', 'filtered', 'kept']) as counter, unnest([count(*), count(*) filter (reason = 'rejected'), count(*) filter (reason <> 'rejected'), count(*) filter (reason is null)]) as n from run3",
+    "pipeline_kept": _RUN3
+    + f", k as (select * from run3 where reason is null), m as (select doc_id, label, warnings, text, {_CUT('text', pii.EMAIL)} from k), n as (select doc_id, label, warnings, text, cast(len(f) as integer) as email, {_JOINED.format(by=_MAIL)} as clean from m), "
+    + f"a as (select doc_id, label, warnings, email, cast(len(list_filter({_QUADS}, lambda x: {_PUBLIC})) as integer) as ip, {_CUT('clean', pii.QUAD)} from n) select doc_id, label, array_to_string(warnings, ',') as warnings, md5({_JOINED.format(by=_ADDRESS)}) as h, email, ip from a",
+    "coverage_retention_predicted": _RUN3 + ", t as (select label, count(*) as n_in, count(*) filter (reason is null) as n_kept from run3 where reason is distinct from 'rejected' group by all) select label, cast(length(cast(n_in as varchar)) - 1 as integer) as bucket, n_in, n_kept, round(n_kept / n_in, 6) as share from t",
+    "coverage_prior_corpus": _RUN3
+    + f", {model('select doc_id as id, text as t from corpus', THREE, tag='c')}, x as (select label, count(*) as docs_a from run3 where reason is null group by 1), y as (select pred as label, count(*) as docs_b from bestc where prob >= 0.8 group by 1) select label, coalesce(docs_a, 0) as docs_a, coalesce(docs_b, 0) as docs_b, case when docs_b > 0 then round(coalesce(docs_a, 0) / docs_b, 6) end as ratio from x full join y using (label)",
+    "compare_pipelines": f"with {LINES}, {_PREFIX}, {_CLINES}, {_CREPS}, {_CD}, {run_of('a', _TRAIN)}, {run_of('b', THREE)} select coalesce(a.label, 'none') as label_a, coalesce(b.label, 'none') as label_b, count(*) as n from (select * from runa where reason is null) a full join (select * from runb where reason is null) b using (doc_id) group by all",
+}
+_BENCHES = {
+    "documents": "select doc_id as id, text as t, gold from test",
+    "lines": "select doc_id * 100000 + pos as id, line as t, label as gold from lines where part = 9 qualify row_number() over (partition by label order by md5(concat_ws(':', 'in-domain', doc_id, pos)), doc_id, pos) <= 50",
+    "pages": "select page_id as id, text as t, gold from page_text",
+}
+_TESTED = "tested as (" + " union all ".join(f"select '{b}' as bench, '{b}:' || id as id, t, gold from ({q})" for b, q in _BENCHES.items()) + ")"
+_MODELS = {"full": model("select id, t from tested", tag="f"), "compact": model("select id, t from tested", buckets=4096, tag="k"), "closed": model("select id, t from tested", THREE, tag="c")}
+SQL["lid_benchmark_table"] = f"with {LINES}, {TEST}, {PAGES}, {_TESTED}, {', '.join(_MODELS.values())}" + "".join(
+    f", cells_{m}_{b} as (select gold, coalesce(pred, 'none') as pred, count(*) as n from tested left join best{tag} using (id) where bench = '{b}' group by all), {prf(f'prf_{m}_{b}', f'cells_{m}_{b}')}" for m, tag in (("full", "f"), ("compact", "k"), ("closed", "c")) for b in _BENCHES
+) + " " + " union all ".join(f"select '{m}' as model, '{b}' as bench, round(avg(f1), 4) as f1, round(avg(fpr), 4) as fpr from prf_{m}_{b}" for m in _MODELS for b in _BENCHES)

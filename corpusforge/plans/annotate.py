@@ -221,17 +221,18 @@ def _batch(scorer: Scorer, texts: list[str | None], by: Pass, marker):
 
 
 def _banned(label_scripts: list[str], letters: np.ndarray) -> np.ndarray:
-    """(text, label): labels of another script than the text's main one; texts of unknown script may be anything."""
+    """(text, label): labels of another script than the text's main one; texts without letters may be anything."""
     from corpusforge.functions.labels import COMPOSITE
     from corpusforge.functions.scripts import PATTERNS
 
     names = list(PATTERNS)
     by_name = sorted(range(len(names)), key=lambda i: names[i])
     counts = letters[:, 1:][:, by_name]
-    main = counts.argmax(axis=1)
-    known = counts.max(axis=1) > 0
-    fits = np.array([[x == names[i] or names[i] in COMPOSITE.get(x, ()) for x in label_scripts] for i in by_name], dtype=bool).reshape(len(names), -1)
-    return known[:, None] & ~fits[main]
+    rest = letters[:, 0] - counts.sum(axis=1)
+    fits = [[x == names[i] or names[i] in COMPOSITE.get(x, ()) for x in label_scripts] for i in by_name]
+    fits = np.array([*fits, [x not in PATTERNS and x not in COMPOSITE for x in label_scripts]], dtype=bool)
+    main = np.where(rest > counts.max(axis=1), len(names), counts.argmax(axis=1))
+    return (letters[:, 0] > 0)[:, None] & ~fits[main]
 
 
 def _pass(holder, name: str, pattern: str, by: Pass, at: int):

@@ -4,14 +4,14 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from corpusforge.engine import read
 from corpusforge.functions import cost, features, html, lsh, pii, scripts
 from corpusforge.functions import labels as lab
 from corpusforge.functions import warnings as W
-from corpusforge.functions.text import exploded_lines
+from corpusforge.functions.text import exploded_lines, words
 from corpusforge.operators import audit, compare, content, coverage, curate, dedup, evaluate, filters, lid, noise, relational, softmax, traindata
 from corpusforge.plans import annotate, pipeline
 from corpusforge.streaming import stream
@@ -55,26 +55,44 @@ def model(spark, sf, labels: tuple[str, ...] | None = None, buckets: int = BUCKE
     return lid.fit_counts(rows.filter(F.col("label").isin(*labels)) if labels else rows, buckets=buckets)
 
 
-def reject_rows(spark, n, seed):
-    """Lines of unseen scripts and of noise, with their labels; test rows take another seed and other parameters."""
-    und = noise.undetermined(spark, ["Mong", "Sylo", "Talu", "Cher"], n, seed=seed, words=(5, 15) if seed == "train" else (4, 9))
-    pdf = noise.misrendered_pdf(spark, n, seed).select(F.lit("zxx_Latn").alias("label"), "row", "line")
-    return und.select("label", "row", "line").union(pdf)
+#: How many words lines of unseen scripts have, when training and when testing.
+REJECT_WORDS = {"train": (5, 15), "test": (4, 9)}
+
+
+def reject_rows(spark, sf, n, seed):
+    """(kind, label, row, line) of unseen scripts and noise; test rows take other seeds, lengths and lines of the corpus."""
+    own = lines(spark, sf).filter("part < 8" if seed == "train" else "part = 9")
+    return noise.rejects(spark, own, n, seed, words=REJECT_WORDS[seed])
 
 
 def release(spark, sf, name: str) -> lid.LidModel:
-    """Releases differ in their label set: r1 languages, r2 with script restriction at prediction, r3 with reject labels."""
+    """Releases differ in their labels: r1 and r2 know languages (r2 asks for the text's script when it predicts), r3 has reject labels."""
     rows = train_lines(spark, sf).select("label", "line")
     if name == "r3":
-        rows = rows.union(reject_rows(spark, REJECT_TRAIN, "train").select("label", "line"))
+        rows = rows.union(reject_rows(spark, sf, REJECT_TRAIN, "train").select("label", "line"))
     return lid.fit_counts(rows, pattern=r"\S+" if name == "r3" else r"\p{L}+")
 
 
+#: What numbers of noise rows begin at, so that they are no document's.
+NOISE_ID = 10**12
+
+
+def noise_docs(spark, sf):
+    """(doc_id, text, gold): noise of the test seed as documents; the number tells its kind and row."""
+    kinds = [f"und_{s}" for s in noise.unseen_scripts()] + list(noise.KINDS)
+    place = F.element_at(F.create_map(*[F.lit(x) for i, k in enumerate(kinds) for x in (k, i)]), F.col("kind"))
+    return reject_rows(spark, sf, REJECT_TEST, "test").select((F.lit(NOISE_ID) + place * 1_000_000 + F.col("row")).alias("doc_id"), F.col("line").alias("text"), F.col("label").alias("gold"))
+
+
 def mixed_test(spark, sf):
     """Held-out documents beside noise of another seed: (id, text, gold, is_noise)."""
     true = test_docs(spark, sf).select(F.col("doc_id").alias("id"), "text", "gold", F.lit(False).alias("is_noise"))
-    bad = reject_rows(spark, REJECT_TEST, "test").select((F.xxhash64("label", "row").bitwiseOR(1 << 40)).alias("id"), F.col("line").alias("text"), F.col("label").alias("gold"), F.lit(True).alias("is_noise"))
-    return true.union(bad)
+    return true.union(noise_docs(spark, sf).select("doc_id", "text", "gold", F.lit(True)))
+
+
+def mixed_predictions(spark, sf, name):
+    by = annotate.Pass(lines=False, restrict=name == "r2")
+    return annotate.identify_rows(mixed_test(spark, sf), release(spark, sf, name), by=by).select("id", "gold", "is_noise", "pred", "prob")
 
 
 def predicted(spark, sf, m=None, only=None):
@@ -189,10 +207,14 @@ def weak_lines(spark, sf, m=None):
     return rows.select("doc_id", "pos", "gold").join(lid.predict(rows, m or weak(spark, sf), ["doc_id", "pos"], "line"), ["doc_id", "pos"], "left")
 
 
+#: Languages of the given tables and their branches, as macro-languages stand over their members.
+FAMILIES = [("eng_Latn", "gmw"), ("deu_Latn", "gmw"), ("fra_Latn", "roa"), ("spa_Latn", "roa")]
+
+
 @query
 def lid_confused_pairs(spark, sf):
     pairs = curate.confused_pairs(evaluate.confusion(weak_lines(spark, sf)))
-    return curate.annotate_pairs(pairs, lab.languages(spark)).select("a", "b", "n_ab", "n_ba", "n", "one_macro")
+    return curate.annotate_pairs(pairs, spark.createDataFrame(FAMILIES, "label string, macro_label string")).select("a", "b", "n_ab", "n_ba", "n", "one_macro")
 
 
 @query
@@ -225,19 +247,30 @@ def lid_baseline_compact(spark, sf):
 @query
 def lid_baseline_narrow(spark, sf):
     """The narrow closed-set baseline with a threshold, whose rest are misses."""
-    p = lid.reject(predicted(spark, sf, model(spark, sf, ("eng_Latn", "fra_Latn", "deu_Latn"))), 0.8)
+    p = lid.reject(predicted(spark, sf, model(spark, sf, CLOSED)), 0.8)
     return p.groupBy("gold", F.coalesce("pred", F.lit("none")).alias("pred")).agg(F.count(F.lit(1)).alias("n"))
 
 
 @query
 def lid_release_delta(spark, sf):
-    """F1 of the first and the third release on documents and noise; a closed set can't name noise."""
-    test = mixed_test(spark, sf)
-    f = []
-    for name in ("r1", "r3"):
-        p = test.select("id", "gold").join(lid.predict(test, release(spark, sf, name), ["id"], "text"), "id", "left")
-        f.append(evaluate.f1(p))
-    return evaluate.delta(*f)
+    """F1 of the three releases on documents and noise; a closed set can't name noise."""
+    out = None
+    for name in ("r1", "r2", "r3"):
+        part = evaluate.f1(mixed_predictions(spark, sf, name)).select("label", F.col("f1").alias(name))
+        out = part if out is None else out.join(part, "label", "full")
+    return out.select("label", "r1", "r2", "r3", F.round(F.col("r2") - F.col("r1"), 6).alias("r2_gain"), F.round(F.col("r3") - F.col("r1"), 6).alias("r3_gain"))
+
+
+@query
+def lid_release_noise(spark, sf):
+    """What each release calls the noise of a kind: a language (wrong), a reject label, or nothing."""
+    out = None
+    for name in ("r1", "r2", "r3"):
+        p = mixed_predictions(spark, sf, name).filter("is_noise")
+        said = F.when(F.col("pred").isNull(), "nothing").when(pipeline.is_rejected("pred"), "reject").otherwise("language")
+        part = p.groupBy(F.substring("gold", 1, 3).alias("kind"), said.alias("said")).agg(F.count(F.lit(1)).alias("n")).withColumn("release", F.lit(name))
+        out = part if out is None else out.union(part)
+    return out
 
 
 @query
@@ -272,6 +305,26 @@ def lid_softmax_compact(spark, sf):
     return evaluate.macro(evaluate.f1(test.select("doc_id", "gold").join(softmax.predict_softmax(test, m, "doc_id"), "doc_id")), "f1")
 
 
+def benchmarks(spark, sf):
+    """(bench, id, text, gold) of three test sets: held-out documents, sampled held-out lines, pages of another domain."""
+    lines_ = evaluate.indomain_sample(lines(spark, sf).filter("part = 9"), 50).select(F.lit("lines"), F.col("doc_id") * 100_000 + F.col("pos"), F.col("line"), F.col("label"))
+    pages = page_text(spark, sf).select(F.lit("pages"), "page_id", "text", "gold")
+    return test_docs(spark, sf).select(F.lit("documents").alias("bench"), F.col("doc_id").alias("id"), "text", "gold").union(lines_).union(pages)
+
+
+@query
+def lid_benchmark_table(spark, sf):
+    """(model, bench, f1, fpr): macro averages of three models over three test sets."""
+    test, out = benchmarks(spark, sf), None
+    for name, m in (("full", model(spark, sf)), ("compact", model(spark, sf, buckets=4096)), ("closed", model(spark, sf, CLOSED))):
+        p = annotate.identify_rows(test, m, by=annotate.Pass(lines=False))
+        for bench in ("documents", "lines", "pages"):
+            part = evaluate.prf(p.filter(F.col("bench") == bench)).agg(F.round(F.avg("f1"), 4).alias("f1"), F.round(F.avg("fpr"), 4).alias("fpr"))
+            part = part.select(F.lit(name).alias("model"), F.lit(bench).alias("bench"), "f1", "fpr")
+            out = part if out is None else out.union(part)
+    return out
+
+
 @query
 def lid_indomain_sample(spark, sf):
     return evaluate.indomain_sample(lines(spark, sf).filter("part = 9"), 50).select("label", "doc_id", "pos", "rank")
@@ -285,19 +338,17 @@ def lid_label_overlap(spark, sf):
 @query
 def lid_rejection_vs_threshold(spark, sf):
     """Reject labels against a threshold: noise turned away and true text lost."""
-    test = mixed_test(spark, sf)
     out = None
-    for name, m in (("threshold", release(spark, sf, "r1")), ("labels", release(spark, sf, "r3"))):
-        p = test.select("id", "is_noise").join(lid.predict(test, m, ["id"], "text"), "id", "left")
-        rule = pipeline.is_rejected("pred") if name == "labels" else F.coalesce(F.col("prob") < 0.5, F.lit(True))
-        part = evaluate.rejection(p, rule).withColumn("method", F.lit(name))
+    for name, of in (("threshold", "r1"), ("script", "r2"), ("labels", "r3")):
+        rule = pipeline.is_rejected("pred") if name != "threshold" else F.coalesce(F.col("prob") < 0.5, F.lit(True))
+        part = evaluate.rejection(mixed_predictions(spark, sf, of), rule).withColumn("method", F.lit(name))
         out = part if out is None else out.union(part)
     return out
 
 
 @query
 def lid_cousins(spark, sf):
-    return evaluate.cousins(predicted(spark, sf, model(spark, sf, ("eng_Latn", "fra_Latn", "deu_Latn"))), ["spa_Latn"])
+    return evaluate.cousins(predicted(spark, sf, model(spark, sf, CLOSED)), ["spa_Latn"])
 
 
 def page_text(spark, sf):
@@ -392,6 +443,12 @@ def noise_binary(spark, sf):
     return noise.binary(spark, 50)
 
 
+@query
+def noise_kinds(spark, sf):
+    """Every kind of noise and some unseen scripts, as they are trained on."""
+    return noise.rejects(spark, lines(spark, sf).filter("part < 8"), 20, "train", ["Mong", "Newa", "Gran", "Talu", "Sylo"])
+
+
 @query
 def noise_mojibake_latin(spark, sf):
     return docs(spark, sf, "doc_id", "text", "lang").filter("lang <> 'en'").select("doc_id", noise.mojibake_latin("text").alias("line"))
@@ -422,14 +479,33 @@ def curation_rules(spark, sf):
     return curate.apply_rules(rows, spark.createDataFrame(RULES, curate.RULES)).groupBy("label").agg(F.count(F.lit(1)).alias("n"))
 
 
+def weakest_f1(spark, sf):
+    """F1 by label of a model with so few buckets that it hardly tells languages apart."""
+    return evaluate.f1(weak_lines(spark, sf, model(spark, sf, buckets=4)))
+
+
 @query
 def curation_low_f1(spark, sf):
-    return curate.low_labels(evaluate.f1(weak_lines(spark, sf)), 0.9)
+    return curate.low_labels(weakest_f1(spark, sf), 0.7)
+
+
+@query
+def curation_drop_labels(spark, sf):
+    """Training lines that are left when the labels below the floor go."""
+    low = curate.low_labels(weakest_f1(spark, sf), 0.7)
+    return curate.drop_labels(lines(spark, sf), low).groupBy("label").agg(F.count(F.lit(1)).alias("n"))
+
+
+#: Labels that stand for those of some documents, by the remainder of their number: macro-languages beside a member.
+RELABELLED = {0: "swh_Latn", 1: "swa_Latn", 2: "quy_Latn", 3: "que_Latn"}
 
 
 @query
 def curation_exclusive(spark, sf):
-    return curate.check_exclusive(spark.createDataFrame([("swh_Latn",), ("swa_Latn",), ("quy_Latn",), ("eng_Latn",)], "label string"), lab.languages(spark))
+    label = lab.label_of("lang")
+    for k, other in RELABELLED.items():
+        label = F.when(F.col("doc_id") % 5 == k, other).otherwise(label)
+    return curate.check_exclusive(docs(spark, sf, "doc_id", "lang").select(label.alias("label")), lab.languages(spark))
 
 
 @query
@@ -637,8 +713,15 @@ def dedup_near(spark, sf):
     return dedup.near(docs(spark, sf, "doc_id", "text"))
 
 
+def raw_corpus(spark, sf):
+    """What a crawl gives: the documents beside noise and lines of unseen scripts."""
+    return docs(spark, sf, "doc_id", "text", "source").union(noise_docs(spark, sf).select("doc_id", "text", F.lit("noise")))
+
+
 def corpus(spark, sf, labels=None, **changes):
-    return pipeline.run(docs(spark, sf), pipeline.Config(model=model(spark, sf, labels)).but(**changes))
+    """The run with the third release, or with a closed set of labels in its place."""
+    m = model(spark, sf, labels) if labels else release(spark, sf, "r3")
+    return pipeline.run(raw_corpus(spark, sf), pipeline.Config(model=m).but(**changes))
 
 
 @query
@@ -652,10 +735,52 @@ def pipeline_stats(spark, sf):
     return corpus(spark, sf).stats()
 
 
+#: A closed set without one language and without reject labels, as the models the third release is compared with.
+CLOSED = ("eng_Latn", "fra_Latn", "deu_Latn")
+
+
 @query
 def pipeline_swap(spark, sf):
     """The same pipeline with another identifier."""
-    return corpus(spark, sf, ("eng_Latn", "fra_Latn", "deu_Latn")).stats()
+    return corpus(spark, sf, CLOSED).stats()
+
+
+@query
+def pipeline_counters(spark, sf):
+    """Counters of the stages, observed while the corpus is written."""
+    counters = Observation("stages")
+    pipeline.run(raw_corpus(spark, sf), pipeline.Config(model=release(spark, sf, "r3")), counters).kept.write.format("noop").mode("overwrite").save()
+    return spark.createDataFrame([(k, int(v)) for k, v in counters.get.items()], "counter string, n long")
+
+
+@query
+def coverage_retention_predicted(spark, sf):
+    """By the label that the run gave: documents, kept ones, size of the language."""
+    rows = corpus(spark, sf).rows.filter(~pipeline.is_rejected("label")).select("label", "reason")
+    t = rows.groupBy("label").agg(F.count(F.lit(1)).alias("n_in"), F.count(F.when(F.col("reason").isNull(), 1)).alias("n_kept"))
+    return t.select("label", coverage.size_bucket("n_in").alias("bucket"), "n_in", "n_kept", F.round(F.col("n_kept") / F.col("n_in"), 6).alias("share"))
+
+
+@query
+def coverage_prior_corpus(spark, sf):
+    """Our corpus by its labels against one that a closed-set identifier with a threshold makes of the same pages without filters."""
+    ours = corpus(spark, sf).kept.select("label")
+    prior = annotate.identify_rows(raw_corpus(spark, sf), model(spark, sf, CLOSED), by=annotate.Pass(lines=False))
+    return coverage.compare(ours, lid.reject(prior, 0.8).filter("pred is not null").select(F.col("pred").alias("label")), "label")
+
+
+def prefix(spark, sf):
+    """The first tenth of the documents, as the comparison of two runs takes a prefix of a snapshot."""
+    d = docs(spark, sf, "doc_id", "text", "source")
+    return d.join(F.broadcast(d.agg(F.max("doc_id").alias("last"))), F.col("doc_id") * 10 <= F.col("last")).drop("last")  # one row
+
+
+@query
+def compare_pipelines(spark, sf):
+    """Two whole runs over the same prefix that differ in the identifier alone: what becomes of each page, in numbers."""
+    d, cfg = prefix(spark, sf), pipeline.Config()
+    runs = [pipeline.run(d, cfg.but(model=m)).kept.select("doc_id", F.col("label").alias("pred")) for m in (model(spark, sf), model(spark, sf, CLOSED))]
+    return compare.joined(*runs).groupBy(F.coalesce("label_a", F.lit("none")).alias("label_a"), F.coalesce("label_b", F.lit("none")).alias("label_b")).agg(F.count(F.lit(1)).alias("n"))
 
 
 @query
@@ -724,19 +849,36 @@ def audit_sample(spark, sf):
     return audit.sample(pseudo(docs(spark, sf)), "key", 40)
 
 
+#: Words below which the auditor can't tell a language.
+TOO_SHORT = 10
+
+
 @query
 def audit_score(spark, sf):
-    s = audit.sample(pseudo(docs(spark, sf)), "key", 40)
-    p = annotate.identify(docs(spark, sf, "doc_id", "text"), model(spark, sf), with_lines=False).select("doc_id", "pred")
-    truth = docs(spark, sf, "doc_id", "lang").select("doc_id", lab.label_of("lang").alias("gold"))
-    judged = s.join(p, "doc_id").join(truth, "doc_id").withColumn("verdict", (F.col("pred") == F.col("gold")).cast("int"))
+    """Only the sampled documents are identified; those that are too short have no verdict."""
+    s = audit.sample(pseudo(docs(spark, sf)), "key", 40)  # some hundred rows
+    own = docs(spark, sf, "doc_id", "text", "lang").join(F.broadcast(s), "doc_id")
+    p = annotate.identify_rows(own, model(spark, sf), by=annotate.Pass(lines=False)).filter("pred is not null")
+    judged = p.withColumn("verdict", F.when(F.size(words("text")) >= TOO_SHORT, (F.col("pred") == lab.label_of("lang")).cast("int")))
     return audit.score(judged)
 
 
+@query
+def audit_undeterminable(spark, sf):
+    """Sampled documents that the auditor can't judge."""
+    s = audit.sample(pseudo(docs(spark, sf)), "key", 40)
+    own = docs(spark, sf, "doc_id", "text").join(F.broadcast(s), "doc_id")
+    return own.filter(F.size(words("text")) < TOO_SHORT).select("label", "doc_id")
+
+
 @query
 def audit_out_of_model(spark, sf):
-    truth = docs(spark, sf, "lang").select(lab.label_of("lang").alias("label"))
-    return audit.out_of_model(truth, spark.createDataFrame([("eng_Latn",), ("fra_Latn",), ("deu_Latn",)], "label string"))
+    """A model that lacks a language: the audit meets that language under other labels."""
+    m = model(spark, sf, CLOSED)
+    p = predicted(spark, sf, m)
+    found = audit.out_of_model(p.select(F.col("gold").alias("label")), m.totals)
+    called = p.groupBy(F.col("gold").alias("label")).agg(F.count("pred").alias("called"), F.round(F.avg("prob"), 4).alias("mean_prob"))
+    return found.join(called, "label")
 
 
 @query
@@ -760,7 +902,7 @@ def two_runs(spark, sf):
     test = test_docs(spark, sf)
     keys = docs(spark, sf, "doc_id", "source")
     a = predicted(spark, sf).select("doc_id", "pred")
-    b = lid.reject(predicted(spark, sf, model(spark, sf, ("eng_Latn", "fra_Latn", "deu_Latn"))), 0.8).select("doc_id", "pred")
+    b = lid.reject(predicted(spark, sf, model(spark, sf, CLOSED)), 0.8).select("doc_id", "pred")
     with_source = lambda p: p.join(keys, "doc_id").select("doc_id", F.when(F.col("pred").isNotNull(), F.concat_ws("_", "pred", "source")).alias("pred"))
     truth = test.select("doc_id", "gold").join(keys, "doc_id").select("doc_id", F.concat_ws("_", "gold", "source").alias("truth"))
     return with_source(a), with_source(b), truth
