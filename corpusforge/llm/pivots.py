@@ -44,9 +44,11 @@ def usable():
 
 def unit(rows: pa.Array) -> np.ndarray:
     """A column of float arrays of one length as unit vectors in double precision."""
-    n = len(rows)
-    flat = rows.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
-    x = flat.reshape(n, -1)
+    return _normed(rows.flatten().to_numpy(zero_copy_only=False).reshape(len(rows), -1))
+
+
+def _normed(x: np.ndarray) -> np.ndarray:
+    x = x.astype(np.float64)
     x = x / np.abs(x).max(axis=1, keepdims=True)
     return x / np.linalg.norm(x, axis=1, keepdims=True)
 
@@ -122,12 +124,18 @@ def _owned(x: np.ndarray, y: np.ndarray, first: int, second: int) -> np.ndarray
     return a.astype(np.float32) @ b.astype(np.float32).T == 0
 
 
+def _owned_pairs(x: np.ndarray, y: np.ndarray, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+    """The same for pairs, each of a list of its own."""
+    common = (x[:, :, None] == y[:, None, :]).any(axis=2)
+    return ~(common & (x < second[:, None]) & (x != first[:, None])).any(axis=1)
+
+
 def _list_links(cosine: float, pivots: int):
     """Arrow function over rows of (label, list, sub), sorted so: forest links (a, b), and link counts (a, n)."""
 
     def finish(number, side, ids, vectors, near, weights):
         ids, near, weights = np.concatenate(ids), np.concatenate(near), np.concatenate(weights)
-        vectors, side = np.concatenate(vectors), np.concatenate(side)
+        side, units = np.concatenate(side), None
         same = not side.any()
         at_x, at_y = (np.arange(len(side)),) * 2 if same else (np.flatnonzero(side == s) for s in (1, 2))
         counts = np.zeros(len(ids), dtype=np.int64)
@@ -137,7 +145,9 @@ def _list_links(cosine: float, pivots: int):
             owned = _owned(near[x], near[at_y], number // pivots, number % pivots)
             if owned is None:
                 continue
-            linked = owned & (vectors[x] @ vectors[at_y].T >= cosine)
+            if units is None:  # most lists of a tight cluster own no pair, and need no vectors
+                units = _normed(np.concatenate(vectors))
+            linked = owned & (units[x] @ units[at_y].T >= cosine)
             if same:
                 linked &= x[:, None] < at_y[None, :]
             if not linked.any():
@@ -182,10 +192,24 @@ def _list_links(cosine: float, pivots: int):
                 continue
             keys = np.stack([rows.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in range(3)], axis=1)
             cuts = [0, *(np.flatnonzero((np.diff(keys, axis=0) != 0).any(axis=1)) + 1).tolist(), len(keys)]
-            x = unit(rows.column(5))
+            x = rows.column(5).flatten().to_numpy(zero_copy_only=False).reshape(rows.num_rows, -1)
             near = rows.column(6).flatten().to_numpy().reshape(rows.num_rows, -1)
             side, ids, weights = (rows.column(c).to_numpy(zero_copy_only=False) for c in (3, 4, 7))
+            # lists of two, the most frequent ones, all at once; not the batch's first and last list, which may go on elsewhere
+            at = np.array(cuts)
+            two = at[1:-2][np.diff(at)[1:-1] == 2] if len(at) > 3 else at[:0]
+            two = two[side[two] + side[two + 1] == 0]
+            if len(two):
+                a = two[_owned_pairs(near[two], near[two + 1], keys[two, 1] // pivots, keys[two, 1] % pivots)]
+                b = a + 1
+                close_by = (_normed(x[a]) * _normed(x[b])).sum(axis=1) >= cosine
+                a, b = a[close_by], b[close_by]
+                links.append((ids[a], ids[b]))
+                totals.append((np.concatenate([ids[a], ids[b]]), np.concatenate([weights[b], weights[a]])))
+            done = set(two.tolist())
             for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                if a in done:
+                    continue
                 if (now := tuple(keys[a].tolist())) != key:
                     close()
                     key, held = now, ([], [], [], [], [])
