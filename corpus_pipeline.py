@@ -24,7 +24,10 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of documents that share 0.8 of their five-word shingles the smallest doc_id; rows without doc_id stay."""
+    """Of each group of documents that share 0.8 of their five-word shingles the smallest doc_id; rows without doc_id stay.
+
+    SimHash blocks give the first candidates, MinHash bands those that differ in more bits; shares are checked exactly.
+    """
     return shingles.first_of_each(docs)
 
 

@@ -1,9 +1,12 @@
-"""Near copies by the Jaccard similarity of word shingles: MinHash bands find candidates, exact shares decide.
+"""Near copies by the Jaccard similarity of word shingles: SimHash blocks and MinHash bands find candidates, exact shares decide.
 
-A text is its set of shingles. Texts with equal sets meet once. Of BANDS bands of ROWS minima one agrees for texts of
-similarity s but for a share (1 - s ** ROWS) ** BANDS of the pairs: three in a million at 0.8, fewer above. Groups of a band
-with the same members are met once; a task holds the shingle hashes of a bounded run of a group and links it by a spanning
-forest of exact similarities; longer groups are split into blocks, and each pair of blocks is a run of its own.
+A text is its set of shingles. Texts with equal sets meet once. Candidates come from two places. The fingerprints of
+:mod:`corpusforge.llm.simhash` over the same shingles, joined on pigeonhole blocks, link what differs in a few bits. At a
+similarity of 0.8 fingerprints differ in some ten bits of 64, far beyond what blocks can join, so MinHash bands add the rest:
+of BANDS bands of ROWS minima one agrees for texts of similarity s but for a share (1 - s ** ROWS) ** BANDS of the pairs:
+three in a million at 0.8, fewer above. Groups of a band with the same members are met once; a task holds the shingle hashes
+of a bounded run of a group and links it by a spanning forest of exact similarities; longer groups are split into blocks, and
+each pair of blocks is a run of its own.
 
 Defined results: null and blank texts are copies of each other; a row without doc_id is never dropped and stands for nobody;
 rows that repeat a doc_id with another text belong to that text's group.
@@ -18,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusforge.engine import arrow_map, batch, worker_state, written
-from corpusforge.llm.simhash import keep_first, row_hash, shingle_hashes
+from corpusforge.llm.simhash import fingerprint, keep_first, links, row_hash, shingle_hashes
 from corpusforge.operators.components import components
 
 WORDS, SIMILARITY = 5, 0.8
@@ -37,6 +40,12 @@ def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
     return np.unique(shingle_hashes(text, words))
 
 
+def sketch(text: str | None, words: int) -> tuple[np.ndarray, int]:
+    """The shingles and the fingerprint of a text."""
+    hashes = shingle_hashes(text, words)
+    return np.unique(hashes), fingerprint(hashes)
+
+
 def bands(hashes: np.ndarray) -> list[int]:
     """A key for each band, the band's number included; nothing for a text without words."""
     if not len(hashes):
@@ -51,9 +60,9 @@ def _sketches(words: int):
     def run(batches):
         worker_state(("shingles",), object)
         for rows in batches:
-            sets = [shingles(t, words) for t in rows.column(1).to_pylist()]
+            sets, prints = zip(*(sketch(t, words) for t in rows.column(1).to_pylist()), strict=True) if rows.num_rows else ((), ())
             whole = pa.array([xxhash.xxh64_intdigest(s.tobytes()) - (1 << 63) for s in sets], pa.int64())
-            yield batch(doc_id=rows.column(0), whole=whole, bands=pa.array([bands(s) for s in sets], pa.list_(pa.int64())), hashes=pa.array([s.tobytes() for s in sets], pa.binary()), row=rows.column(2))
+            yield batch(doc_id=rows.column(0), whole=whole, bands=pa.array([bands(s) for s in sets], pa.list_(pa.int64())), hashes=pa.array([s.tobytes() for s in sets], pa.binary()), row=rows.column(2), print=pa.array(np.array(prints, dtype=np.uint64).view(np.int64)))
 
     return run
 
@@ -114,12 +123,12 @@ def near_copies(docs: DataFrame, words: int = WORDS, similarity: float = SIMILAR
 def _grouped(docs: DataFrame, words: int, similarity: float, run: int) -> tuple[DataFrame, DataFrame]:
     """(doc_id, whole, bands, hashes, row) of every document with a doc_id, and (whole, component_id) of its set of shingles."""
     source = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long"), F.col("text").cast("string"), row_hash(docs).alias("row"))
-    own = written(arrow_map(source, _sketches(words), "doc_id long, whole long, bands array<long>, hashes binary, row long"), "sketches")
-    distinct = written(own.groupBy("whole").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands")), "distinct")
+    own = written(arrow_map(source, _sketches(words), "doc_id long, whole long, bands array<long>, hashes binary, row long, print long"), "sketches")
+    distinct = written(own.groupBy("whole").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands"), F.first("print").alias("print")), "distinct")
     banded = distinct.select("whole", F.explode("bands").alias("key"))
     groups = banded.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("whole")).alias("x"), F.min("whole").alias("least"), F.max("whole").alias("most")).filter("n > 1")
     groups = groups.groupBy("n", "x", "least", "most").agg(F.min("key").alias("key")).select("key", "n")
-    members = written(banded.join(groups, "key"), "members")
+    members = written(banded.join(groups, "key").unionByName(_by_fingerprint(distinct)), "members")
     sets = own.join(members.select("whole").distinct(), "whole", "left_semi").groupBy("whole").agg(F.first("hashes").alias("hashes"))
     blocks = members.withColumn("blocks", F.when(F.col("n") > run, F.ceil(F.col("n") * 2 / run)).otherwise(1).cast("long")).withColumn("mine", F.expr("pmod(xxhash64(whole, 7), blocks)"))
     dealt = blocks.select("key", "whole", F.explode(F.expr("transform(sequence(0L, blocks - 1), o -> least(o, mine) * blocks + greatest(o, mine))")).alias("sub"))
@@ -130,6 +139,15 @@ def _grouped(docs: DataFrame, words: int, similarity: float, run: int) -> tuple[
     return own, reached.join(first, "group", "left").select("whole", F.coalesce("least", "id").alias("component_id"))
 
 
+def _by_fingerprint(distinct: DataFrame) -> DataFrame:
+    """(key, whole, n): groups of two that fingerprints of few differing bits link."""
+    prints = distinct.filter(F.size("bands") > 0).groupBy("print").agg(F.min("whole").alias("id"))
+    linked = links(prints)
+    equal = distinct.select("print", "whole").join(prints.withColumnRenamed("id", "b"), "print").filter("whole <> b").select(F.col("whole").alias("a"), "b")
+    pairs = linked.union(equal).select(F.xxhash64(F.least("a", "b"), F.greatest("a", "b"), F.lit("print")).alias("key"), F.explode(F.array("a", "b")).alias("whole"))
+    return pairs.distinct().withColumn("n", F.lit(2).cast("long"))
+
+
 def first_of_each(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, run: int = RUN) -> DataFrame:
     """Rows, with all their columns, that stand for their group: of a group one row of the smallest doc_id; rows without doc_id stay."""
     own, component = _grouped(docs, words, similarity, run)
