@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusforge.engine import arrow_map, batch, worker_state, written
-from corpusforge.llm.simhash import fingerprint, keep_first, links, row_hash, shingle_hashes
+from corpusforge.llm.simhash import fingerprint, keep_first, links, row_hash, sent, shingle_hashes
 from corpusforge.operators.components import components
 
 WORDS, SIMILARITY = 5, 0.8
@@ -62,7 +62,16 @@ def _sketches(words: int):
         for rows in batches:
             sets, prints = zip(*(sketch(t, words) for t in rows.column(1).to_pylist()), strict=True) if rows.num_rows else ((), ())
             whole = pa.array([xxhash.xxh64_intdigest(s.tobytes()) - (1 << 63) for s in sets], pa.int64())
-            yield batch(doc_id=rows.column(0), whole=whole, bands=pa.array([bands(s) for s in sets], pa.list_(pa.int64())), hashes=pa.array([s.tobytes() for s in sets], pa.binary()), row=rows.column(2), print=pa.array(np.array(prints, dtype=np.uint64).view(np.int64)))
+            yield batch(doc_id=rows.column(0), row=rows.column(2), whole=whole, bands=pa.array([bands(s) for s in sets], pa.list_(pa.int64())), print=pa.array(np.array(prints, dtype=np.uint64).view(np.int64)))
+
+    return run
+
+
+def _sets(words: int):
+    def run(batches):
+        worker_state(("shingles",), object)
+        for rows in batches:
+            yield batch(whole=rows.column(0), hashes=pa.array([shingles(t, words).tobytes() for t in rows.column(1).to_pylist()], pa.binary()))
 
     return run
 
@@ -121,20 +130,27 @@ def near_copies(docs: DataFrame, words: int = WORDS, similarity: float = SIMILAR
 
 
 def _grouped(docs: DataFrame, words: int, similarity: float, run: int) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, whole, bands, hashes, row) of every document with a doc_id, and (whole, component_id) of its set of shingles."""
+    """(doc_id, row, whole) of every document with a doc_id, and (whole, component_id) of its set of shingles.
+
+    The first pass over the texts leaves sketches of some hundred bytes each. Sets of shingles, as long as the texts, are made
+    in a second pass and for one row of each text that a group holds beside another.
+    """
     source = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long"), F.col("text").cast("string"), row_hash(docs).alias("row"))
-    own = written(arrow_map(source, _sketches(words), "doc_id long, whole long, bands array<long>, hashes binary, row long, print long"), "sketches")
-    distinct = written(own.groupBy("whole").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands"), F.first("print").alias("print")), "distinct")
+    own = written(arrow_map(source, _sketches(words), "doc_id long, row long, whole long, bands array<long>, print long"), "sketches")
+    distinct = written(own.groupBy("whole").agg(F.min(F.struct("doc_id", "row")).alias("first"), F.first("bands").alias("bands"), F.first("print").alias("print")), "distinct")
     banded = distinct.select("whole", F.explode("bands").alias("key"))
     groups = banded.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("whole")).alias("x"), F.min("whole").alias("least"), F.max("whole").alias("most")).filter("n > 1")
     groups = groups.groupBy("n", "x", "least", "most").agg(F.min("key").alias("key")).select("key", "n")
     members = written(banded.join(groups, "key").unionByName(_by_fingerprint(distinct)), "members")
-    sets = own.join(members.select("whole").distinct(), "whole", "left_semi").groupBy("whole").agg(F.first("hashes").alias("hashes"))
+    wanted = distinct.join(members.select("whole").distinct(), "whole", "left_semi").select("whole", F.col("first.doc_id").alias("i"), F.col("first.row").alias("r"))
+    wanted = sent(written(wanted, "wanted"))
+    texts = source.join(wanted, (F.col("doc_id") == F.col("i")) & (F.col("row") == F.col("r"))).select("whole", "text")
+    sets = arrow_map(texts, _sets(words), "whole long, hashes binary").groupBy("whole").agg(F.first("hashes").alias("hashes"))
     blocks = members.withColumn("blocks", F.when(F.col("n") > run, F.ceil(F.col("n") * 2 / run)).otherwise(1).cast("long")).withColumn("mine", F.expr("pmod(xxhash64(whole, 7), blocks)"))
     dealt = blocks.select("key", "whole", F.explode(F.expr("transform(sequence(0L, blocks - 1), o -> least(o, mine) * blocks + greatest(o, mine))")).alias("sub"))
     runs = dealt.join(sets, "whole").select("key", "sub", "whole", "hashes").repartition("key", "sub").sortWithinPartitions("key", "sub")
     linked = components(arrow_map(runs, _link_groups(similarity), "a long, b long"))
-    reached = distinct.select("whole", "id").join(linked.withColumnsRenamed({"id": "whole", "component": "group"}), "whole", "left")
+    reached = distinct.select("whole", F.col("first.doc_id").alias("id")).join(linked.withColumnsRenamed({"id": "whole", "component": "group"}), "whole", "left")
     first = reached.filter("group is not null").groupBy("group").agg(F.min("id").alias("least"))
     return own, reached.join(first, "group", "left").select("whole", F.coalesce("least", "id").alias("component_id"))
 

@@ -192,6 +192,15 @@ def row_hash(docs: DataFrame):
     return F.xxhash64(*[F.col(f"`{c}`") for c in docs.columns])
 
 
+#: Rows of two numbers that are broadcast at most, some 64 MB; more are joined by shuffle.
+SENT = 4_000_000
+
+
+def sent(rows: DataFrame) -> DataFrame:
+    """Narrow rows of a written table, to be broadcast if they are few enough: then the texts they are joined with stay where they lie."""
+    return F.broadcast(rows) if rows.limit(SENT + 1).count() <= SENT else rows
+
+
 def keep_first(docs: DataFrame, members: DataFrame) -> DataFrame:
     """``docs`` without the rows that another row of their group stands for; ``members`` has (doc_id, row, group) of each row with a doc_id.
 
@@ -205,9 +214,9 @@ def keep_first(docs: DataFrame, members: DataFrame) -> DataFrame:
     counted = members.groupBy("group", "doc_id", "row").agg(F.count(F.lit(1)).alias("n"))
     told = written(counted.join(first, F.col("group") == F.col("g")).select(F.col("doc_id").alias("i"), F.col("row").alias("r"), ((F.col("doc_id") == F.col("i")) & (F.col("row") == F.col("r"))).alias("stays"), "n"), "told")
     of = lambda t: (F.col("doc_id").cast("long") == t.i) & (row_hash(docs) == t.r)
-    gone = told.filter("not stays").select("i", "r")
+    gone = sent(told.filter("not stays").select("i", "r"))
     kept = docs.join(gone, of(gone), "left_anti")
-    again = told.filter("stays and n > 1").select("i", "r")
+    again = sent(told.filter("stays and n > 1").select("i", "r"))
     if again.isEmpty():
         return kept
     once = docs.join(again, of(again)).dropDuplicates(["i", "r"]).select(*[docs[f"`{c}`"] for c in docs.columns])
