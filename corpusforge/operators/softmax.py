@@ -1,14 +1,14 @@
 """The linear classifier over averaged n-gram embeddings, trained by averaged rounds of stochastic gradient descent.
 
 Rows are cut into rounds by hash. In a round every partition starts from the same parameters and goes once over its rows;
-the changes of all partitions are averaged, row by row of the embedding table, over those that touched it. Parameters are
-``buckets * dim + dim * labels`` numbers whatever the input; that bound is what may be collected and sent out.
+each gives the rows of the tables that it changed, and these are averaged by row, as a distributed aggregate, over the
+partitions that touched it. The driver takes averaged rows alone: ``buckets + labels`` rows of ``dim`` numbers at most,
+whatever the input and the number of partitions (128 MB at two million buckets); that bound is also what is sent out.
 """
 
 from __future__ import annotations
 
 import hashlib
-import pickle
 import re
 from dataclasses import dataclass
 
@@ -18,10 +18,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusforge.engine import arrow_map
-from corpusforge.functions.text import drawn
+from corpusforge.functions.text import drawn, letter_class
 
-BUCKETS, DIM, RATE, ROUNDS = 1 << 16, 16, 0.5, 4
-_WORDS = re.compile(r"[^\W\d_]+")
+BUCKETS, DIM, RATE, ROUNDS = 2_000_000, 16, 0.5, 4
+#: Rows that a partition goes over in a round.
+ROWS = 25_000
 
 
 @dataclass
@@ -44,10 +45,11 @@ class Features:
 
     def __init__(self, buckets: int, nmin: int = 2, nmax: int = 5, memo: int = 200_000):
         self.buckets, self.sizes, self.memo = buckets, range(nmin, nmax + 1), memo
+        self.words = re.compile(f"{letter_class()}+")
         self.known: dict[str, np.ndarray] = {}
 
     def of(self, text: str | None) -> np.ndarray:
-        found = [self.known.get(w) if w in self.known else self._learn(w) for w in _WORDS.findall((text or "").lower())]
+        found = [self.known.get(w) if w in self.known else self._learn(w) for w in self.words.findall((text or "").lower())]
         return np.concatenate(found) if found else np.empty(0, dtype=np.int64)
 
     def _learn(self, word: str) -> np.ndarray:
@@ -64,50 +66,68 @@ def _softmax(z: np.ndarray) -> np.ndarray:
     return e / e.sum()
 
 
+def epoch(model: SoftmaxModel, rows, rate: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """One pass over (label, text) rows: the rows of the embedding that changed, by how much, and the change of the weights."""
+    embed, weight, place = model.embed.copy(), model.weight.copy(), {x: i for i, x in enumerate(model.labels)}
+    features, touched = Features(len(embed)), []
+    for label, line in rows:
+        ids = features.of(line)
+        if not len(ids):
+            continue
+        hidden = embed[ids].mean(axis=0)
+        error = _softmax(hidden @ weight)
+        error[place[label]] -= 1
+        step = weight @ error
+        weight -= rate * np.outer(hidden, error)
+        np.subtract.at(embed, ids, (rate * step / len(ids)).astype(embed.dtype))
+        touched.append(np.unique(ids))
+    own = np.unique(np.concatenate(touched)) if touched else np.empty(0, dtype=np.int64)
+    return own, embed[own] - model.embed[own], weight - model.weight
+
+
 def _round(holder, rate: float):
+    """Arrow function over (label, line): changed rows, those of the weights numbered after the buckets."""
+
     def run(batches):
         model = holder.value
-        embed, weight, place = model.embed.copy(), model.weight.copy(), {x: i for i, x in enumerate(model.labels)}
-        features, touched, n = Features(len(embed)), [], 0
-        for rows in batches:
-            for label, line in zip(rows.column(0).to_pylist(), rows.column(1).to_pylist(), strict=True):
-                ids = features.of(line)
-                if not len(ids):
-                    continue
-                hidden = embed[ids].mean(axis=0)
-                error = _softmax(hidden @ weight)
-                error[place[label]] -= 1
-                step = weight @ error
-                weight -= rate * np.outer(hidden, error)
-                np.subtract.at(embed, ids, rate * step / len(ids))
-                touched.append(np.unique(ids))
-                n += 1
-        if n:
-            own = np.unique(np.concatenate(touched))
-            yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps((own, embed[own] - model.embed[own], weight - model.weight, n))], pa.binary())], names=["delta"])
+        pairs = ((x, y) for rows in batches for x, y in zip(rows.column(0).to_pylist(), rows.column(1).to_pylist(), strict=True))
+        own, changed, weight = epoch(model, pairs, rate)
+        if len(own):
+            number = np.concatenate([own, len(model.embed) + np.arange(len(model.labels))])
+            values = np.concatenate([changed, weight.T]).astype(np.float32)
+            for a in range(0, len(number), 1 << 16):
+                part = slice(a, a + (1 << 16))
+                yield pa.RecordBatch.from_arrays([pa.array(number[part]), *[pa.array(values[part, d]) for d in range(values.shape[1])]], names=["row", *[f"d{d}" for d in range(values.shape[1])]])
 
     return run
 
 
-def fit_softmax(rows: DataFrame, text: str = "line", buckets: int = BUCKETS, dim: int = DIM, rate: float = RATE, rounds: int = ROUNDS, seed: int = 0, partitions: int = 4) -> SoftmaxModel:
-    """One epoch over (label, line) rows; the same result for the same number of partitions and seed."""
+def fit_softmax(rows: DataFrame, text: str = "line", buckets: int = BUCKETS, dim: int = DIM, rate: float = RATE, rounds: int = ROUNDS, seed: int = 0, partitions: int | None = None) -> SoftmaxModel:
+    """One epoch over (label, line) rows; the same result, to rounding, for the same number of partitions and seed.
+
+    ``partitions`` grow with the rows if not given.
+    """
     rng = np.random.default_rng(seed)
-    labels = sorted(r["label"] for r in rows.select("label").distinct().collect())
-    model = SoftmaxModel(labels, rng.uniform(-1 / dim, 1 / dim, (buckets, dim)), np.zeros((dim, len(labels))))
+    sizes = {r["label"]: r["n"] for r in rows.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row a label
+    labels = sorted(x for x in sizes if x is not None)
+    partitions = partitions or max(4, -(-sum(sizes.values()) // (rounds * ROWS)))
+    model = SoftmaxModel(labels, rng.uniform(-1 / dim, 1 / dim, (buckets, dim)).astype(np.float32), np.zeros((dim, len(labels)), dtype=np.float32))
     spark = rows.sparkSession
     order = drawn(str(seed), F.md5(text))
-    dealt = rows.select("label", F.col(text).alias("line"), order.alias("order"))
+    dealt = rows.filter("label is not null").select("label", F.col(text).alias("line"), order.alias("order"))
+    columns = [f"d{d}" for d in range(dim)]
     for k in range(rounds):
         part = dealt.filter(F.col("order") % rounds == k).withColumn("part", (F.col("order") / rounds).cast("long") % partitions)
         part = part.repartition(partitions, "part").sortWithinPartitions("order", "line").select("label", "line")
         holder = spark.sparkContext.broadcast(model)
-        deltas = [pickle.loads(r["delta"]) for r in arrow_map(part, _round(holder, rate * (1 - k / rounds)), "delta binary").collect()]  # a row a partition
-        embed, weight, hits = np.zeros_like(model.embed), np.zeros_like(model.weight), np.zeros(buckets)
-        for own, d_embed, d_weight, _ in deltas:
-            embed[own] += d_embed
-            hits[own] += 1
-            weight += d_weight / len(deltas)
-        model = SoftmaxModel(labels, model.embed + embed / np.maximum(hits, 1)[:, None], model.weight + weight)
+        changes = arrow_map(part, _round(holder, rate * (1 - k / rounds)), "row long, " + ", ".join(f"{c} float" for c in columns))
+        mean = changes.groupBy("row").agg(*[F.avg(c).cast("float").alias(c) for c in columns]).toArrow()
+        at = mean.column("row").to_numpy()
+        change = np.stack([mean.column(c).to_numpy() for c in columns], axis=1) if len(at) else np.empty((0, dim), dtype=np.float32)
+        embed, weight = model.embed.copy(), model.weight.copy()
+        embed[at[at < buckets]] += change[at < buckets]
+        weight[:, at[at >= buckets] - buckets] += change[at >= buckets].T
+        model = SoftmaxModel(labels, embed, weight)
         holder.unpersist()
     return model
 

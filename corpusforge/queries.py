@@ -325,6 +325,17 @@ def lid_benchmark_table(spark, sf):
     return out
 
 
+@query
+def lid_softmax_seeds(spark, sf):
+    """Spread of the classifier's F1 over other initial seeds."""
+    test, out = test_docs(spark, sf), None
+    for seed in range(3):
+        m = softmax.fit_softmax(train_lines(spark, sf), buckets=1 << 16, seed=seed)
+        part = evaluate.macro(evaluate.f1(test.select("doc_id", "gold").join(softmax.predict_softmax(test, m, "doc_id"), "doc_id")), "f1")
+        out = part if out is None else out.union(part)
+    return out.agg(F.count(F.lit(1)).alias("seeds"), F.round(F.avg("value"), 6).alias("mean"), F.round(F.stddev_pop("value"), 6).alias("deviation"))
+
+
 @query
 def lid_indomain_sample(spark, sf):
     return evaluate.indomain_sample(lines(spark, sf).filter("part = 9"), 50).select("label", "doc_id", "pos", "rank")

@@ -3,15 +3,17 @@
 from __future__ import annotations
 
 import gzip
+import hashlib
 import importlib.util
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from corpusforge import engine, queries
 from corpusforge.engine import read, scratch_path
 from corpusforge.functions import warnings as W
-from corpusforge.operators import evaluate, lid
+from corpusforge.operators import evaluate, lid, noise, softmax
 from corpusforge.plans import annotate, pipeline, sqlapi
 from corpusforge.sources import corpus, crawl
 from corpusforge.streaming import stream
@@ -54,6 +56,45 @@ def test_reject_labels_turn_noise_away(spark, small):
     assert r["labels", True] >= 0.95 and r["labels", False] <= 0.01 and r["labels", True] > r["threshold", True]
 
 
+def test_softmax_equals_plain_descent(spark):
+    """One partition, one round: the same parameters as plain numpy gives."""
+    rows = [("a", "aba caba"), ("b", "xyz zyx"), ("a", "abba"), ("b", "zzz yx"), ("a", None), ("b", "12")] * 3
+    m = softmax.fit_softmax(spark.createDataFrame(rows, "label string, line string"), buckets=500, dim=4, rounds=1, partitions=1, seed=5)
+    rng = np.random.default_rng(5)
+    embed, weight = rng.uniform(-0.25, 0.25, (500, 4)).astype(np.float32), np.zeros((4, 2))
+    h = lambda t: int(hashlib.md5(t.encode()).hexdigest()[:8], 16)
+    known = sorted((r for r in rows if r[1] is not None), key=lambda r: (h("5:" + hashlib.md5(r[1].encode()).hexdigest()), r[1]))
+    for label, line in known:
+        grams = [w[i : i + n] for w in (f" {x} " for x in line.split() if x.isalpha()) for n in range(2, 6) for i in range(len(w) - n + 1)]
+        if not grams:
+            continue
+        ids = [h(g) % 500 for g in grams]
+        hidden = embed[ids].mean(axis=0)
+        p = np.exp(hidden @ weight - (hidden @ weight).max())
+        error = p / p.sum() - np.array([label == "a", label == "b"])
+        step = weight @ error
+        weight = weight - 0.5 * np.outer(hidden, error)
+        for i in ids:
+            embed[i] -= 0.5 * step / len(ids)
+    assert np.allclose(m.embed, embed, atol=1e-4) and np.allclose(m.weight, weight, atol=1e-4) and np.abs(m.weight).max() > 0.01
+
+
+def test_softmax_tells_languages_apart_with_two_million_buckets(spark):
+    sf = "/root/testdata/sf0.01"
+    m = softmax.fit_softmax(queries.train_lines(spark, sf))
+    assert m.embed.shape == (2_000_000, 16)
+    test = queries.test_docs(spark, sf)
+    p = test.select("doc_id", "gold").join(softmax.predict_softmax(test, m, "doc_id"), "doc_id")
+    assert evaluate.macro(evaluate.f1(p), "f1").first().value >= 0.9
+
+
+def test_binary_files_become_lines(spark, small):
+    got = noise.binary_files(spark, f"{small}/nation.parquet").collect()
+    assert got and got[0].line.startswith("PAR1") and all(r.line.isprintable() or "\xad" in r.line for r in got)
+    with pytest.raises(Exception, match="file too large"):
+        noise.binary_files(spark, f"{small}/nation.parquet", most=10).collect()
+
+
 def test_model_round_trip(spark, model, small):
     path = scratch_path(spark, "model")
     model.save(path)
@@ -90,7 +131,11 @@ def test_crawl_archives(spark, tmp_path):
         f.write(record("http://x/3", "three") + b"WARC/1.0\r\nContent-Length: 99\r\n\r\ncut off")
     crawl.register(spark)
     got = {r.url: r.body for r in spark.read.format("crawltext").load(str(tmp_path)).collect()}
-    assert got == {"http://x/1": "one\nline é", "http://x/2": "", "http://x/3": "three"}
+    assert got == {"http://x/1": "one\nline é", "http://x/2": "", "http://x/3": "three", None: "cut off"}
+    again = crawl.read_archives(spark, f"{tmp_path}/*.wet*").collect()
+    assert {r.url: r.body for r in again} == got and [r.record_type for r in again if r.url is None] == ["truncated"]
+    streamed = stream.finish(crawl.stream_archives(spark, str(tmp_path)), "archives", "append")
+    assert {r.url: r.body for r in streamed.collect()} == got
 
 
 def test_sql_functions(spark, small):
@@ -100,6 +145,13 @@ def test_sql_functions(spark, small):
     assert n == queries.QUERIES["warn_tiny"](spark, small).count()
     assert spark.sql("select line from docs_for_sql, lateral line_table(text) where doc_id = 1").count() > 0
     assert spark.sql("select gram from ngram_table('ab', 2, 3)").count() == 5
+    assert [r.s for r in spark.sql("select script_of(x) s from values ('abc где'), ('где тут a'), ('12'), (null) t(x)").collect()] == ["Cyrl" if "где" in x and len(x) > 8 else y for x, y in (("abc где", "Cyrl"), ("где тут a", "Cyrl"), ("12", None), ("", None))]
+    assert spark.sql("select host_suffixes('a.b.example.org') h").first().h == ["a.b.example.org", "b.example.org", "example.org"]
+    pair = spark.sql("select lsh_distance(lsh_digest(text), lsh_digest(text)) same, lsh_distance(lsh_digest(text), lsh_digest(concat(text, ' and more words'))) near from docs_for_sql where length(text) > 2000").first()
+    assert pair.same == 0 and 0 <= pair.near < 200
+    sqlapi.register_model(spark, queries.model(spark, small))
+    said = spark.sql("select lang, lid_label(text) label from docs_for_sql where length(text) > 500").collect()
+    assert sum(queries.lab.LABELS[r.lang] == r.label for r in said) >= 0.97 * len(said)
     assert spark.sql("select lsh_digest(text) d from docs_for_sql where length(text) > 500").filter("d is not null").count() > 0
 
 
