@@ -33,7 +33,7 @@ def strip_tags(html: Column | str) -> Column:
     t = F.regexp_replace(F.regexp_replace(t, BLOCKS, "\n"), r"(?s)<[^>]*>", "")
     t = bound(t, lambda x: F.when(x.contains("&"), _decoded(x)).otherwise(x))
     t = F.regexp_replace(F.regexp_replace(t, r"[ \t\r]+", " "), r" ?\n ?", "\n")
-    return F.trim(F.regexp_replace(t, r"\n+", "\n"))
+    return F.regexp_replace(F.regexp_replace(t, r"\n+", "\n"), r"^[ \n]+|[ \n]+$", "")
 
 
 def host(url: Column | str) -> Column:

@@ -352,7 +352,7 @@ def _page_text() -> str:
     for name, ch in html.ENTITIES:
         t = f"replace({t}, {text(name)}, {text(ch)})"
     t = f"regexp_replace(regexp_replace({t}, '[ \\t\\r]+', ' ', 'g'), ' ?\\n ?', chr(10), 'g')"
-    return f"page_text as (select page_id, {_HOST} as host, trim(regexp_replace({t}, '\\n+', chr(10), 'g')) as text, {LABEL.replace('case lang', 'case regexp_extract(html, ' + text(_HTML_LANG) + ', 1)')} as gold from pages)"
+    return f"page_text as (select page_id, {_HOST} as host, regexp_replace(regexp_replace({t}, '\\n+', chr(10), 'g'), '^[ \\n]+|[ \\n]+$', '', 'g') as text, {LABEL.replace('case lang', 'case regexp_extract(html, ' + text(_HTML_LANG) + ', 1)')} as gold from pages)"
 
 
 _HTML_LANG = "(?i)<html[^>]*\\blang=[\"']?([a-zA-Z]{2,3})"
