@@ -11,16 +11,21 @@ from corpusforge.functions.text import col
 LABELS = {"en": "eng_Latn", "fr": "fra_Latn", "de": "deu_Latn", "es": "spa_Latn"}
 #: Languages written without spaces between words (ISO 639-3).
 NO_WORD_BOUNDARY = ("bod", "cmn", "dzo", "jpn", "khm", "lao", "lzh", "mya", "nan", "tha", "wuu", "yue", "zho")
+#: Constructed languages of ISO 639-3, with the script they are written in.
+CONSTRUCTED = (
+    "afh_Latn", "avk_Latn", "bzt_Latn", "dws_Latn", "epo_Latn", "ido_Latn", "igs_Latn", "ile_Latn", "ina_Latn", "jbo_Latn", "ldn_Latn",
+    "lfn_Latn", "neu_Latn", "nov_Latn", "qya_Latn", "rmv_Latn", "sjn_Latn", "tlh_Latn", "tzl_Latn", "vol_Latn", "zba_Arab", "zbl_Blis",
+)
 #: Fixed values: (label, macro-area, constructed, macro-language).
 LANGUAGES = (
     ("eng_Latn", "Eurasia", False, None),
     ("fra_Latn", "Eurasia", False, None),
     ("deu_Latn", "Eurasia", False, None),
     ("spa_Latn", "Eurasia", False, None),
-    ("epo_Latn", None, True, None),
     ("swh_Latn", "Africa", False, "swa"),
     ("jpn_Jpan", "Eurasia", False, None),
     ("quy_Latn", "South America", False, "que"),
+    *((label, None, True, None) for label in CONSTRUCTED),
 )
 #: Scripts in which a language is written (ISO 15924).
 ADMISSIBLE = {

@@ -69,6 +69,18 @@ def resample(lines: DataFrame, cap: int, key: str = "label") -> DataFrame:
     return likely.withColumn("rank", rank).filter(F.col("rank") <= cap).drop("order", "n")
 
 
+def resample_by_temperature(lines: DataFrame, size: int, alpha: float = 0.5, key: str = "label") -> DataFrame:
+    """Lines of each label at the rate that brings its share near n**alpha, n being its lines, and ``size`` lines in all.
+
+    A label of fewer lines than its share asks for keeps all of them, so a sample may be smaller. Sizes are expected, not exact:
+    a line is taken or left by the hash of its place alone, the same whatever the layout, and lines are not shuffled.
+    """
+    sizes = lines.groupBy(key).agg(F.count(F.lit(1)).alias("n")).withColumn("mass", F.pow(F.col("n").cast("double"), F.lit(alpha)))
+    rates = sizes.withColumn("rate", F.least(F.lit(1.0), size * F.col("mass") / F.sum("mass").over(Window.partitionBy()) / F.col("n"))).select(key, "rate")  # a row a label
+    place = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit("temperature"), "doc_id", "pos")), 1, 8), 16, 10).cast("double") / float(1 << 32)
+    return lines.join(F.broadcast(rates), key).filter(place < F.col("rate"))
+
+
 def grams(text: Column, n: int = 4) -> Column:
     """Distinct word n-grams of a text."""
     none = F.expr("cast(array() as array<string>)")

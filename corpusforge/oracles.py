@@ -7,7 +7,7 @@ from corpusforge.functions import warnings as W
 from corpusforge.functions.labels import LANGUAGES, NO_WORD_BOUNDARY
 from corpusforge.operators import noise, relational
 from corpusforge.operators.content import SEEDS
-from corpusforge.queries import FAMILIES, NOISE_ID, REJECT_TEST, REJECT_TRAIN, REJECT_WORDS, RELABELLED, RULES, SWAPS, TOO_SHORT
+from corpusforge.queries import ABROAD, FAMILIES, NOISE_ID, REJECT_TEST, REJECT_TRAIN, REJECT_WORDS, RELABELLED, RULES, SWAPS, TOO_SHORT
 from corpusforge.streaming import stream
 
 BUCKETS = 2_000_000
@@ -172,6 +172,7 @@ SQL: dict[str, str] = {
     "train_split": f"with {LINES} select label, case when part < 8 then 'train' when part < 9 then 'valid' else 'test' end as split, count(*) as n from lines group by all",
     "train_dedup": f"with {LINES}, f as (select min({{'d': doc_id, 'p': pos}}) as first, count(*) as copies from lines group by md5(trim(regexp_replace(lower(line), '\\s+', ' ', 'g')))) select first.d as doc_id, cast(first.p as integer) as pos, copies from f",
     "train_cap": f"with {LINES} select label, doc_id, cast(pos as integer) as pos, cast(rank as integer) as rank from (select *, row_number() over (partition by label order by md5(concat_ws(':', doc_id, pos)), doc_id, pos) as rank from lines) where rank <= 100",
+    "train_temperature": f"with {LINES}, z as (select label, count(*) as n from lines group by 1), r as (select label, least(1.0, 1000 * pow(n, 0.5) / sum(pow(n, 0.5)) over () / n) as rate from z) select label, doc_id, cast(pos as integer) as pos from lines join r using (label) where cast('0x' || substr(md5(concat_ws(':', 'temperature', doc_id, pos)), 1, 8) as bigint) / 4294967296.0 < rate",
     "union_sources": "select 'documents' as provenance, count(*) as n, count(source) as with_source from documents union all select 'conversations', count(*), 0 from conversations",
     "und_samples": und_rows(["Mong", "Newa", "Gran"], 20, "train", (5, 15)),
     "noise_pdf": pdf_rows(100, "train"),
@@ -277,6 +278,7 @@ _IGN2 = "list_filter(warnings, lambda x: x not in ('short_sentences', 'header',
 SQL |= {
     "warn_all": f"{ANNOTATED} select doc_id, array_to_string(warnings, ',') as warnings from a",
     "stream_annotate": f"{ANNOTATED} select doc_id, array_to_string(warnings, ',') as warnings from a",
+    "stream_enrich": f"select doc_id, label, area as macroarea from (select doc_id, {LABEL} as label from documents) left join {values(LANGUAGES, 'label', 'area', 'constructed', 'macro')} using (label)",
     "warn_counts": f"{ANNOTATED} select warning, count(*) as n from (select unnest(warnings) as warning from a) group by all",
     "filter_document": f"{ANNOTATED} select doc_id from a where len({_IGN}) = 0",
     "filter_no_word_boundary": f"{ANNOTATED} select case when doc_id % 2 = 0 then 'jpn_Jpan' else 'eng_Latn' end as label, count(*) as n from a where len(case when doc_id % 2 = 0 then {_IGN2} else {_IGN} end) = 0 group by all",
@@ -296,6 +298,8 @@ _MORE = values((*SEEDS, ("blog.example.com", "blog")), "domain", "class")
 _PUBLIC = f"not regexp_matches(x, {text(pii.PRIVATE)})"
 _QUADS = f"regexp_extract_all(text, {text(pii.QUAD)})"
 _GRAM4 = "list_distinct([w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] || ' ' || w[i + 3] for i in range(1, len(w) - 2)])"
+_AREAS = f"select coalesce(x.area, 'all') as area, coalesce(x.bucket, -1) as bucket, count(*) as n_labels, cast(sum(n) as bigint) as n_docs from (select case when constructed then 'constructed' else coalesce(area, 'unknown') end as area, cast(length(cast(n as varchar)) - 1 as integer) as bucket, n from l left join {values(LANGUAGES, 'label', 'area', 'constructed', 'macro')} v using (label)) x group by cube (x.area, x.bucket)"
+_ABROAD = "case " + " ".join(f"when doc_id % 7 = {k} then {text(v)}" for k, v in ABROAD.items()) + f" else {LABEL} end"
 _WORDS = lambda t: f"regexp_extract_all(lower({t}), '[\\p{{L}}\\p{{N}}]+')"
 _SENTENCES = f"sents as (select item_id, sent, {_WORDS('s')} as w from (select item_id, trim(unnest(regexp_split_to_array(text, '[.\\n]'))) as s, generate_subscripts(regexp_split_to_array(text, '[.\\n]'), 1) - 1 as sent from benchmark) where s <> ''), bg as (select item_id, sent, gram, count(*) over (partition by item_id, sent) as need from (select item_id, sent, unnest({_GRAM4}) as gram from sents))"
 SQL |= {
@@ -307,7 +311,8 @@ SQL |= {
     "pii_report": f"select doc_id, cast(len(regexp_extract_all(text, {text(pii.EMAIL)})) as integer) as email, cast(len(list_filter({_QUADS}, lambda x: {_PUBLIC})) as integer) as ip, cast(len(list_filter({_QUADS}, lambda x: not ({_PUBLIC}))) as integer) as private_ip from documents where regexp_matches(text, {text(pii.EMAIL)}) or regexp_matches(text, {text(pii.QUAD)})",
     "dedup_exact": "select min(doc_id) as doc_id, count(*) as copies from documents group by sha256(text)",
     "coverage_buckets": "with k as (select lang || '_' || source as key, count(*) as n from documents group by 1), b as (select cast(length(cast(n as varchar)) - 1 as integer) as bucket, count(*) as n_labels, cast(sum(n) as bigint) as n_docs from k group by 1) select *, cast(sum(n_labels) over (order by bucket desc) as bigint) as cumulative from b",
-    "coverage_area": f"with l as (select {LABEL} as label, count(*) as n from documents group by 1) select coalesce(x.area, 'all') as area, coalesce(x.bucket, -1) as bucket, count(*) as n_labels, cast(sum(n) as bigint) as n_docs from (select case when constructed then 'constructed' else coalesce(area, 'unknown') end as area, cast(length(cast(n as varchar)) - 1 as integer) as bucket, n from l left join {values(LANGUAGES, 'label', 'area', 'constructed', 'macro')} v using (label)) x group by cube (x.area, x.bucket)",
+    "coverage_area": f"with l as (select {LABEL} as label, count(*) as n from documents group by 1) {_AREAS}",
+    "coverage_area_constructed": f"with l as (select {_ABROAD} as label, count(*) as n from documents group by 1) {_AREAS}",
     "coverage_area_surrogate": "select r_name, n_name, count(*) as n from customer join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey group by cube (r_name, n_name)",
     "coverage_contamination": WEAK + "select gold, count(*) as n, count(*) filter (pred = 'eng_Latn') as lost, round(count(*) filter (pred = 'eng_Latn') / count(*), 6) as share from pred where gold <> 'eng_Latn' group by all",
     "wall_time": f"with {LINES}, s as (select count(*) as s from lines), d as (select count(*) as d from documents) select 'given table' as corpus, round(d / 48.0 * (s / d / 1379.0 + 1 / 245.0) / 3600, 9) as hours from s, d union all select 'snapshot', round(3.16e9 / 48 * (20 / 1379 + 1 / 245) / 3600, 4)",

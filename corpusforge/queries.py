@@ -545,6 +545,11 @@ def train_cap(spark, sf):
     return traindata.resample(lines(spark, sf), 100).select("label", "doc_id", "pos", "rank")
 
 
+@query
+def train_temperature(spark, sf):
+    return traindata.resample_by_temperature(lines(spark, sf), 1000).select("label", "doc_id", "pos")
+
+
 @query
 def decontaminate_sentence(spark, sf):
     bench = traindata.bench_sentences(read(spark, sf, "benchmark"))
@@ -822,6 +827,20 @@ def coverage_area(spark, sf):
     return t.na.fill("all", ["area"]).na.fill(-1, ["bucket"])
 
 
+#: Labels from other areas and of constructed languages, by the remainder of a document's number.
+ABROAD = {0: "swh_Latn", 1: "quy_Latn", 2: "epo_Latn", 3: "tlh_Latn"}
+
+
+@query
+def coverage_area_constructed(spark, sf):
+    """The areas where some documents pass for other languages, since all those of the tables are of one area."""
+    label = lab.label_of("lang")
+    for k, other in ABROAD.items():
+        label = F.when(F.col("doc_id") % 7 == k, other).otherwise(label)
+    t = coverage.by_area(docs(spark, sf, "doc_id", "lang").select(label.alias("label")), "label", lab.languages(spark))
+    return t.na.fill("all", ["area"]).na.fill(-1, ["bucket"])
+
+
 @query
 def coverage_area_surrogate(spark, sf):
     """Customers by nation and region, as documents by language and area."""

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from corpusforge.engine import scratch_path
+from corpusforge.functions import labels as lab
 from corpusforge.functions import warnings as W
 
 
@@ -123,12 +124,35 @@ def _events(spark: SparkSession, sf: str) -> DataFrame:
     return source(spark, sf, "events")
 
 
+def _enriched(spark: SparkSession, sf: str) -> DataFrame:
+    """Documents with what is known of their language; the table of languages is read again for each batch."""
+    rows = source(spark, sf, "documents").select("doc_id", lab.label_of("lang").alias("label"))
+    return finish(enrich(rows, F.broadcast(lab.languages(spark).select("label", "macroarea")), "label"), "enrich", "append").select("doc_id", "label", "macroarea")
+
+
+def _failures(spark: SparkSession, sf: str) -> DataFrame:
+    buys, errors = (_events(spark, sf).filter(F.col("event_type") == kind) for kind in ("purchase", "error"))
+    return finish(interval_join(buys, errors, "10 hours"), "interval", "append")
+
+
+def _drifted(spark: SparkSession, sf: str) -> DataFrame:
+    """What the last batch said of each source: its share of documents under 1,000 characters, with a flag from 0.3 on."""
+    short = source(spark, sf, "documents").select("source", (F.coalesce(F.length("text"), F.lit(0)) < 1000).alias("short"))
+    told = finish(drift(short, "source", "short", threshold=0.3), "drift", "update")
+    last = told.groupBy("source").agg(F.max(F.struct("n", "flagged", "share", "alert")).alias("x"))
+    return last.select("source", "x.n", "x.flagged", F.round("x.share", 6).alias("share"), "x.alert")
+
+
 QUERIES = {
     "stream_tumbling": lambda spark, sf: _utc(finish(tumbling(_events(spark, sf)), "tumbling")),
     "stream_sliding": lambda spark, sf: _utc(finish(sliding(_events(spark, sf)), "sliding")),
     "stream_session": lambda spark, sf: finish(session(_events(spark, sf)), "session").groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("n")),
     "stream_dedup": lambda spark, sf: finish(dedup(source(spark, sf, "documents").select(F.md5("text").alias("h")), "h"), "dedup", "append"),
     "stream_label_counts": lambda spark, sf: finish(label_counts(source(spark, sf, "documents")), "labels"),
+    "stream_enrich": _enriched,
+    "stream_interval_join": _failures,
+    "stream_drift": _drifted,
+    "stream_upsert": lambda spark, sf: to_coverage(source(spark, sf, "documents"), scratch_path(spark, "coverage")),
     "stream_annotate": lambda spark, sf: finish(annotate(source(spark, sf, "documents").select("doc_id", "text")).select("doc_id", F.array_join("warnings", ",").alias("warnings")), "annotate", "append"),
 }
 
@@ -139,4 +163,7 @@ SQL = {
     "stream_session": "with g as (select user_id, case when ts - lag(ts) over (partition by user_id order by ts) < interval 30 minutes then 0 else 1 end as new from events) select user_id, cast(sum(new) as bigint) as sessions, count(*) as n from g group by all",
     "stream_dedup": "select distinct md5(text) as h from documents",
     "stream_label_counts": "select lang as label, count(*) as n from documents group by all",
+    "stream_interval_join": "select p.event_id as purchase_id, e.event_id as error_id from events p join events e using (user_id) where p.event_type = 'purchase' and e.event_type = 'error' and e.ts between p.ts and p.ts + interval 10 hours",
+    "stream_drift": "select source, n, flagged, round(flagged / n, 6) as share, n >= 10 and flagged / n >= 0.3 as alert from (select source, count(*) as n, count(*) filter (coalesce(length(text), 0) < 1000) as flagged from documents group by all)",
+    "stream_upsert": "select lang as label, cast(count(*) as bigint) as n from documents group by all",
 }
