@@ -4,12 +4,15 @@ Documents are dealt out by ranges of doc_id, so the files and their stripes hold
 files, stripes and row groups prune a range of ids, Bloom filters prune single ids, and stripes are read in parallel.
 
 Defined results: a null text is empty (its end id alone is stored); a null doc_id comes first and stays null; repeated rows
-are stored as often as they occur, equal ids in order of text; an empty table gives no rows; other columns are ignored.
+are stored as often as they occur, equal ids in order of the text's XXH64, then of the text; an empty table gives no rows;
+other columns are ignored.
 """
 
 from __future__ import annotations
 
 import zlib
+from collections import Counter
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -24,6 +27,8 @@ OPTIONS = {"compression": "snappy", "orc.row.index.stride": "1000", "orc.stripe.
 CHUNK = 256
 #: Pieces of texts whose ids a worker remembers, some 230 bytes each.
 REMEMBERED = 1_600_000
+#: What stands for a null id where ranges are found.
+LEAST = -(1 << 63)
 SCHEMA = "doc_id long, before long, n_tokens long, ids array<int>"
 
 
@@ -44,27 +49,40 @@ def _encode(path: str, end_id: int):
 
 
 def dealt_by_id(rows: DataFrame) -> DataFrame:
-    """Rows in partitions of ascending, disjoint ranges of doc_id, nulls first.
+    """Rows in partitions of ascending, disjoint ranges of doc_id, nulls first; an id of many rows fills several partitions.
 
     The bounds come from the ids alone; ``repartitionByRange`` would read all texts once more for its sample. A row finds its
-    range in two steps, among every ``step``-th bound and then between two of those.
+    range in two steps, among every ``step``-th bound and then between two of those. A bound that is found c times belongs to
+    an id (or to null) that holds as many ranges' worth of rows: its rows are dealt to c ranges by their text's hash, in the
+    order in which they are sorted. Only rows equal in id and text must share a range.
     """
     n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    found = rows.select(F.percentile_approx("doc_id", [k / n for k in range(1, n)], 20 * n).alias("b")).first()["b"] if n > 1 else None
-    bounds = sorted(set(found or []))  # one number for each partition at most
-    if not bounds:
+    key = F.coalesce("doc_id", F.lit(LEAST).cast("long"))
+    found = rows.select(F.percentile_approx(key, [k / n for k in range(1, n)], 20 * n).alias("b")).first()["b"] if n > 1 else None
+    times = Counter(found or [])  # one number for each partition at most
+    if not times:
         return rows.coalesce(1)
+    bounds = sorted(times)
     step = int(len(bounds) ** 0.5) + 1
-    coarse, fine = (F.array(*[F.lit(b).cast("long") for b in x]) for x in (bounds[::step], bounds))
-    block = F.size(F.filter(coarse, lambda b: b <= F.col("doc_id")))
-    inside = F.when(block > 0, (block - 1) * step + F.size(F.filter(F.slice(fine, (block - 1) * step + 1, F.lit(step)), lambda b: b <= F.col("doc_id"))))
-    return rows.withColumn("_range", F.coalesce(inside, F.lit(0)).cast("int")).repartitionById(len(bounds) + 1, F.col("_range")).drop("_range")
+    numbers = lambda x, kind: F.array(*[F.lit(b).cast(kind) for b in x])
+    coarse, fine = numbers(bounds[::step], "long"), numbers(bounds, "long")
+    last, copies = numbers(accumulate(times[b] for b in bounds), "int"), numbers([times[b] for b in bounds], "int")
+    block = F.size(F.filter(coarse, lambda b: b <= key))
+    inside = (block - 1) * step + F.size(F.filter(F.slice(fine, (block - 1) * step + 1, F.lit(step)), lambda b: b <= key))
+    dealt = rows.withColumn("_at", F.when(block > 0, inside).otherwise(0))
+    at = F.col("_at")
+    share = F.xxhash64("text").cast("double") / float(1 << 64) + 0.5
+    spare = F.get(copies, at - 1) - 1
+    # an id that is the least number itself follows the nulls
+    spread = (spare > 0) & (F.get(fine, at - 1) == key) & ~F.coalesce(F.col("doc_id") == F.lit(LEAST), F.lit(False))
+    back = F.when(spread, spare - F.least(spare, F.floor(share * (spare + 1)).cast("int"))).otherwise(0)
+    return dealt.withColumn("_range", F.when(at > 0, F.get(last, at - 1) - back).otherwise(0).cast("int")).repartitionById(sum(times.values()) + 1, F.col("_range")).drop("_range", "_at")
 
 
 def write_ids(docs: DataFrame, path: str, tokenizer: str, end_id: int) -> None:
     """Encode every document, append ``end_id``, and write the ids in ascending doc_id order."""
     source = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    ordered = dealt_by_id(source).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
+    ordered = dealt_by_id(source).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"), "text")
     arrow_map(ordered, _encode(tokenizer, end_id), SCHEMA).withColumn("part", F.spark_partition_id()).write.options(**OPTIONS).orc(path)
 
 

@@ -66,7 +66,9 @@ def encoder_of(path: str) -> PieceEncoder:
 
 
 def library_of(path: str) -> Tokenizer:
-    return _LIBRARIES.setdefault(path, library(path))
+    if path not in _LIBRARIES:
+        _LIBRARIES[path] = library(path)
+    return _LIBRARIES[path]
 
 
 def test_generations_forget_and_learn_again():
@@ -130,6 +132,28 @@ def test_id_files_of_odd_documents(spark, odd_docs, no_docs):
     assert tokenfiles.round_trip(no_docs, BYTES, 0).collect() == []
 
 
+@pytest.mark.parametrize("hot", [None, 7, -(1 << 63)])
+def test_ids_of_many_rows_fill_several_ranges(spark, hot):
+    least = -(1 << 63)
+    rows = [(hot, f"copy {k}") for k in range(400)] + [(i, f"text {i}") for i in range(400)] + [(None, None), (None, "x"), (least, "least"), (least, None), (least + 1, "next")]
+    path = scratch_path(spark, "ids")
+    tokenfiles.write_ids(spark.createDataFrame(rows, "doc_id long, text string").repartition(5), path, BYTES, 0)
+    files = spark.read.orc(path)
+    held = {r.part: r["count"] for r in files.groupBy("part").count().collect()}
+    ranges = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    assert len(held) > 1
+    if hot != least:
+        assert max(held.values()) <= 2 * len(rows) / ranges + 10
+    got = sorted(tokenfiles.digests(tokenfiles.read_ids(spark, path)).collect(), key=lambda r: r.start)
+    order = lambda i: (i is not None, i or 0)
+    assert [r.doc_id for r in got] == sorted((i for i, _ in rows), key=order)
+    want = expected([t for _, t in rows], BYTES, 0)
+    assert sorted((*order(r.doc_id), r.ids_crc32) for r in got) == sorted((*order(i), crc(x)) for (i, _), x in zip(rows, want, strict=True))
+    assert got[0].start == 0 and all(b.start == a.start + a.n_tokens for a, b in zip(got, got[1:], strict=False))
+    hashes = {(i, crc(x)): h for (i, _), x, h in zip(rows, want, [r.h for r in spark.createDataFrame(rows, "doc_id long, text string").selectExpr("xxhash64(text) as h").collect()], strict=True)}
+    assert [(*order(r.doc_id), hashes[r.doc_id, r.ids_crc32]) for r in got] == sorted((*order(i), h) for (i, _), h in hashes.items())
+
+
 def test_id_files_are_looked_up_by_id(spark, small):
     path = scratch_path(spark, "ids")
     tokenfiles.write_ids(read(spark, small, "documents"), path, BYTES, 0)
