@@ -67,3 +67,35 @@ def test_every_line_is_predicted_and_every_gram_has_its_bucket(spark, small):
         return h
 
     assert rows == {g: (int(hashlib.md5(g.encode()).hexdigest()[:8], 16) % queries.BUCKETS, fnv(g)) for g in want}
+
+
+def test_links_of_digests_equal_those_of_all_pairs_without_rows_for_pairs(spark):
+    rng = np.random.default_rng(7)
+    made = []
+    for group in range(60):  # families of every size, some of many near digests, around lengths that a ring closes
+        codes, length = rng.integers(0, 4, 256), int(rng.choice([0, 1, 14, 15, 16, 17, 31, 254, 255]))
+        for _ in range(150 if group < 4 else int(rng.integers(1, 7))):
+            other = codes.copy()
+            at = rng.choice(256, int(rng.integers(0, 22)), replace=False)
+            other[at] = np.clip(other[at] + rng.choice([-1, 1], len(at)), 0, 3)
+            body = (other.reshape(-1, 4) << np.array([0, 2, 4, 6])).sum(axis=1).astype(np.uint8).tobytes().hex()
+            made.append(f"{int(rng.integers(2)):06x}{(length + int(rng.integers(-1, 2))) % 256:02x}{int(rng.integers(6, 9)):x}{int(rng.integers(14, 17)) % 16:x}" + body)
+    made = sorted(set(made))
+    a, b = zip(*[(i, j) for i in range(len(made)) for j in range(i) if lsh.distance(made[i], made[j]) <= dedup.MAX_DISTANCE], strict=True)
+    want = np.arange(len(made))
+    a, b, before = np.array(a), np.array(b), None
+    while before is None or (before != want).any():
+        before, low = want.copy(), np.minimum(want[a], want[b])
+        np.minimum.at(want, a, low)
+        np.minimum.at(want, b, low)
+    table = spark.createDataFrame(list(enumerate(made)), "id long, lsh_digest string")
+    for longest in (dedup.RUN, 20):
+        links = dedup.digest_links(table, longest=longest).collect()
+        assert len(links) < len(a) / 4 and len(set(want.tolist())) < len(made)
+        assert all(lsh.distance(made[x], made[y]) <= dedup.MAX_DISTANCE for x, y in links)
+        got, before = list(range(len(made))), None
+        while before != got:
+            before = list(got)
+            for x, y in links:
+                got[x] = got[y] = min(got[x], got[y])
+        assert got == want.tolist()
