@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusforge.engine import arrow_map
+from corpusforge.engine import arrow_map, batch, remove, scratch_path, worker_state
 from corpusforge.functions.text import drawn, letter_class
 
 BUCKETS, DIM, RATE, ROUNDS = 2_000_000, 16, 0.5, 4
@@ -40,25 +40,52 @@ class SoftmaxModel:
         return SoftmaxModel(z["labels"].tolist(), z["embed"], z["weight"])
 
 
+class _Grams(dict):
+    """Bucket ids of n-grams, remembered in bounded number."""
+
+    def __init__(self, buckets: int, memo: int):
+        self.buckets, self.memo = buckets, memo
+
+    def __missing__(self, gram: str) -> int:
+        if len(self) >= self.memo:
+            self.clear()
+        self[gram] = bucket = int(hashlib.md5(gram.encode()).hexdigest()[:8], 16) % self.buckets
+        return bucket
+
+
 class Features:
-    """Bucket ids of the n-grams of a text; words are remembered in bounded number."""
+    """Bucket ids of the n-grams of a text; words and n-grams are remembered in bounded number."""
 
     def __init__(self, buckets: int, nmin: int = 2, nmax: int = 5, memo: int = 200_000):
-        self.buckets, self.sizes, self.memo = buckets, range(nmin, nmax + 1), memo
+        self.sizes, self.memo = range(nmin, nmax + 1), memo
         self.words = re.compile(f"{letter_class()}+")
+        # the same below U+10000, where the expression is a table instead of a list of ranges
+        self.plain = re.compile(f"[{''.join(r for r in re.findall('.-.|.', letter_class()[1:-1]) if r[0] < chr(0x10000))}]+")
         self.known: dict[str, np.ndarray] = {}
+        self.grams = _Grams(buckets, memo)
 
     def of(self, text: str | None) -> np.ndarray:
-        found = [self.known.get(w) if w in self.known else self._learn(w) for w in self.words.findall((text or "").lower())]
-        return np.concatenate(found) if found else np.empty(0, dtype=np.int64)
+        known, learn, lower = self.known, self._learn, (text or "").lower()
+        words = self.plain if lower.isascii() or max(lower) < chr(0x10000) else self.words
+        found = [known[w] if w in known else learn(w) for w in words.findall(lower)]
+        return np.concatenate(found) if found else np.empty(0, dtype=np.int32)
+
+    def counted(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
+        """Different bucket ids, ascending, and how often each occurs."""
+        ids = self.of(text)
+        ids.sort()
+        last = np.append(np.flatnonzero(ids[1:] != ids[:-1]), len(ids) - 1) if len(ids) else np.empty(0, dtype=np.int64)
+        counts = last.astype(np.float32)
+        counts[1:] -= counts[:-1].copy()
+        counts[:1] += 1
+        return ids[last].astype(np.int64), counts
 
     def _learn(self, word: str) -> np.ndarray:
         if len(self.known) >= self.memo:
             self.known.clear()
-        p = f" {word} "
-        grams = [p[i : i + n] for n in self.sizes for i in range(len(p) - n + 1)]
-        self.known[word] = np.array([int(hashlib.md5(g.encode()).hexdigest()[:8], 16) % self.buckets for g in grams], dtype=np.int64)
-        return self.known[word]
+        p, grams = f" {word} ", self.grams
+        self.known[word] = ids = np.array([grams[p[i : i + n]] for n in self.sizes for i in range(len(p) - n + 1)], dtype=np.int32)
+        return ids
 
 
 def _softmax(z: np.ndarray) -> np.ndarray:
@@ -69,24 +96,32 @@ def _softmax(z: np.ndarray) -> np.ndarray:
 def epoch(model: SoftmaxModel, rows, rate: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """One pass over (label, text) rows: the rows of the embedding that changed, by how much, and the change of the weights."""
     embed, weight, place = model.embed.copy(), model.weight.copy(), {x: i for i, x in enumerate(model.labels)}
-    features, touched = Features(len(embed)), []
+    features = worker_state(("features", len(embed)), lambda: Features(len(embed)))
+    touched = np.zeros(len(embed), dtype=bool)
     for label, line in rows:
-        ids = features.of(line)
+        ids, counts = features.counted(line)
         if not len(ids):
             continue
-        hidden = embed[ids].mean(axis=0)
+        of_ids, n = embed.take(ids, axis=0), counts.sum()
+        hidden = counts @ of_ids / n
         error = _softmax(hidden @ weight)
         error[place[label]] -= 1
         step = weight @ error
-        weight -= rate * np.outer(hidden, error)
-        np.subtract.at(embed, ids, (rate * step / len(ids)).astype(embed.dtype))
-        touched.append(np.unique(ids))
-    own = np.unique(np.concatenate(touched)) if touched else np.empty(0, dtype=np.int64)
+        weight -= rate * hidden[:, None] * error
+        of_ids -= counts[:, None] * (rate * step / n).astype(embed.dtype)
+        embed[ids] = of_ids
+        touched[ids] = True
+    own = np.flatnonzero(touched)
     return own, embed[own] - model.embed[own], weight - model.weight
 
 
+#: Rows of the tables that travel together, as bytes: single rows of numbers would take several times the room.
+BLOCK = 1 << 12
+BLOCKS = "block long, rows binary, changes binary"
+
+
 def _round(holder, rate: float):
-    """Arrow function over (label, line): changed rows, those of the weights numbered after the buckets."""
+    """Arrow function over (label, line): changed rows in blocks, those of the weights numbered after the buckets."""
 
     def run(batches):
         model = holder.value
@@ -95,9 +130,37 @@ def _round(holder, rate: float):
         if len(own):
             number = np.concatenate([own, len(model.embed) + np.arange(len(model.labels))])
             values = np.concatenate([changed, weight.T]).astype(np.float32)
-            for a in range(0, len(number), 1 << 16):
-                part = slice(a, a + (1 << 16))
-                yield pa.RecordBatch.from_arrays([pa.array(number[part]), *[pa.array(values[part, d]) for d in range(values.shape[1])]], names=["row", *[f"d{d}" for d in range(values.shape[1])]])
+            starts = np.flatnonzero(np.concatenate([[True], np.diff(number // BLOCK) != 0]))
+            for a, b in zip(starts, [*starts[1:], len(number)], strict=True):
+                at = (number[a:b] % BLOCK).astype(np.int16)
+                yield batch(block=pa.array([int(number[a]) // BLOCK]), rows=pa.array([at.tobytes()]), changes=pa.array([values[a:b].tobytes()]))
+
+    return run
+
+
+def _averaged(dim: int):
+    """Arrow function over blocks, sorted by number: each block once, with the mean over those that changed a row."""
+
+    def run(batches):
+        block, total, count = None, np.zeros((BLOCK, dim)), np.zeros(BLOCK, dtype=np.int64)
+
+        def result():
+            at = np.flatnonzero(count)
+            mean = (total[at] / count[at, None]).astype(np.float32)
+            return batch(block=pa.array([block]), rows=pa.array([at.astype(np.int16).tobytes()]), changes=pa.array([mean.tobytes()]))
+
+        for part in batches:
+            for number, rows, changes in zip(*(c.to_pylist() for c in part.columns), strict=True):
+                if number != block:
+                    if block is not None:
+                        yield result()
+                    block = number
+                    total[:], count[:] = 0, 0
+                at = np.frombuffer(rows, dtype=np.int16)
+                total[at] += np.frombuffer(changes, dtype=np.float32).reshape(-1, dim)
+                count[at] += 1
+        if block is not None:
+            yield result()
 
     return run
 
@@ -114,21 +177,25 @@ def fit_softmax(rows: DataFrame, text: str = "line", buckets: int = BUCKETS, dim
     model = SoftmaxModel(labels, rng.uniform(-1 / dim, 1 / dim, (buckets, dim)).astype(np.float32), np.zeros((dim, len(labels)), dtype=np.float32))
     spark = rows.sparkSession
     order = drawn(str(seed), F.md5(text))
-    dealt = rows.filter("label is not null").select("label", F.col(text).alias("line"), order.alias("order"))
-    columns = [f"d{d}" for d in range(dim)]
+    rounded = rows.filter("label is not null").select("label", F.col(text).alias("line"), order.alias("order"))
+    path = scratch_path(spark, "dealt")
+    rounded.withColumn("round", (F.col("order") % rounds).cast("int")).write.partitionBy("round").parquet(path)  # a round reads its own rows
+    dealt = spark.read.schema("label string, line string, order long, round int").parquet(path)
     for k in range(rounds):
-        part = dealt.filter(F.col("order") % rounds == k).withColumn("part", (F.col("order") / rounds).cast("long") % partitions)
+        part = dealt.filter(F.col("round") == k).withColumn("part", (F.col("order") / rounds).cast("long") % partitions)
         part = part.repartition(partitions, "part").sortWithinPartitions("order", "line").select("label", "line")
         holder = spark.sparkContext.broadcast(model)
-        changes = arrow_map(part, _round(holder, rate * (1 - k / rounds)), "row long, " + ", ".join(f"{c} float" for c in columns))
-        mean = changes.groupBy("row").agg(*[F.avg(c).cast("float").alias(c) for c in columns]).toArrow()
-        at = mean.column("row").to_numpy()
-        change = np.stack([mean.column(c).to_numpy() for c in columns], axis=1) if len(at) else np.empty((0, dim), dtype=np.float32)
+        changes = arrow_map(part, _round(holder, rate * (1 - k / rounds)), BLOCKS)
+        mean = arrow_map(changes.repartition("block").sortWithinPartitions("block"), _averaged(dim), BLOCKS).toArrow()
         embed, weight = model.embed.copy(), model.weight.copy()
-        embed[at[at < buckets]] += change[at < buckets]
-        weight[:, at[at >= buckets] - buckets] += change[at >= buckets].T
+        for number, own, change in zip(*(c.to_pylist() for c in mean.columns), strict=True):
+            at = number * BLOCK + np.frombuffer(own, dtype=np.int16).astype(np.int64)
+            change = np.frombuffer(change, dtype=np.float32).reshape(-1, dim)
+            embed[at[at < buckets]] += change[at < buckets]
+            weight[:, at[at >= buckets] - buckets] += change[at >= buckets].T
         model = SoftmaxModel(labels, embed, weight)
         holder.unpersist()
+    remove(spark, path)
     return model
 
 
@@ -138,7 +205,7 @@ def predict_softmax(units: DataFrame, model: SoftmaxModel, key: str, text: str =
 
     def run(batches):
         m = holder.value
-        features = Features(len(m.embed))
+        features = worker_state(("features", len(m.embed)), lambda: Features(len(m.embed)))
         for rows in batches:
             pred, prob = [], []
             for t in rows.column(1).to_pylist():
