@@ -25,3 +25,13 @@ def test_noise_covers_the_whole_text(spark, small):
     assert lines_of(spark, small, "noise_mojibake_latin") == {i: t.encode().decode("latin-1") for i, t in foreign.items()}
     table = {ord(a): b for a, b in reversed(list(zip(*noise.ARABIC_MOJIBAKE, strict=False)))} | {ord(a): None for a in noise.ARABIC_MOJIBAKE[0][len(noise.ARABIC_MOJIBAKE[1]) :]}
     assert lines_of(spark, small, "noise_mojibake_arabic") == {i: t.translate(table) for i, t in foreign.items()}
+
+
+def test_every_document_has_its_drawn_noise(spark, small):
+    texts = {r.doc_id: r.text for r in read(spark, small, "documents", "doc_id", "text").collect()}
+    for name, letters in (("noise_binary", None),):
+        lines = lines_of(spark, small, name)
+        assert set(lines) == set(texts)
+        of = {t: {lines[i] for i in texts if texts[i] == t} for t in texts.values()}
+        assert all(len(x) == 1 for x in of.values()) and len(set(lines.values())) == len(of)  # copies alike, others not
+        assert letters is None or all(set(x) <= letters | {" "} for x in lines.values())
