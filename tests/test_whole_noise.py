@@ -29,7 +29,7 @@ def test_noise_covers_the_whole_text(spark, small):
 
 def test_every_document_has_its_drawn_noise(spark, small):
     texts = {r.doc_id: r.text for r in read(spark, small, "documents", "doc_id", "text").collect()}
-    for name, letters in (("noise_binary", None),):
+    for name, letters in (("noise_pdf", set(noise.STROKES)), ("noise_binary", None)):
         lines = lines_of(spark, small, name)
         assert set(lines) == set(texts)
         of = {t: {lines[i] for i in texts if texts[i] == t} for t in texts.values()}
