@@ -35,3 +35,6 @@ def test_every_document_has_its_drawn_noise(spark, small):
         of = {t: {lines[i] for i in texts if texts[i] == t} for t in texts.values()}
         assert all(len(x) == 1 for x in of.values()) and len(set(lines.values())) == len(of)  # copies alike, others not
         assert letters is None or all(set(x) <= letters | {" "} for x in lines.values())
+    rows = queries.QUERIES["und_samples"](spark, small).collect()
+    assert sorted((r.label, r.doc_id) for r in rows) == sorted((f"und_{s}", i) for s in ("Mong", "Newa", "Gran") for i in texts)
+    assert all(set(r.line) <= set(noise.alphabet(r.label[4:])) | {" "} for r in rows)
